@@ -6,9 +6,13 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
+from .bm25_leaks import op6_bm25_leaks
 from .bpe_prefix import op8_bpe_prefix
+from .compression_quality import op9_compression_quality
+from .order_minhash import op5_order_minhash
+from .pii_feistel import op1_pii_feistel
 from .token_cache import op2_token_cache
 
-QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {f.__name__: f for f in (op2_token_cache, op8_bpe_prefix)}
+QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {f.__name__: f for f in (op1_pii_feistel, op2_token_cache, op5_order_minhash, op6_bm25_leaks, op8_bpe_prefix, op9_compression_quality)}
 
 ORACLES: dict[str, str] = {}
