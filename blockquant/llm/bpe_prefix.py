@@ -34,6 +34,9 @@ from . import common
 NEVER = 1 << 60
 #: Control characters that str.split() takes for white space and the vocabulary's pattern does not.
 UNLIKE_SPACE = re.compile("[\x1c-\x1f]")
+#: Words of chunks whose letters all lie in Latin-1, in lower case: there every Unicode version agrees with the vocabulary's pattern.
+LATIN_WORDS = re.compile("'s|'t|'re|'ve|'m|'ll|'d|[a-z\xaa\xb5\xba\xdf-\xf6\xf8-\xff]+|[0-9\xb2\xb3\xb9\xbc-\xbe]|[^\\sa-z0-9\xaa\xb2\xb3\xb5\xb9\xba\xbc-\xbe\xdf-\xf6\xf8-\xff]+")
+BEYOND_LATIN = re.compile("[^\x21-\x7e\xa1-\xff]")
 SPACES = re.compile("[\t-\r \x85\xa0\u1680\u2000-\u200a\u2028\u2029\u202f\u205f\u3000]+")
 
 
@@ -97,7 +100,7 @@ class SubstringAutomaton:
 class PrefixBpe:
     """Exact ids of a word-level byte BPE vocabulary with word-end marks (lower case, white space dropped)."""
 
-    def __init__(self, path: str, memo_words: int = 300_000) -> None:
+    def __init__(self, path: str, memo_words: int = 400_000) -> None:
         spec = json.load(open(path, encoding="utf-8"))
         model, split = spec["model"], spec["pre_tokenizer"]["pretokenizers"][0]
         steps = [n["type"] for n in spec["normalizer"]["normalizers"]]
@@ -110,8 +113,9 @@ class PrefixBpe:
         vocab, end = model["vocab"], model["end_of_word_suffix"]
         self.names = {i: t for t, i in vocab.items()} | {i: t for t, i in self.special.items()}
         letters = byte_letters()
-        self.inner = {x: vocab[x] for x in letters}
-        self.final = {x: vocab[x + end] for x in letters}
+        self.byte_of = {x: b for b, x in enumerate(letters)}
+        self.inner = [vocab[x] for x in letters]
+        self.final = [vocab[x + end] for x in letters]
         self.halves: dict[int, tuple[int, int]] = {}
         self.born: dict[int, int] = {}
         self.joined: dict[tuple[int, int], int] = {}
@@ -126,6 +130,8 @@ class PrefixBpe:
             if self.sound(token):
                 self.automaton.add(self._symbols(token), token)
         self.automaton.close()
+        self.span = {t: len(self._symbols(t)) for t in vocab.values()}
+        self.pairs: dict[int, bool] = {}
         self.memo_words, self.memo = memo_words, _Memo(self)
 
     def _symbols(self, token: int) -> list[int]:
@@ -169,42 +175,60 @@ class PrefixBpe:
             else:
                 right, right_ends = self.halves[right][0], right_born
 
-    def word(self, letters: str) -> list[int]:
-        """Ids of one word of the pattern, in byte letters."""
-        auto = self.automaton
+    def word(self, data: bytes) -> list[int]:
+        """Ids of one word of the pattern, in UTF-8."""
+        auto, pairs = self.automaton, self.pairs
         moves, link, length, token, ending = auto.moves, auto.link, auto.length, auto.token, auto.ending
+        end = len(data) - 1
+        symbols = [self.inner[b] for b in data]
+        symbols[end] = self.final[data[end]]
         last: list[int] = []
         state = matched = 0
-        end = len(letters) - 1
-        for i, letter in enumerate(letters):
-            symbol = self.inner[letter] if i < end else self.final[letter]
-            while symbol not in moves[state]:
+        for i, symbol in enumerate(symbols):
+            step = moves[state].get(symbol)
+            while step is None:
                 state = link[state]
                 matched = length[state]
-            state, matched = moves[state][symbol], matched + 1
+                step = moves[state].get(symbol)
+            state, matched = step, matched + 1
             at = ending[state if matched == length[state] else link[state]]
             while True:
-                t, start = token[at], i + 1 - length[at]
-                if start == 0 or self.compatible(last[start - 1], t):
-                    last.append(t)
+                t, before = token[at], i - length[at]
+                if before < 0:
+                    break
+                pair = last[before] << 20 | t
+                fits = pairs.get(pair)
+                if fits is None:
+                    fits = pairs[pair] = self.compatible(last[before], t)
+                if fits:
                     break
                 at = ending[link[at]]
-        ids = []
+            last.append(t)
+        span, ids = self.span, []
         while end >= 0:
             ids.append(last[end])
-            end -= len(self._symbols(last[end]))
-        return ids[::-1]
+            end -= span[last[end]]
+        ids.reverse()
+        return ids
 
     def _chunk(self, chunk: str) -> bytes:
+        if BEYOND_LATIN.search(chunk) is None:
+            parts = LATIN_WORDS.findall(chunk.lower())
+            if parts != [chunk]:
+                return b"".join([self.memo[w] for w in parts])
+            words = [chunk.encode()]
+        else:
+            words = [bytes(map(self.byte_of.__getitem__, w)) for w, _ in self.words(self.normal(chunk))]
+        if len(self.pairs) > 1_000_000:
+            self.pairs.clear()
         out = array("I")
-        for letters, _ in self.words(self.normal(chunk)):
-            out.extend(self.word(letters))
+        for w in words:
+            out.extend(self.word(w))
         return out.tobytes()
 
     def encode(self, text: str) -> bytes:
         """Ids as little-endian unsigned 32-bit integers."""
-        if len(self.memo) > self.memo_words:
-            self.memo.clear()
+        self.memo.age()
         out = []
         for part in self.special_split.split(text) if "<" in text else (text,):
             if part in self.special:
@@ -219,18 +243,25 @@ class PrefixBpe:
 
 
 class _Memo(dict):
-    """Ids of white-space chunks; no token and no rule reaches over white space."""
+    """Ids of white-space chunks; no token and no rule reaches over white space. What wasn't met since the last change of generation goes."""
 
     def __init__(self, bpe: PrefixBpe) -> None:
         super().__init__()
-        self.bpe = bpe
+        self.bpe, self.older = bpe, {}
 
     def __missing__(self, chunk: str) -> bytes:
-        ids = self.bpe._chunk(chunk)
+        ids = self.older.get(chunk)
+        if ids is None:
+            ids = self.bpe._chunk(chunk)
         if len(chunk) < 64:
             self[chunk] = ids
         return ids
 
+    def age(self) -> None:
+        if len(self) > self.bpe.memo_words:
+            self.older = dict(self)
+            self.clear()
+
 
 @lru_cache(maxsize=2)
 def tokenizer(path: str) -> PrefixBpe:
