@@ -5,10 +5,10 @@ passage that holds all words of an item scores 1 and one threshold serves items
 order; for every term and block of ``BLOCK`` items the largest impact is kept.
 
 Search. A passage is ``2 * stride`` words, a new one starts every ``stride`` words, and ``stride`` is at least the longest
-item, so every item that occurs lies whole in a passage. Three safe bounds, each at least the true score, decide what is
-scored: the words of the whole document together, the block maxima of a passage, and last block-max WAND, which walks
-the passage's posting lists in item order, jumps over blocks whose maxima can't reach the threshold and scores the rest.
-Everything at or above the threshold is retrieved; nothing else is cut.
+item, so every item that occurs lies whole in a passage. The words of the whole document together bound the score of each
+item in all its passages; posting lists keep the items that this leaves. Block-max WAND then walks a passage's lists in
+item order, jumps over blocks whose maxima can't reach the threshold and scores the rest. The bounds are never below the
+true score: everything at or above the threshold is retrieved.
 
 Verification. A hit counts if the passage covers, by shared word n-grams, enough of the item's question and enough of its
 answer. Items without columns of their own for these are split at the last sentence.
@@ -24,9 +24,11 @@ from __future__ import annotations
 
 import math
 import re
+from bisect import bisect_left
 from collections import Counter
-from collections.abc import Iterable, Iterator
+from collections.abc import Iterator
 from dataclasses import dataclass, field
+from operator import itemgetter
 
 import numpy as np
 import pyarrow as pa
@@ -70,7 +72,7 @@ def covered(part: list[str], passage: list[str]) -> float:
 
 @dataclass
 class Index:
-    """Postings by term id: items ``items[starts[t]:starts[t + 1]]`` with their impacts; likewise blocks with their maxima."""
+    """Postings by term id: items ``items[starts[t]:starts[t + 1]]`` with their impacts."""
 
     item_ids: list[int]
     parts: list[tuple[list[str], list[str]]]
@@ -78,18 +80,44 @@ class Index:
     starts: np.ndarray
     items: np.ndarray
     impacts: np.ndarray
-    block_starts: np.ndarray
-    blocks: np.ndarray
-    maxima: np.ndarray
     longest: int
     self_scores: list[float] = field(default_factory=list)
 
-    def sums(self, ids: np.ndarray, blockwise: bool = False) -> np.ndarray:
-        """Total of the postings' values of distinct terms, by item or by block."""
-        starts, keys, values = (self.block_starts, self.blocks, self.maxima) if blockwise else (self.starts, self.items, self.impacts)
-        n = starts[ids + 1] - starts[ids]
-        at = np.repeat(starts[ids] - np.r_[0, np.cumsum(n)[:-1]], n) + np.arange(n.sum())
-        return np.bincount(keys[at], values[at], minlength=len(self.item_ids) // BLOCK + 1 if blockwise else len(self.item_ids))
+    def _postings(self, ids: np.ndarray) -> np.ndarray:
+        """Places of all postings of distinct terms, in the terms' order."""
+        n = self.starts[ids + 1] - self.starts[ids]
+        return np.repeat(self.starts[ids] - np.r_[0, np.cumsum(n)[:-1]], n) + np.arange(n.sum())
+
+    def totals(self, ids: np.ndarray) -> np.ndarray:
+        """Score of each item for the distinct terms."""
+        at = self._postings(ids)
+        return np.bincount(self.items[at], self.impacts[at], minlength=len(self.item_ids))
+
+    def lists(self, ids: np.ndarray, live: np.ndarray) -> dict[int, Postings]:
+        """Posting lists of the terms, with the items in ``live`` only, and without lists that this leaves empty."""
+        at = self._postings(ids)
+        terms = np.repeat(ids, self.starts[ids + 1] - self.starts[ids])
+        keep = live[self.items[at]]
+        out: dict[int, Postings] = {}
+        for t, i, v in zip(terms[keep].tolist(), self.items[at[keep]].tolist(), self.impacts[at[keep]].tolist(), strict=True):
+            if t not in out:
+                out[t] = Postings([], [], {}, 0.0)
+            p = out[t]
+            p.items.append(i)
+            p.impacts.append(v)
+            p.maxima[i // BLOCK] = max(v, p.maxima.get(i // BLOCK, 0.0))
+            p.maximum = max(v, p.maximum)
+        return out
+
+
+@dataclass
+class Postings:
+    """One term's items in order, their impacts, the largest in each block and of all."""
+
+    items: list[int]
+    impacts: list[float]
+    maxima: dict[int, float]
+    maximum: float
 
 
 def build(items: list[tuple[int, list[str], list[str]]], frequency: Counter, n_items: int, mean_words: float) -> Index:
@@ -106,49 +134,44 @@ def build(items: list[tuple[int, list[str], list[str]]], frequency: Counter, n_i
     rows.sort()
     term, item, value = (np.array(c) for c in zip(*rows, strict=True))
     starts = np.searchsorted(term, np.arange(len(terms) + 1))
-    edge = np.flatnonzero(np.r_[True, (term[1:] != term[:-1]) | (item[1:] // BLOCK != item[:-1] // BLOCK)])
-    return Index([i for i, _, _ in items], [(q, a) for _, q, a in items], terms, starts, item, value.astype(float), np.searchsorted(term[edge], np.arange(len(terms) + 1)), item[edge] // BLOCK, np.maximum.reduceat(value, edge).astype(float), max(len(q) + len(a) for _, q, a in items), selves)
+    return Index([i for i, _, _ in items], [(q, a) for _, q, a in items], terms, starts, item, value.astype(float), max(len(q) + len(a) for _, q, a in items), selves)
 
 
 EPS = 1e-9
+NEVER = 1 << 60
+ITEM = itemgetter(2)
 
 
-def block_max_wand(index: Index, ids: Iterable[int], threshold: float) -> list[tuple[int, float]]:
+def block_max_wand(postings: list[Postings], threshold: float) -> list[tuple[int, float]]:
     """All (item number, score) of at least the threshold, in item order."""
-    lists = []
-    for t in ids:
-        lo, hi = index.starts[t], index.starts[t + 1]
-        blo, bhi = index.block_starts[t], index.block_starts[t + 1]
-        lists.append([index.items[lo:hi].tolist(), index.impacts[lo:hi].tolist(), dict(zip(index.blocks[blo:bhi].tolist(), index.maxima[blo:bhi].tolist(), strict=True)), 0, float(index.maxima[blo:bhi].max())])
+    lists = [[p, 0, p.items[0]] for p in postings]  # with the place reached and the item there
     found, floor = [], threshold - EPS
     while lists:
-        lists.sort(key=lambda x: x[0][x[3]])
+        lists.sort(key=ITEM)
         total, pivot = 0.0, None
-        for x in lists:  # the first item that could reach the threshold if each list gave its maximum
-            total += x[4]
+        for p, _, item in lists:  # the first item that could reach the threshold if each list gave its maximum
+            total += p.maximum
             if total >= floor:
-                pivot = x[0][x[3]]
+                pivot = item
                 break
         if pivot is None:
             break
-        before = [x for x in lists if x[0][x[3]] <= pivot]
+        before = [x for x in lists if x[2] <= pivot]
         block = pivot // BLOCK
-        if sum(x[2].get(block, 0.0) for x in before) < floor:
-            others = [x[0][x[3]] for x in lists if x[0][x[3]] > pivot]
-            target = min([(block + 1) * BLOCK, *others])  # up to there only these lists have items, under these maxima
-        elif before[0][0][before[0][3]] == pivot:
-            score = sum(x[1][x[3]] for x in before)
+        if sum(p.maxima.get(block, 0.0) for p, _, _ in before) < floor:
+            # Up to the block's end or the next list's item only these lists have items, under these maxima.
+            target = min((block + 1) * BLOCK, lists[len(before)][2] if len(before) < len(lists) else NEVER)
+        elif before[0][2] == pivot:
+            score = sum(p.impacts[at] for p, at, _ in before)
             if score >= floor:
                 found.append((pivot, score))
             target = pivot + 1
         else:
             target = pivot
         for x in before:
-            at, end = x[3], len(x[0])
-            while at < end and x[0][at] < target:
-                at += 1
-            x[3] = at
-        lists = [x for x in lists if x[3] < len(x[0])]
+            p, at = x[0], bisect_left(x[0].items, target, x[1])
+            x[1], x[2] = at, p.items[at] if at < len(p.items) else NEVER
+        lists = [x for x in lists if x[2] < NEVER]
     return found
 
 
@@ -158,17 +181,20 @@ def hits(index: Index, text: str, threshold: float, overlap: float) -> list[tupl
     get = index.terms.get
     ids = np.array([get(w, -1) for w in words], np.int64)
     known = np.unique(ids[ids >= 0])
-    if not len(known) or index.sums(known).max() < threshold - EPS:
+    if not len(known):
+        return []
+    live = index.totals(known) >= threshold - EPS
+    if not live.any():
         return []
+    lists = index.lists(known, live)
     stride = max(32, index.longest)
     best: dict[int, tuple] = {}
     for start in range(0, max(1, len(words) - stride), stride):
-        some = np.unique(ids[start : start + 2 * stride])
-        some = some[some >= 0]
-        if not len(some) or index.sums(some, True).max() < threshold - EPS:
+        some = [p for t in set(ids[start : start + 2 * stride].tolist()) if (p := lists.get(t))]
+        if sum(p.maximum for p in some) < threshold - EPS:
             continue
         passage = words[start : start + 2 * stride]
-        for i, score in block_max_wand(index, some.tolist(), threshold):
+        for i, score in block_max_wand(some, threshold):
             q, a = (covered(p, passage) for p in index.parts[i])
             if q >= overlap and a >= overlap and (i not in best or score > best[i][3] + EPS):
                 best[i] = (index.item_ids[i], start, score * index.self_scores[i], score, q, a)
