@@ -8,13 +8,13 @@ same k-mers are smallest *and* stand in the same order, which follows edit simil
 Links. Texts with the same words are one text from the start. In each bucket every text is compared with the leader, the
 one of the smallest id: pairs grow with the members, not with their square. A pair links if its alignment similarity,
 1 - edits / longer length, reaches the threshold: a banded bit-parallel alignment of the words decides, with the band as
-wide as the threshold allows edits, after a bottom-k sketch of the k-mers has excluded pairs that are far below it. Members that failed against their leader aren't dropped: they go on among themselves, with four
-times as many leaders in each round, until no bucket holds two of them or all of a bucket's texts share a class. Classes
-are connected components, by alternating stars.
+wide as the threshold allows edits. Members that failed against their leader aren't dropped: what is left of each bucket
+is compared among itself, in blocks of ``BLOCK`` texts against blocks, each pair once in whichever bucket names it first.
+Classes are connected components, by alternating stars.
 
-Scale: one pass reads the texts and leaves 0.4 KB of keys for each; copies are combined by digest before they move. Words
-are fetched only for texts in shared buckets. Leaders with many members are dealt to several tasks with a copy of the
-leader's words. Every round and every step of the components ends in a shared table.
+Scale: one pass reads the texts and leaves half a kilobyte of keys for each; copies are combined by digest before they
+move. Words are fetched only for texts in shared buckets. Leaders with many members are dealt to several tasks with a copy
+of the leader's words, and so are the blocks of a bucket. Each step of the components ends in a shared table.
 
 Defined results: null, empty and wordless texts are classes of their own; case and punctuation don't matter; texts of any
 length are compared whole; rows that repeat an id share its class; null ids keep a null class.
@@ -28,15 +28,15 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from . import common
 
 WORD = re.compile(r"\w+")
-K, TAKE, SKETCHES = 5, 8, 40
+K, TAKE, SKETCHES = 5, 6, 64
 SHORT, SHORT_TAKE, SHORT_SKETCHES = 24, 3, 8
-BOTTOM = 128
+BLOCK = 64
 ODD = np.random.default_rng(7).integers(1 << 62, 1 << 63, SKETCHES + SHORT_SKETCHES, np.uint64) * np.uint64(2) + np.uint64(1)
 
 
@@ -90,8 +90,8 @@ def smallest(values: np.ndarray, take: int) -> np.ndarray:
     return np.sort(np.argpartition(values, take - 1, axis=1)[:, :take], axis=1)
 
 
-def sketch(words: np.ndarray) -> tuple[list[int], np.ndarray]:
-    """Bucket keys (signed 64 bit) and the sorted bottom-k of the labelled k-mers."""
+def sketch(words: np.ndarray) -> list[int]:
+    """Bucket keys, signed 64 bit."""
     plain, labelled = kmers(words)
     n, keys = len(plain), []
     sets = [(0, SKETCHES, TAKE)] + ([(SKETCHES, SKETCHES + SHORT_SKETCHES, SHORT_TAKE)] if n <= SHORT else [])
@@ -104,16 +104,7 @@ def sketch(words: np.ndarray) -> tuple[list[int], np.ndarray]:
             for column in plain[at].T:
                 key = mixed(key * np.uint64(31) + column)
             keys += key.view(np.int64).tolist()
-    bottom = np.sort(np.partition(labelled, BOTTOM - 1)[:BOTTOM] if n > BOTTOM else labelled)
-    return keys, bottom
-
-
-def bottom_jaccard(a: np.ndarray, b: np.ndarray) -> float:
-    """Jaccard estimate from two bottom-k sketches; exact if both are whole."""
-    union = np.union1d(a, b)
-    if len(a) == BOTTOM or len(b) == BOTTOM:
-        union = union[:BOTTOM]
-    return np.isin(union, np.intersect1d(a, b, True), True).mean() if len(union) else 1.0
+    return keys
 
 
 def edits(a: np.ndarray, b: np.ndarray, most: int) -> int:
@@ -187,7 +178,7 @@ def sketched(docs: DataFrame, id_col: str, text: str) -> DataFrame:
                 if len(w):
                     ids.append(i)
                     digests.append(hashlib.blake2b(w.tobytes(), digest_size=16).digest())
-                    keys.append(sketch(w)[0])
+                    keys.append(sketch(w))
             yield pa.RecordBatch.from_arrays([pa.array(ids, part.column(0).type), pa.array(digests, pa.binary()), pa.array(keys, pa.list_(pa.int64()))], names=["id", "digest", "keys"])
 
     kind = docs.schema[id_col].dataType.simpleString()
@@ -196,43 +187,73 @@ def sketched(docs: DataFrame, id_col: str, text: str) -> DataFrame:
 
 
 def contents(docs: DataFrame, ids: DataFrame, id_col: str, text: str) -> DataFrame:
-    """Word digests (32 bit) and bottom-k sketch of the wanted documents."""
+    """Word digests (32 bit) of the wanted documents."""
     kind = docs.schema[id_col].dataType.simpleString()
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         words = Words()
         for part in common.pieces(batches, 1):
-            found = [words.of(t) for t in common.texts_of(part.column(1))]
-            yield pa.RecordBatch.from_arrays([part.column(0), pa.array([(w >> np.uint64(32)).astype(np.uint32).tobytes() for w in found], pa.binary()), pa.array([sketch_bottom(w) for w in found], pa.binary())], names=["id", "words", "bottom"])
+            found = [(words.of(t) >> np.uint64(32)).astype(np.uint32).tobytes() for t in common.texts_of(part.column(1))]
+            yield pa.RecordBatch.from_arrays([part.column(0), pa.array(found, pa.binary())], names=["id", "words"])
 
     wanted = docs.select(F.col(f"`{id_col}`").alias("id"), F.col(f"`{text}`").alias("t")).where(F.col("t").isNotNull()).join(ids, "id", "left_semi")
-    return wanted.mapInArrow(run, f"id {kind}, words binary, bottom binary").dropDuplicates(["id"])
-
-
-def sketch_bottom(words: np.ndarray) -> bytes:
-    labelled = kmers(words)[1]
-    return np.sort(np.partition(labelled, BOTTOM - 1)[:BOTTOM] if len(labelled) > BOTTOM else labelled).tobytes()
+    return wanted.mapInArrow(run, f"id {kind}, words binary").dropDuplicates(["id"])
 
 
 def compared(pairs: DataFrame, known: DataFrame, threshold: float, chunk: int = 256) -> DataFrame:
-    """``pairs`` (a, b) with their similarity, 0 for those below the threshold. ``known``: id, words, bottom."""
+    """``pairs`` (a, b) with their similarity, 0 for those below the threshold. ``known``: id, words."""
     kind = known.schema["id"].dataType.simpleString()
     counts = pairs.groupBy("a").agg(F.ceil(F.count("*") / chunk).cast("int").alias("chunks"))
-    left = known.withColumnRenamed("id", "a").join(counts, "a").select("a", F.col("words").alias("words_a"), F.col("bottom").alias("bottom_a"), F.explode(F.sequence(F.lit(0), F.col("chunks") - 1)).alias("chunk"))
+    left = known.withColumnRenamed("id", "a").join(counts, "a").select("a", F.col("words").alias("words_a"), F.explode(F.sequence(F.lit(0), F.col("chunks") - 1)).alias("chunk"))
     right = pairs.join(counts, "a").withColumn("chunk", F.pmod(F.xxhash64("b"), F.col("chunks")).cast("int")).drop("chunks").join(known.withColumnRenamed("id", "b"), "b")
-    both = right.join(left, ["a", "chunk"]).select("a", "b", "words_a", "words", "bottom_a", "bottom")
+    both = right.join(left, ["a", "chunk"]).select("a", "b", "words_a", "words")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            out = []
-            for wa, wb, ka, kb in zip(*(batch.column(i).to_pylist() for i in range(2, 6)), strict=True):
-                near = bottom_jaccard(np.frombuffer(ka, np.uint64), np.frombuffer(kb, np.uint64)) >= threshold - 0.3
-                out.append(similarity(np.frombuffer(wa, np.uint32), np.frombuffer(wb, np.uint32), threshold) if near else 0.0)
+            out = [similarity(np.frombuffer(x, np.uint32), np.frombuffer(y, np.uint32), threshold) for x, y in zip(batch.column(2).to_pylist(), batch.column(3).to_pylist(), strict=True)]
             yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(out, pa.float64())], names=["a", "b", "similarity"])
 
     return both.mapInArrow(run, f"a {kind}, b {kind}, similarity double")
 
 
+def compared_in_blocks(left: DataFrame, known: DataFrame, threshold: float) -> DataFrame:
+    """Links among the texts that each bucket has left, as many as join them. ``left``: key, id. Texts move once per block of
+    their bucket, not once per pair, and a pair that other links of its blocks have joined needs none of its own."""
+    kind = known.schema["id"].dataType.simpleString()
+    place = (F.row_number().over(Window.partitionBy("key").orderBy("id")) - 1) / BLOCK
+    ranked = left.withColumn("block", F.floor(place).cast("int"))
+    blocks = ranked.groupBy("key").agg((F.max("block") + 1).alias("blocks"), F.count("*").alias("n")).where("n > 1").drop("n")
+    own_keys = left.groupBy("id").agg(F.collect_set("key").alias("keys"))  # at most one per sketch
+    dealt = ranked.join(blocks, "key").withColumn("other", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)))
+    dealt = dealt.select("key", "id", "block", F.least("block", "other").alias("i"), F.greatest("block", "other").alias("j"))
+    dealt = dealt.join(known, "id").join(own_keys, "id")
+
+    def run(t: pa.Table) -> pa.Table:
+        key, i, j = (t[c][0].as_py() for c in ("key", "i", "j"))
+        ids, blocks, keys = t["id"].to_pylist(), t["block"].to_pylist(), [set(k) for k in t["keys"].to_pylist()]
+        words = [np.frombuffer(w, np.uint32) for w in t["words"].to_pylist()]
+        out: list[tuple] = []
+        root = list(range(len(ids)))  # of a forest of links: what it joins already needs no further link
+
+        def top(x: int) -> int:
+            while root[x] != x:
+                root[x] = x = root[root[x]]
+            return x
+
+        for x in range(len(ids)):
+            for y in range(len(ids)):
+                if blocks[x] == i and blocks[y] == j and (i != j or ids[x] < ids[y]) and top(x) != top(y):
+                    if min(len(words[x]), len(words[y])) < threshold * max(len(words[x]), len(words[y])) or min(keys[x] & keys[y]) != key:
+                        continue
+                    s = similarity(words[x], words[y], threshold)
+                    if s:
+                        root[top(x)] = top(y)
+                        out.append((min(ids[x], ids[y]), max(ids[x], ids[y]), s))
+        return pa.table({"a": pa.array([o[0] for o in out], t["id"].type), "b": pa.array([o[1] for o in out], t["id"].type), "similarity": pa.array([o[2] for o in out], pa.float64())})
+
+    return dealt.groupBy("key", "i", "j").applyInArrow(run, f"a {kind}, b {kind}, similarity double")
+
+
 def components(edges: DataFrame) -> DataFrame:
     """(id, class) of every node: alternating large and small stars around the smallest neighbour until all are stars."""
     edges = common.stored(edges.where("a <> b").select(F.greatest("a", "b").alias("v"), F.least("a", "b").alias("u")).distinct(), "edges")
@@ -254,32 +275,11 @@ def components(edges: DataFrame) -> DataFrame:
 
 def linked(bands: DataFrame, known: DataFrame, threshold: float) -> DataFrame:
     """Links (a, b, similarity) between texts that share a bucket. ``bands``: key, id, of buckets with several texts."""
-    spark, kind = bands.sparkSession, known.schema["id"].dataType.simpleString()
-    links = spark.createDataFrame([], f"a {kind}, b {kind}, similarity double")
     first = bands.groupBy("key").agg(F.min("id").alias("a"))
     members = common.stored(bands.join(first, "key").where("id <> a"), "members")
-    leaders = 1
-    while True:
-        pairs = common.stored(compared(members.select("a", F.col("id").alias("b")).distinct(), known, threshold), "compared")
-        good = pairs.where(F.col("similarity") > 0)
-        links = common.stored(links.unionAll(good), "links")
-        if pairs.where("similarity = 0").isEmpty():
-            return links
-        # A text stays in its bucket unless one of the leaders took it; the leaders have met all others and leave.
-        classes = components(links)
-        taken = members.join(good.select("a", F.col("b").alias("id")), ["a", "id"], "left_semi").select("key", "id").distinct()
-        left = members.select("key", "id").distinct().join(members.select("key", F.col("a").alias("id")).distinct(), ["key", "id"], "left_anti").join(taken, ["key", "id"], "left_anti")
-        left = left.join(classes, "id", "left").withColumn("class", F.coalesce("class", "id"))
-        open_keys = left.groupBy("key").agg(F.min("class").alias("lo"), F.max("class").alias("hi")).where("lo <> hi").select("key")
-        left = common.stored(left.join(open_keys, "key", "left_semi"), "left")
-        if left.isEmpty():
-            return links
-        leaders *= 4
-        from pyspark.sql import Window
-
-        ranked = left.withColumn("rank", F.row_number().over(Window.partitionBy("key").orderBy("id")))
-        heads = ranked.where(F.col("rank") <= leaders).select("key", F.col("id").alias("a"), F.col("class").alias("class_a"), F.col("rank").alias("rank_a"))
-        members = common.stored(ranked.join(heads, "key").where("rank > rank_a and class <> class_a").select("key", "id", "a"), "members")
+    pairs = common.stored(compared(members.select("a", F.col("id").alias("b")).distinct(), known, threshold), "compared")
+    left = common.stored(members.join(pairs.where("similarity = 0").select("a", F.col("b").alias("id")), ["a", "id"], "left_semi").select("key", "id"), "left")
+    return pairs.where("similarity > 0").unionAll(compared_in_blocks(left, known, threshold))
 
 
 def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text: str = "text", threshold: float = 0.8) -> DataFrame:
