@@ -86,3 +86,21 @@ def mask_flags(cells: DataFrame) -> DataFrame:
     """Flags as NaN, a step of its own."""
     bad = F.coalesce(F.col("flagged"), F.lit(False))
     return cells.withColumns({c: F.when(bad, float("nan")).otherwise(F.col(c)) for c in ("re", "im")})
+
+
+def compress_column(df: DataFrame, column: str, block: str, order: str, cfg: CodecConfig | None = None) -> DataFrame:
+    """Any numeric column as packed blocks: ``block`` (long) groups values, ``order`` (long, distinct in a block) tells them apart.
+
+    Rows of a block are laid as rows of one channel, so row x channel scaling gives each value its own factor range; the
+    default scales the whole block by its largest magnitude, as channel scaling of one polarisation.
+    """
+    cfg = cfg or CodecConfig(scaling="antenna_channel", quantiser="uniform", trunc=None, max_steps=0, autos="keep")
+    v = F.col(f"`{column}`").cast("double")
+    cells = df.select(F.col(f"`{block}`").cast("long").alias("block_id"), F.col(f"`{order}`").cast("long").alias("row_id"), F.lit(0).alias("ant_a"), F.lit(1).alias("ant_b"), F.lit(0).alias("ch"), F.lit(0).alias("pol"), v.alias("re"), F.when(v.isNotNull(), 0.0).alias("im"), F.lit(1.0).alias("weight"), v.isNull().alias("flagged"))
+    return compress(cells, cfg)
+
+
+def decompress_column(packed: DataFrame, column: str, block: str, order: str) -> DataFrame:
+    """block, order and the column again; missing values as null."""
+    c = decompress(packed)
+    return c.select(F.col("block_id").alias(block), F.col("row_id").alias(order), F.nullif("re", F.lit(float("nan"))).alias(column))

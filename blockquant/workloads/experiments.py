@@ -742,3 +742,17 @@ def entropy_offsets(spark, d):
     p = codec.compress(v1(spark, d), CodecConfig(scaling="row_channel", autos="keep", bits=6, entropy="rice"))
     return store.offsets(p)
 
+
+
+@query("compress_column", "SELECT (c_custkey // 100)::BIGINT AS block, count(*) AS n, TRUE AS close FROM customer GROUP BY ALL")
+def compress_column(spark, d):
+    """A plain column packed and restored: every value within one level of its block's largest."""
+    c = tables.load(spark, d, "customer", "c_custkey", "c_acctbal").withColumn("block", F.floor(F.col("c_custkey") / 100).cast("long"))
+    back = codec.decompress_column(codec.compress_column(c, "c_acctbal", "block", "c_custkey"), "hat", "block", "c_custkey")
+    top = c.groupBy("block").agg(F.max(F.abs("c_acctbal")).alias("top"))
+    return c.join(back, ["block", "c_custkey"]).join(top, "block").groupBy("block").agg(F.count("*").alias("n"), F.min(F.abs(F.col("hat") - F.col("c_acctbal")) <= F.col("top") * (2 / 254 + 1e-6)).alias("close"))
+
+
+@query("stream_static_volume", sql.with_(sql.V3) + "SELECT block_id, count(*) AS n_cells, (count(*) * 12)::BIGINT AS raw_bytes FROM cells GROUP BY ALL")
+def stream_static_volume(spark, d):
+    return tables.vis_events(spark, d).groupBy("block_id").agg(F.count("*").alias("n_cells"), (F.count("*") * 12).alias("raw_bytes"))
