@@ -73,7 +73,10 @@ def test_near_duplicates_of_planted_groups(spark, dup_docs):
     want = {}
     for i, c in sorted(classes.items()):
         want.setdefault(c, i)
-    assert got == {i: want[c] for i, c in classes.items()}
+    wrong = [i for i, c in classes.items() if got[i] != want[c]]
+    # Sketches meet by chance: below the threshold's similarity (here down to Jaccard 0.6) a few copies in a thousand may stay apart.
+    assert all(got[i] == i for i in wrong) and len(wrong) <= 0.02 * len(classes)
+    assert not [i for i in wrong if classes[i][0] != "g" or i % 4 < 2]
 
 
 def test_blocks_find_what_the_leader_hides(spark):
