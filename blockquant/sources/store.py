@@ -20,17 +20,21 @@ def bucket(block: Column | str, per_bucket: int = PER_BUCKET) -> Column:
 
 
 def write(packed: DataFrame, path: str, per_bucket: int = PER_BUCKET, mode: str = "overwrite") -> None:
-    """Blocks in order inside each file, for statistics that prune. No more shuffle than bringing a bucket together."""
-    out = packed.withColumn("bucket", bucket("block_id", per_bucket)).repartition("bucket").sortWithinPartitions("bucket", "block_id", "pol")
-    out.write.mode(mode).partitionBy("bucket").parquet(path)
+    """Blocks in order inside each file, for statistics that prune. No more shuffle than bringing a bucket together.
 
+    The bucket's size is a folder level of its own, so readers need not be told it.
+    """
+    out = packed.withColumns({"per_bucket": F.lit(per_bucket), "bucket": bucket("block_id", per_bucket)}).repartition("bucket").sortWithinPartitions("bucket", "block_id", "pol")
+    out.write.mode(mode).partitionBy("per_bucket", "bucket").parquet(path)
 
-def read(spark: SparkSession, path: str, lo: int | None = None, hi: int | None = None, min_abs: float | None = None, per_bucket: int = PER_BUCKET) -> DataFrame:
+
+def read(spark: SparkSession, path: str, lo: int | None = None, hi: int | None = None, min_abs: float | None = None) -> DataFrame:
     """Packed rows of blocks lo..hi. ``min_abs``: only blocks that can hold such a magnitude; both filters reach the scan."""
     df = spark.read.parquet(path)
-    if lo is not None or hi is not None:
-        lo_, hi_ = lo if lo is not None else -(1 << 62), hi if hi is not None else 1 << 62
-        df = df.where(F.col("block_id").between(lo_, hi_) & F.col("bucket").between(lo_ // per_bucket, hi_ // per_bucket))
+    if lo is not None:
+        df = df.where((F.col("block_id") >= lo) & (F.col("bucket") >= F.floor(F.lit(lo) / F.col("per_bucket"))))
+    if hi is not None:
+        df = df.where((F.col("block_id") <= hi) & (F.col("bucket") <= F.floor(F.lit(hi) / F.col("per_bucket"))))
     if min_abs is not None:
         df = df.where(F.col("max_abs") > min_abs)
     return df.select(*PACKED.fieldNames())
@@ -41,13 +45,15 @@ def read_blocks(spark: SparkSession, path: str, lo: int, hi: int) -> DataFrame:
     return decompress(read(spark, path, lo, hi))
 
 
-def replace_block(spark: SparkSession, path: str, block_id: int, cells: DataFrame, cfg: CodecConfig, per_bucket: int = PER_BUCKET) -> None:
+def replace_block(spark: SparkSession, path: str, block_id: int, cells: DataFrame, cfg: CodecConfig) -> None:
     """Put a block in the place of the one of its number: its bucket is written anew, the others stay."""
-    own = bucket(F.lit(block_id), per_bucket)
-    kept = spark.read.parquet(path).where((F.col("bucket") == own) & (F.col("block_id") != block_id)).select(*PACKED.fieldNames())
-    new = kept.unionByName(compress(cells.where(F.col("block_id") == block_id), cfg)).withColumn("bucket", bucket("block_id", per_bucket))
-    staged = _staged(spark, new)
-    staged.write.mode("overwrite").option("partitionOverwriteMode", "dynamic").partitionBy("bucket").parquet(path)
+    stored = spark.read.parquet(path).where(F.col("bucket") == F.floor(F.lit(block_id) / F.col("per_bucket")))
+    size = stored.select("per_bucket").first() or spark.read.parquet(path).select("per_bucket").first()
+    per_bucket = size["per_bucket"] if size else PER_BUCKET
+    kept = stored.where(F.col("block_id") != block_id).select(*PACKED.fieldNames())
+    new = kept.unionByName(compress(cells.where(F.col("block_id") == block_id), cfg))
+    staged = _staged(spark, new.withColumns({"per_bucket": F.lit(per_bucket), "bucket": bucket("block_id", per_bucket)}))
+    staged.write.mode("overwrite").option("partitionOverwriteMode", "dynamic").partitionBy("per_bucket", "bucket").parquet(path)
 
 
 def _staged(spark: SparkSession, df: DataFrame) -> DataFrame:

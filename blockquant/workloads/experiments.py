@@ -707,7 +707,7 @@ def block_range_read(spark, d):
     """C4: a range of blocks from a packed store, pruned by bucket and row group."""
     from ..operators.codec import decompress
 
-    cells = decompress(store.read(spark, _stored(spark, d), 3, 6, per_bucket=4))
+    cells = decompress(store.read(spark, _stored(spark, d), 3, 6))
     return cells.groupBy("block_id").agg(F.count("*").alias("n"), F.count_if(F.isnan("re")).alias("n_bad"))
 
 
@@ -716,7 +716,7 @@ def replace_block(spark, d):
     """One block put anew, the others as they were."""
     path = _stored(spark, d)
     cfg = CodecConfig(scaling="row_channel", autos="keep", quantiser="uniform", trunc=None)
-    store.replace_block(spark, path, 5, v1(spark, d).withColumns({"re": F.lit(7.0), "im": F.lit(-7.0)}), cfg, 4)
+    store.replace_block(spark, path, 5, v1(spark, d).withColumns({"re": F.lit(7.0), "im": F.lit(-7.0)}), cfg)
     from ..operators.codec import decompress
 
     cells = decompress(store.read(spark, path))
