@@ -30,6 +30,8 @@ from . import common
 UPPER, LOWER = "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz"
 MAX_RULES = 100_000
 SAVE_EVERY = 5
+#: Links with a host of their own.
+LINKS = r"""(?i)<a\b[^>]{0,1000}?\bhref\s*=\s*["']?(?:https?:)?(//[^"'\s>#?]+)"""
 #: Fixed values: (rule, verdict) of the query.
 RULES = (("com/", "allow"), ("example.com/en/", "block"), ("www.example.com/en/", "allow"), ("net/es/", "block"), ("net/fr/", "block"))
 
@@ -72,7 +74,7 @@ def with_rule(pages: DataFrame, rules: tuple[tuple[str, str], ...] = RULES) -> D
 
 def host_edges(pages: DataFrame, html: str = "html") -> DataFrame:
     """src, dst, n: links between different hosts. ``pages`` has host and html."""
-    links = F.regexp_extract_all(F.coalesce(F.col(f"`{html}`"), F.lit("")), F.lit(r"""(?i)<a\b[^>]{0,2000}?\bhref\s*=\s*["']?(?:https?:)?(//[^"'\s>#?]+)"""), 1)
+    links = F.regexp_extract_all(F.coalesce(F.col(f"`{html}`"), F.lit("")), F.lit(LINKS), 1)
     hosts = F.transform(links, lambda x: host_of(F.concat(F.lit("x:"), x)))
     out = pages.where(F.col("host") != "").select(F.col("host").alias("src"), F.explode(hosts).alias("dst"))
     return out.where("dst <> '' and dst <> src").groupBy("src", "dst").agg(F.count("*").alias("n"))
@@ -124,3 +126,27 @@ def op3_host_trust(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Verdict on every page's url."""
     pages = common.table(spark, sf_dir, "pages").select("page_id", "url", "html")
     return judge(pages).select("page_id", "host", "path", "rule", "verdict", F.round("trust", 9).alias("trust"), F.round("distrust", 9).alias("distrust"))
+
+
+def op3_sql(rounds: int = 15, damping: float = 0.85, floor: float = 0.5, margin: float = 1.0) -> str:
+    """The query in DuckDB's SQL: rounds of ranks written out one after another."""
+    rest = "CASE WHEN contains(url, '://') THEN substr(url, strpos(url, '://') + 3) ELSE '' END"
+    rules = ", ".join(f"('{r}', '{v}', '{r.split('/', 1)[0]}', '/{r.split('/', 1)[1]}')" for r, v in RULES)
+    low = lambda x: f"translate({x}, '{UPPER}', '{LOWER}')"
+    pattern = LINKS.replace("'", "''")
+    parts = [
+        f"rules(rule, verdict, rh, rp) AS (VALUES {rules})",
+        f"p AS (SELECT page_id, html, {low("regexp_extract(rest, '^([^/?#]*)', 1)")} AS host, regexp_extract(rest, '^[^/?#]*([^?#]*)', 1) AS path FROM (SELECT page_id, html, coalesce({rest}, '') AS rest FROM pages))",
+        "fit AS (SELECT page_id, host, path, arg_max(struct_pack(rule := r.rule, verdict := r.verdict), length(r.rule)) AS best FROM (SELECT DISTINCT page_id, host, path FROM p) p JOIN rules r ON (host = rh OR ends_with(host, '.' || rh)) AND starts_with(path, rp) GROUP BY ALL)",
+        "ruled AS (SELECT p.page_id, p.host, p.path, f.best.rule AS rule, f.best.verdict AS rv FROM p LEFT JOIN fit f ON f.page_id = p.page_id AND f.host = p.host AND f.path = p.path)",
+        f"l AS (SELECT host AS src, {low("regexp_extract(link, '^//([^/?#]*)', 1)")} AS dst FROM (SELECT host, unnest(regexp_extract_all(coalesce(html, ''), '{pattern}', 1)) AS link FROM p WHERE host <> ''))",
+        "e AS (SELECT src, dst, count(*) AS n FROM l WHERE dst <> '' AND dst <> src GROUP BY ALL)",
+        "h AS (SELECT host, count(*) FILTER (rv = 'allow') AS allow, count(*) FILTER (rv = 'block') AS block FROM ruled WHERE host <> '' GROUP BY ALL)",
+    ]
+    for kind, src, dst in (("allow", "src", "dst"), ("block", "dst", "src")):
+        parts += [f"s_{kind} AS (SELECT host, {kind} / (SELECT sum({kind}) FROM h)::DOUBLE AS w FROM h WHERE {kind} > 0)", f"x_{kind} AS (SELECT {src} AS src, {dst} AS dst, n / sum(n) OVER (PARTITION BY {src})::DOUBLE AS share FROM e)", f"{kind}0 AS (SELECT host, w AS r FROM s_{kind})"]
+        for k in range(rounds):
+            parts.append(f"{kind}{k + 1} AS (SELECT host, {damping} * sum(m) + ({1 - damping!r}::DOUBLE + {damping} * (SELECT coalesce(sum(r), 0) FROM {kind}{k} WHERE host NOT IN (SELECT src FROM x_{kind}))) * sum(w) AS r FROM (SELECT dst AS host, r * share AS m, 0 AS w FROM x_{kind} JOIN {kind}{k} ON src = host UNION ALL SELECT host, 0, w FROM s_{kind}) GROUP BY host)")
+    parts.append(f"t AS (SELECT coalesce(a.host, b.host) AS host, coalesce(a.r, 0) AS trust, coalesce(b.r, 0) AS distrust FROM allow{rounds} a FULL JOIN block{rounds} b ON a.host = b.host)")
+    parts.append(f"m AS (SELECT *, distrust * (SELECT count(*) FROM (SELECT host FROM t UNION SELECT host FROM h)) >= {floor} AND distrust >= {margin} * trust AS blocked FROM t)")
+    return "WITH " + ",\n".join(parts) + "\nSELECT page_id, r.host, path, rule, coalesce(rv, CASE WHEN blocked THEN 'block' ELSE 'allow' END) AS verdict, round(coalesce(trust, 0), 9) AS trust, round(coalesce(distrust, 0), 9) AS distrust FROM ruled r LEFT JOIN m ON r.host = m.host"

@@ -361,3 +361,22 @@ def test_stages_take_edges(spark, tmp_path):
     for name, f in corpus_pipeline.STAGES:
         assert f(spark, docs, SF2).count() >= 1, name
         assert f(spark, docs.limit(0), SF2).count() == 0, name
+
+
+def test_op3_sql_agrees_where_hosts_link(spark, tmp_path):
+    import duckdb
+
+    rnd = random.Random(6)
+    hosts = ["a.com", "www.example.com", "example.com", "x.net", "y.net", "z.org", "q.org", "r.org"]
+    rows = []
+    for i in range(60):
+        links = "".join(f'<A rel=1 HREF="http{rnd.choice(["", "s"])}://{rnd.choice(hosts).upper()}/p?{i}">t</a>' for _ in range(rnd.randint(0, 3)))
+        rows.append((i, f"http://{rnd.choice(hosts)}{rnd.choice(['', '/en/1', '/es/2', '/fr/3', '/'])}", links))
+    path = f"{tmp_path}/pages.parquet"
+    spark.createDataFrame(rows, "page_id long, url string, html string").coalesce(1).write.parquet(f"file://{path}")
+    con = duckdb.connect()
+    con.execute(f"CREATE VIEW pages AS SELECT * FROM read_parquet('{path}/*.parquet')")
+    want = sorted(con.execute(f"SELECT page_id, host, path, rule, verdict, trust, distrust FROM ({host_trust.op3_sql()})").fetchall())
+    got = sorted(tuple(r) for r in QUERIES["op3_host_trust"](spark, f"file://{tmp_path}").collect())
+    assert [g[:5] for g in got] == [w[:5] for w in want] and any(g[5] > 0 and g[3] is None for g in got)
+    assert all(abs(a - b) < 1e-8 for g, w in zip(got, want, strict=True) for a, b in zip(g[5:], w[5:], strict=True))
