@@ -3,7 +3,7 @@
 K-mers are runs of five words, each labelled with its occurrence number, so repeats count. A sketch takes, under one hash
 order, the ``TAKE`` smallest labelled k-mers and keeps them in text order: two texts get the same sketch only if the
 same k-mers are smallest *and* stand in the same order, which follows edit similarity rather than set overlap. Each of
-``SKETCHES`` orders gives one bucket key. Texts with few k-mers get further sketches of three.
+``SKETCHES`` orders gives one bucket key. Texts of at most ``SHORT`` k-mers get further sketches of fewer k-mers.
 
 Links. Texts with the same words are one text from the start. In each bucket every text is compared with the leader, the
 one of the smallest id: pairs grow with the members, not with their square. A pair links if its alignment similarity,
@@ -34,9 +34,9 @@ from pyspark.sql import functions as F
 from . import common
 
 WORD = re.compile(r"\w+")
-K, TAKE, SKETCHES = 5, 6, 64
+K, TAKE, SKETCHES = 5, 5, 64
 SHORT, SHORT_TAKE, SHORT_SKETCHES = 24, 3, 8
-BLOCK = 64
+BLOCK = 256
 ODD = np.random.default_rng(7).integers(1 << 62, 1 << 63, SKETCHES + SHORT_SKETCHES, np.uint64) * np.uint64(2) + np.uint64(1)
 
 
