@@ -100,7 +100,7 @@ class SubstringAutomaton:
 class PrefixBpe:
     """Exact ids of a word-level byte BPE vocabulary with word-end marks (lower case, white space dropped)."""
 
-    def __init__(self, path: str, memo_words: int = 400_000) -> None:
+    def __init__(self, path: str, memo_words: int = 150_000) -> None:
         spec = json.load(open(path, encoding="utf-8"))
         model, split = spec["model"], spec["pre_tokenizer"]["pretokenizers"][0]
         steps = [n["type"] for n in spec["normalizer"]["normalizers"]]
@@ -219,7 +219,7 @@ class PrefixBpe:
             words = [chunk.encode()]
         else:
             words = [bytes(map(self.byte_of.__getitem__, w)) for w, _ in self.words(self.normal(chunk))]
-        if len(self.pairs) > 1_000_000:
+        if len(self.pairs) > 400_000:
             self.pairs.clear()
         out = array("I")
         for w in words:
@@ -278,7 +278,7 @@ def encode(docs: DataFrame, path: str, text: str = "text", ids: str = "ids", dec
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         bpe = tokenizer(path)
-        for part in common.pieces(batches, at):
+        for part in common.pieces(batches, at, 1 << 20):
             coded = [bpe.encode(t) for t in common.texts_of(part.column(at))]
             columns = [*part.columns[:at], pa.array(coded, pa.binary())]
             if decoded:

@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import ctypes
 import tempfile
 import uuid
 from collections.abc import Iterator
@@ -40,6 +41,15 @@ def pieces(batches: Iterator[pa.RecordBatch], text_field: int, limit: int = 4 <<
         rows = max(1, min(batch.num_rows, int(batch.num_rows * limit / max(1, sizes))))
         for start in range(0, batch.num_rows, rows):
             yield batch.slice(start, rows)
+        give_back()
+
+
+def give_back() -> None:
+    """Return freed memory to the system: a worker outlives its task, and so does what its allocators keep."""
+    pa.default_memory_pool().release_unused()
+    trim = getattr(ctypes.CDLL(None), "malloc_trim", None)
+    if trim:
+        trim(0)
 
 
 def texts_of(column: pa.Array) -> list[str]:

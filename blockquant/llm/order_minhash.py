@@ -50,7 +50,7 @@ class Words(dict):
     """64-bit digests of words, remembered up to a bound."""
 
     def __missing__(self, word: str) -> int:
-        if len(self) > 400_000:
+        if len(self) > 120_000:
             self.clear()
         self[word] = out = int.from_bytes(hashlib.blake2b(word.encode(), digest_size=8).digest(), "little")
         return out
@@ -96,7 +96,7 @@ def sketch(words: np.ndarray) -> list[int]:
     n, keys = len(plain), []
     sets = [(0, SKETCHES, TAKE)] + ([(SKETCHES, SKETCHES + SHORT_SKETCHES, SHORT_TAKE)] if n <= SHORT else [])
     for lo, hi, take in sets:
-        step = max(1, min(hi - lo, (1 << 21) // n))
+        step = max(1, min(hi - lo, (1 << 19) // n))
         for a in range(lo, hi, step):
             b = min(hi, a + step)
             at = smallest(labelled[None, :] * ODD[a:b, None], take)
@@ -171,7 +171,7 @@ def sketched(docs: DataFrame, id_col: str, text: str) -> DataFrame:
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         words = Words()
-        for part in common.pieces(batches, 1):
+        for part in common.pieces(batches, 1, 1 << 20):
             ids, digests, keys = [], [], []
             for i, t in zip(part.column(0).to_pylist(), common.texts_of(part.column(1)), strict=True):
                 w = words.of(t)
@@ -192,7 +192,7 @@ def contents(docs: DataFrame, ids: DataFrame, id_col: str, text: str) -> DataFra
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         words = Words()
-        for part in common.pieces(batches, 1):
+        for part in common.pieces(batches, 1, 1 << 20):
             found = [(words.of(t) >> np.uint64(32)).astype(np.uint32).tobytes() for t in common.texts_of(part.column(1))]
             yield pa.RecordBatch.from_arrays([part.column(0), pa.array(found, pa.binary())], names=["id", "words"])
 
