@@ -18,12 +18,13 @@ import hashlib
 from collections.abc import Iterator
 from functools import lru_cache
 
+import numpy as np
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from . import common
-from .bpe_prefix import SPACES, UNLIKE_SPACE
+from .bpe_prefix import BEYOND_LATIN, LATIN_WORDS, SPACES, UNLIKE_SPACE, WORD_PATTERN
 
 CACHE = "digest binary, n_tokens bigint, tokenizer string"
 
@@ -31,8 +32,9 @@ CACHE = "digest binary, n_tokens bigint, tokenizer string"
 class Counter:
     """Counts by the library; for vocabularies that drop white space, chunks between it are counted once each."""
 
-    def __init__(self, path: str, memo_words: int = 400_000) -> None:
-        self.by_word, self.memo, self.memo_words = False, {"": 0}, memo_words
+    def __init__(self, path: str, memo_words: int = 200_000) -> None:
+        self.by_word = self.latin = False
+        self.memo, self.older, self.memo_words = {"": 0}, {}, memo_words
         if path.endswith(".model"):
             import sentencepiece
 
@@ -44,23 +46,67 @@ class Counter:
             model = Tokenizer.from_file(path)
             model.no_truncation()
             model.no_padding()
-            self.by_word = drops_space(path)
+            self.by_word, self.latin = drops_space(path), has_latin_words(path)
             self._lengths = lambda texts: [len(x.ids) for x in model.encode_batch_fast(texts, add_special_tokens=False)]
+            if self.latin:
+                self._model, end = model, model.model.end_of_word_suffix
+                ids = model.get_vocab(True)
+                self._ends = np.zeros(max(ids.values()) + 1, bool)
+                self._ends[[i for t, i in ids.items() if t.endswith(end)]] = True
+
+    def _word_lengths(self, words: list[str]) -> list[int]:
+        """Of words of the pattern: one text of many words, told apart by the tokens that end words."""
+        out: list[int] = []
+        for start in range(0, len(words), 1024):
+            some = words[start : start + 1024]
+            ids = np.array(self._model.encode_batch_fast([" ".join(some)], add_special_tokens=False)[0].ids)
+            at = np.flatnonzero(self._ends[ids])
+            out += np.diff(at, prepend=-1).tolist() if len(at) == len(some) else self._lengths(some)
+        return out
+
+    def _learn(self, texts: set[str], words: bool = False) -> None:
+        """Put counts of new chunks or words into the memo."""
+        memo, older = self.memo, self.older
+        new = []
+        for t in texts:
+            known = older.get(t)
+            if known is None:
+                new.append(t)
+            else:
+                memo[t] = known
+        for start in range(0, len(new), 4096):
+            some = new[start : start + 4096]
+            memo.update(zip(some, (self._word_lengths if words else self._lengths)(some), strict=True))
 
     def lengths(self, texts: list[str]) -> list[int]:
         if not self.by_word:
             return self._lengths(texts) if texts else []
         if len(self.memo) > self.memo_words:
-            self.memo = {"": 0}
+            self.memo, self.older = {"": 0}, self.memo
         memo = self.memo
         chunks = [SPACES.split(t) if UNLIKE_SPACE.search(t) else t.split() for t in texts]
-        new = list({c for row in chunks for c in row if c not in memo})
-        for start in range(0, len(new), 4096):
-            some = new[start : start + 4096]
-            memo.update(zip(some, self._lengths(some), strict=True))
+        new = {c for row in chunks for c in row if c not in memo}
+        if self.latin:  # a chunk's count is the sum of its words', and words are fewer than chunks
+            parts = {c: LATIN_WORDS.findall(c.lower()) for c in new if "<|" not in c and BEYOND_LATIN.search(c) is None}
+            self._learn({c for c in new if c not in parts})
+            self._learn({w for own in parts.values() for w in own if w not in memo}, True)
+            for c, own in parts.items():
+                memo[c] = sum(map(memo.__getitem__, own))
+        else:
+            self._learn(new)
         return [sum(map(memo.__getitem__, row)) for row in chunks]
 
 
+def has_latin_words(path: str) -> bool:
+    """Whether the file's word pattern is the one that ``LATIN_WORDS`` stands for, after lower-casing."""
+    import json
+
+    spec = json.load(open(path, encoding="utf-8"))
+    first = ((spec.get("pre_tokenizer") or {}).get("pretokenizers") or [{}])[0]
+    steps = [n["type"] for n in (spec.get("normalizer") or {}).get("normalizers", [])]
+    return drops_space(path) and first["pattern"].get("Regex") == WORD_PATTERN and steps == ["NFC", "Replace", "Lowercase"]
+
+
 def drops_space(path: str) -> bool:
     """Whether no token and no rule of the vocabulary file reaches over white space, so that chunks can be counted alone."""
     import json
