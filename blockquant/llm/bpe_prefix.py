@@ -34,6 +34,8 @@ from . import common
 NEVER = 1 << 60
 #: Control characters that str.split() takes for white space and the vocabulary's pattern does not.
 UNLIKE_SPACE = re.compile("[\x1c-\x1f]")
+#: Fixed value: the word pattern of the vocabulary file that ``LATIN_WORDS`` stands for.
+WORD_PATTERN = r"'s|'t|'re|'ve|'m|'ll|'d|[\p{L}]+|[\p{N}]|[^\s\p{L}\p{N}]+"
 #: Words of chunks whose letters all lie in Latin-1, in lower case: there every Unicode version agrees with the vocabulary's pattern.
 LATIN_WORDS = re.compile("'s|'t|'re|'ve|'m|'ll|'d|[a-z\xaa\xb5\xba\xdf-\xf6\xf8-\xff]+|[0-9\xb2\xb3\xb9\xbc-\xbe]|[^\\sa-z0-9\xaa\xb2\xb3\xb5\xb9\xba\xbc-\xbe\xdf-\xf6\xf8-\xff]+")
 BEYOND_LATIN = re.compile("[^\x21-\x7e\xa1-\xff]")
@@ -100,7 +102,7 @@ class SubstringAutomaton:
 class PrefixBpe:
     """Exact ids of a word-level byte BPE vocabulary with word-end marks (lower case, white space dropped)."""
 
-    def __init__(self, path: str, memo_words: int = 150_000) -> None:
+    def __init__(self, path: str, memo_words: int = 220_000) -> None:
         spec = json.load(open(path, encoding="utf-8"))
         model, split = spec["model"], spec["pre_tokenizer"]["pretokenizers"][0]
         steps = [n["type"] for n in spec["normalizer"]["normalizers"]]
@@ -108,6 +110,7 @@ class PrefixBpe:
             raise ValueError(f"{path} is not a lower-case word vocabulary with word ends")
         rules = Tokenizer.from_file(path)  # for its normaliser and word pattern, whose Unicode tables are its own
         self.normal, self.words = rules.normalizer.normalize_str, rules.pre_tokenizer.pre_tokenize_str
+        self.latin = split["pattern"]["Regex"] == WORD_PATTERN
         self.special = {x["content"]: x["id"] for x in spec["added_tokens"]}
         self.special_split = re.compile("(" + "|".join(map(re.escape, self.special)) + ")")
         vocab, end = model["vocab"], model["end_of_word_suffix"]
@@ -212,7 +215,7 @@ class PrefixBpe:
         return ids
 
     def _chunk(self, chunk: str) -> bytes:
-        if BEYOND_LATIN.search(chunk) is None:
+        if self.latin and BEYOND_LATIN.search(chunk) is None:
             parts = LATIN_WORDS.findall(chunk.lower())
             if parts != [chunk]:
                 return b"".join([self.memo[w] for w in parts])
