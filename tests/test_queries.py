@@ -8,7 +8,6 @@ import pytest
 from blockquant.workloads import ORACLES, QUERIES
 
 TABLES = "region nation customer supplier part orders lineitem events documents embeddings pages benchmark labels conversations".split()
-SLOW = {"unpack_roundtrip", "op_unpack_at", "pack_lengths"}
 
 
 @pytest.fixture(scope="module")
