@@ -12,6 +12,7 @@ from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
@@ -39,10 +40,10 @@ class Block:
         return np.nan_to_num(np.abs(self.v)).max(1)
 
 
-def usable(t: pa.Table | pa.RecordBatch, where: np.ndarray, autos: str) -> Block:
-    col = lambda n, k: t[n].to_numpy(zero_copy_only=False).astype(k)[where] if isinstance(t, pa.RecordBatch) else t[n].to_numpy().astype(k)[where]
+def usable(t: pa.Table, where: np.ndarray, autos: str) -> Block:
+    col = lambda n, k: t[n].to_numpy().astype(k)[where]
     v = np.column_stack([col("re", float), col("im", float)])
-    v[~np.isfinite(v).all(1) | (np.array(t["flagged"].to_pylist(), object) == True)[where]] = np.nan  # noqa: E712
+    v[~np.isfinite(v).all(1) | pc.fill_null(t["flagged"], False).to_numpy()[where]] = np.nan
     b = Block(col("row_id", np.int64), col("ant_a", np.int64), col("ant_b", np.int64), col("ch", np.int64), v)
     if autos == "zero":
         v[(b.a == b.b) & ~np.isnan(v[:, 0])] = 0
@@ -85,11 +86,12 @@ def solve_antennas(var: np.ndarray, solver: str = "als", sweeps: int = 50) -> np
     else:
         g = np.sqrt(ratio(np.where(there, var, 0).sum(1), there.sum(1)))
         g[g == 0] = np.sqrt(var[there].mean())
-    w = np.where(there, var, 0.0)
+    w, partners = np.where(there, var, 0.0), there.astype(float)
+    alone = ~there.any(1)
     for _ in range(sweeps):
-        new = ratio(w @ g, there @ (g * g))
-        new = np.where(new > 0, np.sqrt(g * new), g)  # damped by the geometric mean: plain substitution oscillates
-        if np.allclose(new, g, rtol=1e-12, atol=0):
+        new = np.sqrt(g * (w @ g) / np.maximum(partners @ (g * g), 1e-300))  # damped by the geometric mean: plain substitution oscillates
+        new[alone] = g[alone]
+        if (np.abs(new - g) <= 1e-10 * g).all():
             break
         g = new
     return g
