@@ -104,9 +104,9 @@ class PrefixBpe:
 
     def __init__(self, path: str, memo_words: int = 220_000) -> None:
         spec = json.load(open(path, encoding="utf-8"))
-        model, split = spec["model"], spec["pre_tokenizer"]["pretokenizers"][0]
-        steps = [n["type"] for n in spec["normalizer"]["normalizers"]]
-        if steps != ["NFC", "Replace", "Lowercase"] or not split["invert"] or split["behavior"] != "Removed" or not model["end_of_word_suffix"]:
+        model, split = spec["model"], ((spec.get("pre_tokenizer") or {}).get("pretokenizers") or [{}])[0]
+        steps = [n["type"] for n in (spec.get("normalizer") or {}).get("normalizers", [])]
+        if steps != ["NFC", "Replace", "Lowercase"] or not split.get("invert") or split["behavior"] != "Removed" or not model["end_of_word_suffix"]:
             raise ValueError(f"{path} is not a lower-case word vocabulary with word ends")
         rules = Tokenizer.from_file(path)  # for its normaliser and word pattern, whose Unicode tables are its own
         self.normal, self.words = rules.normalizer.normalize_str, rules.pre_tokenizer.pre_tokenize_str

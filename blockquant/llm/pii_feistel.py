@@ -9,7 +9,8 @@ What is permuted, with what stays:
 
 * payment cards (13-19 digits, Luhn): all but the first digit; the check digit is set anew
 * IBANs (mod 97): the letters and digits of the account; country stays, check digits are set anew
-* phone numbers (+1 number plan, or + and 8-15 digits): all but the country code
+* phone numbers (+ and 8-15 digits, or 10 digits of the +1 number plan): all but the country code; what is in the +1 plan
+  stays in it and what is not stays outside
 * social security numbers (valid areas, groups, serials), IPv4 addresses (first octet 1-223)
 * dates 1900-2099, as y-m-d, y/m/d, d.m.y, d/m/y or m/d/y: among the dates whose day could or could not be a month
 * e-mail addresses: letters and digits of the local part, each in its own kind; the domain stays
@@ -166,8 +167,13 @@ class Pseudonyms:
     def nanp(self, s: str) -> str | None:
         d = re.sub(r"\D", "", s)
         code, d = d[:-10], d[-10:]
-        if d[0] < "2" or d[3] < "2":
-            return None
+        if d[0] < "2" or d[3] < "2":  # no area or office has such a number; with its country code it is a phone number all the same
+            if not code:
+                return None
+            d = self.digits(d, "phone1")
+            while d[0] >= "2" and d[3] >= "2":
+                d = self.digits(d, "phone1")
+            return laid(s, code + d)
         n = ((int(d[:3]) - 200) * 800 + int(d[3:6]) - 200) * 10_000 + int(d[6:])
         n, line = divmod(self.permuted(n, 800 * 800 * 10_000, "nanp"), 10_000)
         area, office = divmod(n, 800)
@@ -209,16 +215,21 @@ class Pseudonyms:
                 continue
             lo, hi = max(upto, anchor.start() - 80), self._end(text, anchor.start())
             upto = hi
-            for m in FOUND.finditer(text, lo, hi):
+            at = lo
+            while (m := FOUND.search(text, at, hi)) is not None:
                 kind = m.lastgroup if m.lastgroup not in ("s1", "s2", "value") else "secret" if m["secret"] else "date"
-                if kind == "secret":
-                    start, end = m.span("value")
-                else:
-                    start, end = m.span()
+                start, end = m.span("value") if kind == "secret" else m.span()
                 new = getattr(self, kind)(text[start:end])
-                if new is not None:
-                    out += (text[done:start], new)
-                    done, n = end, n + 1
+                if new is None and kind in ("card", "phone"):  # it may have run on into the next number
+                    for stop in reversed([i for i in range(start + 8, end) if text[i] in " -."]):
+                        if (kind == "phone" or sum(map(str.isdigit, text[start:stop])) >= 13) and (new := getattr(self, kind)(text[start:stop])) is not None:
+                            end = stop
+                            break
+                if new is None:
+                    at = m.start() + 1
+                    continue
+                out += (text[done:start], new)
+                done, n, at = end, n + 1, end
         return ("".join(out) + text[done:], n) if n else (text, 0)
 
     @staticmethod

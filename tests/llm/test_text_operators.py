@@ -95,7 +95,7 @@ def test_op2_against_the_library(spark, sf, library):
 
 
 PRIVATE = {
-    "card": "4111 1111 1111 1111", "iban": "DE89 3704 0044 0532 0130 00", "ip": "42.144.35.254", "ssn": "078-05-1120", "nanp": "+1 (988) 555-2485",
+    "card": "4111 1111 1111 1111", "iban": "DE89 3704 0044 0532 0130 00", "ip": "42.144.35.254", "ssn": "078-05-1120", "nanp": "+1 (988) 555-2485", "nanp_outside": "+1 (139) 555-2766",
     "phone": "+44 20 7946 0958", "date": "2024-02-29", "date_dots": "31.12.1999", "date_us": "12/31/1999", "email": "Ann.lee42@mail8.example.com", "secret": "b7db7aa4a5fcc78305",
 }
 
@@ -142,6 +142,14 @@ def test_what_does_not_validate_stays(text):
     assert pii_feistel.Pseudonyms(b"k").replace(text) == (text, 0)
 
 
+@pytest.mark.parametrize("text", ["a 4451718024887799 27.65.93.188 b", "12 4451718024887799, c", "+1 (836) 555-9331 4913187196670932 53.121.55.90 d", "4451718024887799 4913187196670932"])
+def test_values_side_by_side(text):
+    out, n = pii_feistel.Pseudonyms(b"k").replace(text)
+    assert n >= 2 or text.startswith("12")
+    assert not [v for v in ("4451718024887799", "4913187196670932", "27.65.93.188", "53.121.55.90", "555-9331") if v in text and v in out]
+    assert pii_feistel.Pseudonyms(b"k", reveal=True).replace(out)[0] == text
+
+
 def test_equal_dates_stay_linked_across_layouts():
     make = pii_feistel.Pseudonyms(b"k")
     assert datetime.date.fromisoformat(make.date("1999-12-31")).strftime("%d.%m.%Y") == make.date("31.12.1999")
