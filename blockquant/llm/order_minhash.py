@@ -6,15 +6,16 @@ same k-mers are smallest *and* stand in the same order, which follows edit simil
 ``SKETCHES`` orders gives one bucket key. Texts of at most ``SHORT`` k-mers get further sketches of fewer k-mers.
 
 Links. Texts with the same words are one text from the start. In each bucket every text is compared with the leader, the
-one of the smallest id: pairs grow with the members, not with their square. A pair links if its alignment similarity,
-1 - edits / longer length, reaches the threshold: a banded bit-parallel alignment of the words decides, with the band as
-wide as the threshold allows edits. Members that failed against their leader aren't dropped: what is left of each bucket
-is compared among itself, in blocks of ``BLOCK`` texts against blocks, each pair once in whichever bucket names it first.
-Classes are connected components, by alternating stars.
+one of the smallest id. A pair links if its alignment similarity, 1 - edits / longer length, reaches the threshold: a
+banded bit-parallel alignment of the words decides, with the band as wide as the threshold allows edits. Similarity isn't
+transitive, so a text that failed against its leader may still link with one that didn't: buckets whose texts the leaders
+haven't joined into one class are compared among themselves, in blocks of ``BLOCK`` texts against blocks, each pair of
+different classes once, in whichever bucket names it first. No link between texts that share a bucket is lost, other
+than those inside a class. Classes are connected components, by alternating stars.
 
 Scale: one pass reads the texts and leaves half a kilobyte of keys for each; copies are combined by digest before they
 move. Words are fetched only for texts in shared buckets. Leaders with many members are dealt to several tasks with a copy
-of the leader's words, and so are the blocks of a bucket. Each step of the components ends in a shared table.
+of the leader's words, and so are the blocks of a bucket; blocks of one class never meet. Each step of the components ends in a shared table.
 
 Defined results: null, empty and wordless texts are classes of their own; case and punctuation don't matter; texts of any
 length are compared whole; rows that repeat an id share its class; null ids keep a null class.
@@ -217,15 +218,18 @@ def compared(pairs: DataFrame, known: DataFrame, threshold: float, chunk: int =
 
 
 def compared_in_blocks(left: DataFrame, known: DataFrame, threshold: float) -> DataFrame:
-    """Links among the texts that each bucket has left, as many as join them. ``left``: key, id. Texts move once per block of
-    their bucket, not once per pair, and a pair that other links of its blocks have joined needs none of its own."""
+    """Links among the texts of each bucket, as many as join them. ``left``: key, id, class that the text is in already. Texts
+    move once per block that holds other classes, not once per pair, and a pair in one class by earlier links or by those of
+    its blocks needs none of its own."""
     kind = known.schema["id"].dataType.simpleString()
-    place = (F.row_number().over(Window.partitionBy("key").orderBy("id")) - 1) / BLOCK
+    place = (F.row_number().over(Window.partitionBy("key").orderBy("class", "id")) - 1) / BLOCK
     ranked = left.withColumn("block", F.floor(place).cast("int"))
-    blocks = ranked.groupBy("key").agg((F.max("block") + 1).alias("blocks"), F.count("*").alias("n")).where("n > 1").drop("n")
+    spans = ranked.groupBy("key", "block").agg(F.struct("block", F.min("class").alias("lo"), F.max("class").alias("hi")).alias("span"))
+    spans = spans.groupBy("key").agg(F.collect_list("span").alias("spans"))
     own_keys = left.groupBy("id").agg(F.collect_set("key").alias("keys"))  # at most one per sketch
-    dealt = ranked.join(blocks, "key").withColumn("other", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)))
-    dealt = dealt.select("key", "id", "block", F.least("block", "other").alias("i"), F.greatest("block", "other").alias("j"))
+    others = F.expr("transform(filter(spans, s -> s.lo <> s.hi or s.lo <> class or exists(spans, o -> o.block = block and o.lo <> o.hi)), s -> s.block)")
+    dealt = ranked.join(spans, "key").withColumn("other", F.explode(others))
+    dealt = dealt.select("key", "id", "class", "block", F.least("block", "other").alias("i"), F.greatest("block", "other").alias("j"))
     dealt = dealt.join(known, "id").join(own_keys, "id")
 
     def run(t: pa.Table) -> pa.Table:
@@ -233,7 +237,8 @@ def compared_in_blocks(left: DataFrame, known: DataFrame, threshold: float) -> D
         ids, blocks, keys = t["id"].to_pylist(), t["block"].to_pylist(), [set(k) for k in t["keys"].to_pylist()]
         words = [np.frombuffer(w, np.uint32) for w in t["words"].to_pylist()]
         out: list[tuple] = []
-        root = list(range(len(ids)))  # of a forest of links: what it joins already needs no further link
+        first: dict = {}
+        root = [first.setdefault(c, x) for x, c in enumerate(t["class"].to_pylist())]  # of a forest of links: what it joins already needs no further link
 
         def top(x: int) -> int:
             while root[x] != x:
@@ -274,12 +279,16 @@ def components(edges: DataFrame) -> DataFrame:
 
 
 def linked(bands: DataFrame, known: DataFrame, threshold: float) -> DataFrame:
-    """Links (a, b, similarity) between texts that share a bucket. ``bands``: key, id, of buckets with several texts."""
+    """Links (a, b) that join the texts that share a bucket: those between texts and the class their leaders put them in, and
+    those between such classes. ``bands``: key, id, of buckets with several texts."""
     first = bands.groupBy("key").agg(F.min("id").alias("a"))
     members = common.stored(bands.join(first, "key").where("id <> a"), "members")
     pairs = common.stored(compared(members.select("a", F.col("id").alias("b")).distinct(), known, threshold), "compared")
-    left = common.stored(members.join(pairs.where("similarity = 0").select("a", F.col("b").alias("id")), ["a", "id"], "left_semi").select("key", "id"), "left")
-    return pairs.where("similarity > 0").unionAll(compared_in_blocks(left, known, threshold))
+    stars = components(pairs.where("similarity > 0").select("a", "b"))
+    classed = members.select("key", "id").join(stars, "id", "left").select("key", "id", F.coalesce("class", "id").alias("class"))
+    several = classed.groupBy("key").agg(F.min("class").alias("lo"), F.max("class").alias("hi")).where("lo <> hi").select("key")
+    left = common.stored(classed.join(several, "key", "left_semi"), "left")
+    return stars.select(F.col("class").alias("a"), F.col("id").alias("b")).unionAll(compared_in_blocks(left, known, threshold).select("a", "b"))
 
 
 def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text: str = "text", threshold: float = 0.8) -> DataFrame:
@@ -291,7 +300,7 @@ def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text: str = "text",
     shared = bands.groupBy("key").agg(F.count("*").alias("n")).where("n > 1").select("key")
     bands = common.stored(bands.join(shared, "key"), "bands")
     known = common.stored(contents(docs, bands.select("id").distinct(), id_col, text), "contents")
-    classes = components(linked(bands, known, threshold).select("a", "b"))
+    classes = components(linked(bands, known, threshold))
     member = rows.select("id", "digest").distinct().join(texts, "digest").join(classes.withColumnRenamed("id", "rep"), "rep", "left").select("id", F.coalesce("class", "rep").alias("c"))
     member = member.groupBy("id").agg(F.min("c").alias("c"))
     every = docs.select(F.col(f"`{id_col}`"))

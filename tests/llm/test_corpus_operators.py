@@ -90,6 +90,21 @@ def test_blocks_find_what_the_leader_hides(spark):
     assert classes[1] == 0 and {classes.get(i, i) for i in range(2, 200)} == {2}
 
 
+def test_texts_that_fail_their_leader_meet_those_that_do_not(spark):
+    """A copy without a section links with the leader and with the copy that has the section moved, which the leader fails."""
+    rnd = random.Random(6)
+    base = words(rnd, 500)
+    rows = [(0, base), (1, base[:100] + base[160:]), (2, base[:100] + base[160:] + base[100:160])]
+    rows += [(i, [*base[:i], "x", *base[i + 1 :]]) for i in range(3, 300)]  # more than a block of the leader's class
+    rows.append((300, words(rnd, 500)))
+    known = spark.createDataFrame([(i, (order_minhash.Words().of(" ".join(w)) >> np.uint64(32)).astype(np.uint32).tobytes()) for i, w in rows], "id long, words binary")
+    word = [np.frombuffer(r["words"], np.uint32) for r in known.orderBy("id").collect()[:3]]
+    assert [order_minhash.similarity(word[a], word[b], 0.8) > 0 for a, b in ((0, 1), (1, 2), (0, 2))] == [True, True, False]
+    bands = known.select(F.lit(7).cast("long").alias("key"), "id")
+    classes = {r["id"]: r["class"] for r in order_minhash.components(order_minhash.linked(bands, known, 0.8).select("a", "b")).collect()}
+    assert [classes.get(i, i) for i in range(301)] == [0] * 300 + [300]
+
+
 def test_near_duplicate_edges(spark):
     docs = spark.createDataFrame([(1, "a b c d e f", 3), (1, "a b c d e f", 3), (None, "a b c d e f", 3)], "doc_id long, text string, digest long")
     assert sorted((r["doc_id"], r["class_id"]) for r in order_minhash.near_duplicates(docs).collect() if r["doc_id"]) == [(1, 1), (1, 1)]
