@@ -38,7 +38,8 @@ from pyspark.sql import types as T
 from . import common
 
 ROUNDS = 8
-ANCHOR = re.compile(r"[0-9@=]")
+ANCHOR = re.compile(r"[0-9@=:]")  # every match of FOUND has one among its first 80 characters
+SPACE = re.compile(r"\s")
 FOUND = re.compile(
     r"""
     (?P<email>(?<![\w.%+-])[A-Za-z0-9][A-Za-z0-9._%+-]{0,63}@[A-Za-z0-9-]{1,63}(?:\.[A-Za-z0-9-]{1,63}){1,8}(?![\w-]))
@@ -213,7 +214,7 @@ class Pseudonyms:
         for anchor in ANCHOR.finditer(text):
             if anchor.start() < upto:
                 continue
-            lo, hi = max(upto, anchor.start() - 80), self._end(text, anchor.start())
+            lo, hi = max(done, anchor.start() - 80), self._end(text, anchor.start())
             upto = hi
             at = lo
             while (m := FOUND.search(text, at, hi)) is not None:
@@ -234,12 +235,17 @@ class Pseudonyms:
 
     @staticmethod
     def _end(text: str, at: int) -> int:
-        """End of a stretch that no value reaches over: 80 characters without an anchor, then white space."""
-        last = at
-        while (m := ANCHOR.search(text, last + 1, last + 81)) is not None:
+        """End of a stretch: white space, or the text's end, at least 80 characters after the last anchor before it."""
+        last, end = at, -1
+        while True:
+            while (m := ANCHOR.search(text, last + 1, last + 81)) is not None:
+                last = m.start()
+            if end < last + 80:
+                space = SPACE.search(text, min(len(text), last + 80))
+                end = space.start() if space else len(text)
+            if (m := ANCHOR.search(text, last + 1, end)) is None:
+                return end
             last = m.start()
-        end = re.compile(r"\s").search(text, min(len(text), last + 80))
-        return end.start() if end else len(text)
 
 
 LOWER, UPPER, DIGITS, HEX = "abcdefghijklmnopqrstuvwxyz", "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "0123456789", "0123456789abcdef"

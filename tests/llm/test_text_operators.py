@@ -150,6 +150,19 @@ def test_values_side_by_side(text):
     assert pii_feistel.Pseudonyms(b"k", reveal=True).replace(out)[0] == text
 
 
+@pytest.mark.parametrize("secret", ["password: correcthorse", "{'secret': 'abcdefgh'}", "token:" + "x" * 150 + "1y", "api_key :  " + "abcde" * 30, "pwd = correcthorse", "passphrase\n=\nabcdefgh"])
+def test_secrets_are_found_whatever_stands_around_them(secret):
+    make, undo = pii_feistel.Pseudonyms(b"k"), pii_feistel.Pseudonyms(b"k", reveal=True)
+    new, n = make.replace(secret)
+    assert n == 1 and new != secret
+    for before in ("", "1 ", "at 7: "):
+        for filler in range(130):
+            text = f"{before}{'w' * filler} {secret} and so on"
+            out = make.replace(text)
+            assert out == (text.replace(secret, new), 1)
+            assert undo.replace(out[0])[0] == text
+
+
 def test_equal_dates_stay_linked_across_layouts():
     make = pii_feistel.Pseudonyms(b"k")
     assert datetime.date.fromisoformat(make.date("1999-12-31")).strftime("%d.%m.%Y") == make.date("31.12.1999")
