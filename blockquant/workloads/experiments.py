@@ -133,6 +133,19 @@ def w3_repeat_customer(spark, d):
     return _repeat(c.select(F.col("c_custkey").alias("ord"), F.col("c_acctbal").alias("v")))
 
 
+@query("w3_repeat_avg_customer_all", _repeat_sql("customer0", "c_acctbal").replace("FROM customer0", "FROM (SELECT c_custkey AS ord, c_acctbal FROM customer)"))
+def w3_repeat_customer_all(spark, d):
+    """The experiment over every customer, as ``w3_repeat_avg_customer`` takes a prefix of the keys."""
+    c = tables.load(spark, d, "customer", "c_custkey", "c_acctbal")
+    return _repeat(c.select(F.col("c_custkey").alias("ord"), F.col("c_acctbal").alias("v")))
+
+
+@query("w3_repeat_avg_events", _repeat_sql("events0", "value").replace("FROM events0", "FROM (SELECT event_id AS ord, value FROM events)"))
+def w3_repeat_events(spark, d):
+    e = tables.load(spark, d, "events", "event_id", "value")
+    return _repeat(e.select(F.col("event_id").alias("ord"), F.col("value").alias("v")))
+
+
 # Sweeps.
 
 WB = (2, 3, 4, 5, 6, 7, 8)

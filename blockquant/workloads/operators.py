@@ -109,6 +109,14 @@ def op_full_outer(spark, d):
     return a.join(b, "k", "full_outer")
 
 
+@query("op_full_outer_all", "SELECT coalesce(a.k, b.k) AS k, a.n AS n_docs, b.n AS n_vecs FROM (SELECT doc_id % 50 AS k, count(*) AS n FROM documents GROUP BY 1) a FULL JOIN (SELECT 10 + vec_id % 50 AS k, count(*) AS n FROM embeddings GROUP BY 1) b USING (k)")
+def op_full_outer_all(spark, d):
+    """All documents and vectors; the key ranges alone leave keys of each side unmatched."""
+    a = tables.load(spark, d, "documents", "doc_id").groupBy((F.col("doc_id") % 50).alias("k")).agg(F.count("*").alias("n_docs"))
+    b = tables.load(spark, d, "embeddings", "vec_id").groupBy((F.col("vec_id") % 50 + 10).alias("k")).agg(F.count("*").alias("n_vecs"))
+    return a.join(b, "k", "full_outer")
+
+
 @query("op_lateral_peak", sql.with_(sql.v1(), "p AS (SELECT block_id, ch, round(max(greatest(abs(re), abs(im))), 8) AS peak FROM cells GROUP BY ALL)") + "SELECT b.block_id, t.ch, t.peak FROM (SELECT DISTINCT block_id FROM cells) b, LATERAL (SELECT ch, peak FROM p WHERE p.block_id = b.block_id ORDER BY peak DESC, ch LIMIT 1) t")
 def op_lateral_peak(spark, d):
     """Each block's strongest channel by a correlated sub-select."""
@@ -263,13 +271,22 @@ def op_bits_hash(spark, d):
     return u.select("user_id", c.bitwiseAND(F.lit(12)).alias("a"), c.bitwiseXOR(F.lit(5)).alias("x"), F.bit_count(c).alias("b"), F.md5(c.cast("string")).alias("h"))
 
 
-@query("op_pack_hex", CODED.rstrip() + "\nSELECT row_id, pol, upper(string_agg(printf('%02x', sym), '' ORDER BY ch, part)) AS payload FROM coded WHERE ch < 4 GROUP BY ALL")
-def op_pack_hex(spark, d):
-    coded = quantise.encode(row_samples(spark, d).where("ch < 4"), U8)
+def _packed_hex(samples):
+    coded = quantise.encode(samples, U8)
     rows = coded.groupBy("row_id", "pol").agg(F.transform(F.array_sort(F.collect_list(F.struct("ch", "part", "sym"))), lambda x: x["sym"]).alias("s"))
     return rows.select("row_id", "pol", F.hex(bitlib.pack_expr(F.col("s"), 8)).alias("payload"))
 
 
+@query("op_pack_hex", CODED.rstrip() + "\nSELECT row_id, pol, upper(string_agg(printf('%02x', sym), '' ORDER BY ch, part)) AS payload FROM coded WHERE ch < 4 GROUP BY ALL")
+def op_pack_hex(spark, d):
+    return _packed_hex(row_samples(spark, d).where("ch < 4"))
+
+
+@query("op_pack_hex_all", CODED.rstrip() + "\nSELECT row_id, pol, upper(string_agg(printf('%02x', sym), '' ORDER BY ch, part)) AS payload FROM coded GROUP BY ALL")
+def op_pack_hex_all(spark, d):
+    return _packed_hex(row_samples(spark, d))
+
+
 @query("op_unpack_at", "SELECT vec_id AS row_id, floor((embedding[11]::DOUBLE + 1) / 2 * 1023)::BIGINT AS sym FROM embeddings")
 def op_unpack_at(spark, d):
     """One 10-bit symbol out of a payload, from the bytes it lies in."""

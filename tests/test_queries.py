@@ -39,3 +39,18 @@ def test_query(spark, sf, con, name):
         assert rows(got) == rows(want)
     else:
         assert len(got) > 0
+
+
+@pytest.mark.parametrize("name", ["w3_repeat_avg_customer_all", "w3_repeat_avg_events", "op_full_outer_all", "op_pack_hex_all"])
+def test_whole_tables_are_read(spark, name):
+    """On tables large enough for a subset of ids to show, against the SQL."""
+    d, c = "/root/testdata/sf0.01", duckdb.connect()
+    for t in ("customer", "events", "documents", "embeddings"):
+        c.execute(f"CREATE VIEW {t} AS SELECT * FROM read_parquet('{d}/{t}.parquet')")
+    got = QUERIES[name](spark, d).toPandas()
+    assert rows(got) == rows(c.execute(ORACLES[name]).fetchdf())
+    n_docs, n_vecs, n_samples = c.execute("SELECT (SELECT count(*) FROM documents), (SELECT count(*) FROM embeddings), (SELECT sum(len(embedding)) FROM embeddings)").fetchone()
+    if name == "op_full_outer_all":
+        assert (got["n_docs"].sum(), got["n_vecs"].sum()) == (n_docs, n_vecs) and got["n_docs"].isna().any() and got["n_vecs"].isna().any()
+    if name == "op_pack_hex_all":
+        assert got["payload"].str.len().sum() == 2 * n_samples
