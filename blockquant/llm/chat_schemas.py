@@ -158,15 +158,18 @@ def turns_of_records(records: DataFrame, json: str = "json", layouts: tuple[Layo
 
 
 def turns_of_table(table: DataFrame) -> DataFrame:
-    """Canonical turns of a table with one row per turn, by the fingerprint of the columns it has in common with a mapping."""
+    """Canonical turns of a table with one row per turn. The fingerprint of the nested paths of those of its columns that a
+    mapping names must be one that a mapping is registered under; a table that fits none is an error."""
     spark = table.sparkSession
-    for names in TURN_TABLES:
-        if set(names) <= set(table.columns):
-            own = table.select(*(F.col(f"`{n}`") for n in names))
-            want = spark.range(1).select(F.lit(0).alias(names[0]), F.lit(0).alias(names[1]), F.lit("").alias(names[2]), F.lit("").alias(names[3]))
-            same = own.select(F.col(names[0]).cast("long").alias("conv_id"), F.col(names[1]).cast("long").alias("turn"), F.coalesce(names[2], F.lit("")).alias("role"), F.coalesce(names[3], F.lit("")).alias("text"), table_fingerprint(own).alias("f"), table_fingerprint(want).alias("g"))
-            return same.where("f = g").drop("f", "g")
-    raise ValueError(f"no mapping for a table of {table.columns}")
+    owns = [table.select(*(F.col(f"`{n}`") for n in names if n in table.columns)) for names in TURN_TABLES]
+    registered = [fingerprint(F.array(*(F.lit(n) for n in names))) for names in TURN_TABLES]
+    prints = spark.range(1).select(F.array(*registered), F.array(*(table_fingerprint(own) for own in owns if own.columns))).first()
+    registry = dict(zip(prints[0], TURN_TABLES, strict=True))
+    names = next((registry[f] for f in prints[1] if f in registry), None)
+    if names is None:
+        raise ValueError(f"no mapping for a table of {sorted(schema_paths(table.schema))}")
+    conv, turn, role, text = (F.col(f"`{n}`") for n in names)
+    return table.select(conv.cast("long").alias("conv_id"), turn.cast("long").alias("turn"), F.coalesce(role, F.lit("")).alias("role"), F.coalesce(text, F.lit("")).alias("text"))
 
 
 # Formatting and reading back.

@@ -240,3 +240,16 @@ def test_chat_tables_with_nulls_ties_and_extra_columns(spark):
     assert back == {1: [("", "z"), ("user", ""), ("user", "")], None: [("user", "n")]}
     with pytest.raises(ValueError):
         chat_schemas.turns_of_table(t.drop("role"))
+
+
+def test_chat_tables_of_nested_values_are_reported(spark):
+    """Same column names, but a nested text: no mapping's fingerprint, so not a result without rows."""
+    t = spark.createDataFrame([(1, 0, "user", ("x",))], "conv_id long, turn long, role string, text struct<parts:string>")
+    with pytest.raises(ValueError, match="text.parts"):
+        chat_schemas.turns_of_table(t)
+    with pytest.raises(ValueError):
+        chat_schemas.turns_of_table(t.withColumn("text", F.lit("x")).withColumn("role", F.array(F.lit("x"))))
+    with pytest.raises(ValueError):
+        chat_schemas.turns_of_table(t.select(F.lit(1).alias("other")))
+    other = spark.createDataFrame([(1, 0, "user", "x", 2)], "conversation_id long, position long, speaker string, content string, more long")
+    assert [tuple(r) for r in chat_schemas.turns_of_table(other).collect()] == [(1, 0, "user", "x")]
