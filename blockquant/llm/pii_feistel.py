@@ -14,7 +14,12 @@ What is permuted, with what stays:
 * social security numbers (valid areas, groups, serials), IPv4 addresses (first octet 1-223)
 * dates 1900-2099, as y-m-d, y/m/d, d.m.y, d/m/y or m/d/y: among the dates whose day could or could not be a month
 * e-mail addresses: letters and digits of the local part, each in its own kind; the domain stays
-* secrets after password, token, secret or key and = or : : letters and digits, each in its own kind, hexadecimal as such
+* secrets after password, token, secret or key and = or : : letters and digits, each in its own kind, hexadecimal as such,
+  of any length
+
+Two networks. Values that are a number in a range (cards, dates, addresses, short words) are permuted as numbers, with
+halves of the range's square root; longer ones character by character, the characters of one half moved by a keyed stream
+drawn from the other half, which costs time in proportion to the length. In both every round reaches the whole of its half.
 
 Defined results: null stays null, empty stays empty; numbers that don't validate stay as they are; texts are searched whole;
 repeated rows give equal results; ``n_pii`` counts replaced values; clashing columns of the input are replaced.
@@ -30,20 +35,22 @@ from collections.abc import Iterator
 from functools import lru_cache
 from math import isqrt
 
+import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
-from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
 from . import common
 
 ROUNDS = 8
+#: Characters up to which a value is permuted as one number: no half is then wider than the keyed hash.
+AS_NUMBER = 64
 ANCHOR = re.compile(r"[0-9@=:]")  # every match of FOUND has one among its first 80 characters
 SPACE = re.compile(r"\s")
 FOUND = re.compile(
     r"""
     (?P<email>(?<![\w.%+-])[A-Za-z0-9][A-Za-z0-9._%+-]{0,63}@[A-Za-z0-9-]{1,63}(?:\.[A-Za-z0-9-]{1,63}){1,8}(?![\w-]))
-  | (?P<secret>(?i:\b(?:pass(?:word|wd|phrase)?|pwd|secret|token|(?:api|access|private|secret)?[_-]?key)\b["']?\s{0,3}[=:]\s{0,3}["']?)(?P<value>[A-Za-z0-9+/_.~-]{8,200}))
+  | (?P<secret>(?i:(?<![A-Za-z0-9])(?:pass(?:word|wd|phrase)?|pwd|secret|token|(?:api|access|private|secret)?[_-]?key)\b["']?\s{0,3}[=:]\s{0,3}["']?)(?P<value>[A-Za-z0-9+/_.~-]{8,}+))
   | (?P<iban>(?<!\w)[A-Z]{2}[0-9]{2}(?:[ ]?[A-Z0-9]{4}){2,7}(?:[ ]?[A-Z0-9]{1,3})?(?!\w))
   | (?P<date>(?<![\w./-])(?:[0-9]{4}(?P<s1>[-/])[0-9]{1,2}(?P=s1)[0-9]{1,2}|[0-9]{1,2}(?P<s2>[./])[0-9]{1,2}(?P=s2)[0-9]{4})(?![\w/-]|\.[0-9]))
   | (?P<ip>(?<![\w.])[0-9]{1,3}(?:\.[0-9]{1,3}){3}(?!\w|\.[0-9]))
@@ -79,8 +86,9 @@ class Pseudonyms:
     def __init__(self, key: bytes, reveal: bool = False) -> None:
         self.key, self.reveal = hashlib.blake2b(key, digest_size=32).digest(), reveal
 
-    def _mix(self, kind: str, turn: int, half: int) -> int:
-        return int.from_bytes(hashlib.blake2b(b"%s|%d|%d" % (kind.encode(), turn, half), key=self.key, digest_size=24).digest(), "big")
+    def _mix(self, kind: str, turn: int, half: int, side: int) -> int:
+        """Keyed number of eight bytes more than a half has, so that its remainder is even over the whole half."""
+        return int.from_bytes(hashlib.blake2b(b"%s|%d|%d" % (kind.encode(), turn, half), key=self.key, digest_size=side.bit_length() // 8 + 9).digest(), "big")
 
     def permuted(self, n: int, size: int, kind: str) -> int:
         """Image of ``n`` among 0..size-1. The network works on a square of at least ``size``; what falls outside goes round again."""
@@ -92,27 +100,45 @@ class Pseudonyms:
             a, b = divmod(n, side)
             if self.reveal:
                 for turn in reversed(range(ROUNDS)):
-                    a, b = b, (a - self._mix(kind, turn, b)) % side
+                    a, b = b, (a - self._mix(kind, turn, b, side)) % side
             else:
                 for turn in range(ROUNDS):
-                    a, b = (b + self._mix(kind, turn, a)) % side, a
+                    a, b = (b + self._mix(kind, turn, a, side)) % side, a
             n = a * side + b
             if n < size:
                 return n
 
+    def moved(self, values: np.ndarray, sizes: np.ndarray, kind: str) -> np.ndarray:
+        """Image of a run of characters, ``values`` below ``sizes``: each half in turn moves by a stream keyed by the other."""
+        halves, half_sizes = np.split(values, [len(values) // 2]), np.split(sizes, [len(values) // 2])
+        turns = range(ROUNDS)
+        for turn in reversed(turns) if self.reveal else turns:
+            own, other = turn % 2, 1 - turn % 2
+            tag = b"%s|%d|%d|" % (kind.encode(), turn, len(values))
+            stream = hashlib.shake_256(self.key + tag + halves[other].astype("<u2").tobytes()).digest(8 * len(halves[own]))
+            step = (np.frombuffer(stream, "<u8") % half_sizes[own].astype(np.uint64)).astype(np.int64)
+            halves[own] = (halves[own] + (-step if self.reveal else step)) % half_sizes[own]
+        return np.concatenate(halves)
+
     def letters(self, text: str, kind: str, alphabets: tuple[str, ...]) -> str:
         """Each character that is in one of the alphabets moves inside it; the others stay and belong to the format."""
-        n, size, places = 0, 1, []
-        for i, c in enumerate(text):
-            a = next((a for a in alphabets if c in a), None)
-            if a:
-                n, size = n * len(a) + a.index(c), size * len(a)
-                places.append((i, a))
-        n = self.permuted(n, size, kind + "|" + "".join(str(next((k for k, a in enumerate(alphabets) if c in a), c)) for c in text))
+        place = {c: (k, i) for k, a in enumerate(alphabets) for i, c in enumerate(a)}
+        at = [i for i, c in enumerate(text) if c in place]
+        kinds, values = [place[text[i]][0] for i in at], [place[text[i]][1] for i in at]
+        kind += "|" + "".join(str(place[c][0]) if c in place else c for c in text)
+        if len(at) > AS_NUMBER:
+            sizes = np.array([len(a) for a in alphabets])[kinds]
+            values = self.moved(np.array(values), sizes, kind).tolist()
+        else:
+            n, size = 0, 1
+            for k, v in zip(kinds, values, strict=True):
+                n, size = n * len(alphabets[k]) + v, size * len(alphabets[k])
+            n = self.permuted(n, size, kind)
+            for j in reversed(range(len(at))):
+                n, values[j] = divmod(n, len(alphabets[kinds[j]]))
         out = list(text)
-        for i, a in reversed(places):
-            n, k = divmod(n, len(a))
-            out[i] = a[k]
+        for i, k, v in zip(at, kinds, values, strict=True):
+            out[i] = alphabets[k][v]
         return "".join(out)
 
     def digits(self, text: str, kind: str) -> str:

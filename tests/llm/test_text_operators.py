@@ -163,6 +163,60 @@ def test_secrets_are_found_whatever_stands_around_them(secret):
             assert undo.replace(out[0])[0] == text
 
 
+@pytest.mark.parametrize("alphabet", ["abcdefghijklmnopqrstuvwxyz", "0123456789abcdef", "abcXYZ019", "aB3._-"])
+@pytest.mark.parametrize("length", [8, 64, 65, 150, 200, 201, 300, 1000, 5000])
+def test_long_secrets_change_from_end_to_end(alphabet, length):
+    """No stretch of a secret stays in clear, whatever its length, and two that differ in one place differ everywhere."""
+    make, undo = pii_feistel.Pseudonyms(b"k"), pii_feistel.Pseudonyms(b"k", reveal=True)
+    rnd = random.Random(length)
+    value = "".join(rnd.choice(alphabet) for _ in range(length - 1)) + alphabet[0]
+    text = f"so db_password: {value} and more"
+    out, n = make.replace(text)
+    new = out.removeprefix("so db_password: ").removesuffix(" and more")
+    assert n == 1 and len(new) == length and undo.replace(out) == (text, 1)
+    same = lambda x, y: [a == b for a, b in zip(x, y, strict=True) if a.isalnum()]
+    window = 12 if alphabet.isdecimal() else 20
+    kept = same(value, new)
+    assert not any(all(kept[i : i + window]) for i in range(max(1, len(kept) - window)))
+    if length > 60:
+        for part in (kept[: len(kept) // 4], kept[-(len(kept) // 4) :]):
+            assert sum(part) < 0.5 * len(part)
+        for place in (0, length // 2, length - 1):
+            other = value[:place] + next(c for c in alphabet if c.isalnum() and c != value[place]) + value[place + 1 :]
+            if [c.isalnum() for c in other] == [c.isalnum() for c in value] and not other.isdecimal():
+                assert sum(same(new, make.secret(other))) < 0.6 * length
+
+
+def replaced_everywhere(text, names):
+    """Brute force: the pattern runs over the whole text, and after a value that doesn't validate again from the next character."""
+    out, done, at, n = [], 0, 0, 0
+    while (m := pii_feistel.FOUND.search(text, at)) is not None:
+        kind = next(k for k in ("email", "secret", "iban", "date", "ip", "ssn", "nanp", "phone", "card") if m[k] is not None)
+        start, end = m.span("value" if kind == "secret" else kind)
+        tries = [end]
+        if kind in ("phone", "card"):
+            least = {"phone": 0, "card": 13}[kind]
+            tries += [i for i in range(end - 1, start + 7, -1) if text[i] in " -." and sum(c.isdigit() for c in text[start:i]) >= least]
+        for stop in tries:
+            if (new := getattr(names, kind)(text[start:stop])) is not None:
+                out.append(text[done:start] + new)
+                done, at, n = stop, stop, n + 1
+                break
+        else:
+            at = m.start() + 1
+    return "".join(out) + text[done:], n
+
+
+def test_op1_equals_a_search_of_whole_texts(spark):
+    """Every document of the table: no value is missed because of where the search starts and stops."""
+    sf, names = "/root/testdata/sf0.01", pii_feistel.Pseudonyms(pii_feistel.DEMO_KEY)
+    texts = {r["doc_id"]: r["text"] for r in common.table(spark, sf, "documents").collect()}
+    got = QUERIES["op1_pii_feistel"](spark, sf).collect()
+    assert len(got) == len(texts) and sum(r["n_pii"] for r in got) > 20
+    for r in got:
+        assert (r["text"], r["n_pii"]) == replaced_everywhere(texts[r["doc_id"]], names)
+
+
 def test_equal_dates_stay_linked_across_layouts():
     make = pii_feistel.Pseudonyms(b"k")
     assert datetime.date.fromisoformat(make.date("1999-12-31")).strftime("%d.%m.%Y") == make.date("31.12.1999")
