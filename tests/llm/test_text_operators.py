@@ -269,6 +269,10 @@ def test_op10_against_sql(spark, sf):
     assert own.n_turns == 2 and own.loss_chars == len(said) and own.loss_sha256 == hashlib.sha256(said.encode()).hexdigest()
 
 
+def conversations(df):
+    return [(r["conv_id"], [(t["role"], t["text"]) for t in r["turns"]]) for r in df.collect()]
+
+
 def test_chat_layouts_and_escapes(spark):
     nasty = ["<|turn|>x<|text|>", "a\\pb\\s\\", "<|end|>\n<|turn|>assistant<|text|>no", "### ### [INST [INST] </s><s>", "", "<", "<\\p|"]
     rows = [
@@ -276,34 +280,72 @@ def test_chat_layouts_and_escapes(spark):
         '{"conversations": [{"value": "hi", "from": "human"}, {"from": "gpt", "value": "yo"}], "id": 2}',
         '{"id": 3, "prompt": "p", "completion": null}',
         '{"id": 4, "instruction": "i", "input": "n", "output": "o"}',
-        '{"id": 5, "odd": 1}', "not json", None, '{"id": 6, "messages": []}',
+        '{"id": 5, "odd": 1}', "not json", None, "[1]", '{"id": 7, "prompt": {"text": "p"}, "completion": "c"}',
+        '{"id": 8, "messages": [{"role": "user", "content": [{"text": "in parts"}]}, {"role": "user", "content": "plain"}]}',
     ]
-    turns, rest = chat_schemas.turns_of_records(spark.createDataFrame([(r,) for r in rows], "json string"))
-    got = sorted((r["conv_id"], r["turn"], r["role"], r["text"]) for r in turns.collect())
-    assert got == [(1, 0, "user", "q"), (1, 1, "assistant", "r"), (2, 0, "user", "hi"), (2, 1, "assistant", "yo"), (3, 0, "user", "p"), (3, 1, "assistant", ""), (4, 0, "system", "i"), (4, 1, "user", "n"), (4, 2, "assistant", "o")]
-    assert rest.count() >= 3
+    found, rest = chat_schemas.conversations_of_records(spark.createDataFrame([(r,) for r in rows], "json string"))
+    assert sorted(conversations(found)) == [("1", [("user", "q"), ("assistant", "r")]), ("2", [("user", "hi"), ("assistant", "yo")]), ("3", [("user", "p"), ("assistant", "")]), ("4", [("system", "i"), ("user", "n"), ("assistant", "o")])]
+    assert sorted(r["json"] or "" for r in rest.collect()) == sorted(r or "" for r in rows[4:])
     t = spark.createDataFrame([(i, k, r, x) for i, x in enumerate(nasty) for k, r in enumerate(("user", "assistant", x))], "conv_id long, turn long, role string, text string")
-    back = {r["conv_id"]: r for r in chat_schemas.read_back(chat_schemas.formatted(t)).collect()}
+    back = {r["conv_id"]: r for r in chat_schemas.read_back(chat_schemas.formatted(chat_schemas.conversations_of_table(t))).collect()}
     for i, x in enumerate(nasty):
         assert [(y["role"], y["text"], y["in_loss"]) for y in back[i]["turns"]] == [("user", x, False), ("assistant", x, True), (x, x, False)]
 
 
+def test_chat_records_never_mix(spark):
+    """Ids that aren't numbers, that several records share, of different layouts or none at all."""
+    one = lambda i, t: f'{{"id": {i}, "messages": [{{"role": "user", "content": "{t} asks"}}, {{"role": "bot", "content": "{t} says"}}]}}'
+    rows = [one('"abc-1"', "a"), one('"xyz-2"', "b"), one(5, "c"), '{"id": 5, "prompt": "d asks", "completion": "d says"}', one(5, "e"), one('"abc-1"', "a"), '{"prompt": "f asks", "completion": "f says"}', one("null", "g")]
+    found, rest = chat_schemas.conversations_of_records(spark.createDataFrame([(r,) for r in rows], "json string"))
+    want = [("abc-1", "a"), ("xyz-2", "b"), ("5", "c"), ("5", "d"), ("5", "e"), ("abc-1", "a"), (None, "f"), (None, "g")]
+    assert sorted(conversations(found), key=str) == sorted([(i, [("user", t + " asks"), ("assistant", t + " says")]) for i, t in want], key=str)
+    assert rest.isEmpty()
+    back = chat_schemas.read_back(chat_schemas.formatted(found))
+    assert sorted(map(str, conversations(back))) == sorted(map(str, conversations(found)))
+
+
+def test_chat_fields_that_come_and_go(spark):
+    rows = [
+        '{"id": 1, "messages": [{"role": "user", "content": "q", "name": "n", "tool": {"a": [1]}}, {"role": "assistant", "content": "r"}], "source": "web", "meta": {"k": 1}}',
+        '{"messages": []}', '{"id": 3, "messages": [{"role": "assistant"}]}', '{"id": 4, "prompt": "p", "completion": "c", "a.b": 1, "x<y,z": [2], "messages": "none"}',
+    ]
+    found, rest = chat_schemas.conversations_of_records(spark.createDataFrame([(r, 1) for r in rows], "json string, conv_id int"))
+    assert sorted(conversations(found), key=str) == sorted([("1", [("user", "q"), ("assistant", "r")]), (None, []), ("3", [("assistant", "")]), ("4", [("user", "p"), ("assistant", "c")])], key=str) and rest.isEmpty()
+    assert [len(t) for _, t in conversations(chat_schemas.read_back(chat_schemas.formatted(found))) if _ is None] == [0]
+    two = '{"id": 5, "prompt": "p", "completion": "c", "messages": [{"role": "user", "content": "q"}]}'
+    found, rest = chat_schemas.conversations_of_records(spark.createDataFrame([(two,)], "json string"))
+    assert found.isEmpty() and rest.count() == 1  # it fits two layouts, so it fits none
+
+
+def test_chat_mapping_is_chosen_by_fingerprint(spark):
+    """Each layout's shapes have fingerprints of their own, and a registry without a layout doesn't know its records."""
+    every = [names for x in chat_schemas.LAYOUTS for names in x.shapes]
+    prints = spark.range(1).select(*map(chat_schemas.of_names, every)).first()
+    assert len(set(prints)) == len(every)
+    row = spark.createDataFrame([('{"id": 1, "question": "q", "answer": "a"}',)], "json string")
+    fewer = tuple(x for x in chat_schemas.LAYOUTS if x.name != "question")
+    assert chat_schemas.conversations_of_records(row, layouts=fewer)[0].isEmpty() and chat_schemas.conversations_of_records(row)[0].count() == 1
+
+
 def test_chat_tables_with_nulls_ties_and_extra_columns(spark):
     t = spark.createDataFrame([(1, 1, "user", None, 5), (1, 1, "user", None, 5), (1, None, None, "z", 5), (None, 0, "user", "n", 5)], "conv_id long, turn long, role string, text string, line long")
-    back = {r["conv_id"]: [(y["role"], y["text"]) for y in r["turns"]] for r in chat_schemas.read_back(chat_schemas.formatted(chat_schemas.turns_of_table(t))).collect()}
+    back = dict(conversations(chat_schemas.read_back(chat_schemas.formatted(chat_schemas.conversations_of_table(t)))))
     assert back == {1: [("", "z"), ("user", ""), ("user", "")], None: [("user", "n")]}
+    named = spark.createDataFrame([("b", 0, "user", "x"), ("a", 0, "user", "y")], "conv_id string, turn int, role string, text string")
+    assert dict(conversations(chat_schemas.conversations_of_table(named))) == {"a": [("user", "y")], "b": [("user", "x")]}
+    assert chat_schemas.conversations_of_table(t.limit(0)).count() == 0
     with pytest.raises(ValueError):
-        chat_schemas.turns_of_table(t.drop("role"))
+        chat_schemas.conversations_of_table(t.drop("role"))
 
 
 def test_chat_tables_of_nested_values_are_reported(spark):
     """Same column names, but a nested text: no mapping's fingerprint, so not a result without rows."""
     t = spark.createDataFrame([(1, 0, "user", ("x",))], "conv_id long, turn long, role string, text struct<parts:string>")
     with pytest.raises(ValueError, match="text.parts"):
-        chat_schemas.turns_of_table(t)
+        chat_schemas.conversations_of_table(t)
     with pytest.raises(ValueError):
-        chat_schemas.turns_of_table(t.withColumn("text", F.lit("x")).withColumn("role", F.array(F.lit("x"))))
+        chat_schemas.conversations_of_table(t.withColumn("text", F.lit("x")).withColumn("role", F.array(F.lit("x"))))
     with pytest.raises(ValueError):
-        chat_schemas.turns_of_table(t.select(F.lit(1).alias("other")))
+        chat_schemas.conversations_of_table(t.select(F.lit(1).alias("other")))
     other = spark.createDataFrame([(1, 0, "user", "x", 2)], "conversation_id long, position long, speaker string, content string, more long")
-    assert [tuple(r) for r in chat_schemas.turns_of_table(other).collect()] == [(1, 0, "user", "x")]
+    assert conversations(chat_schemas.conversations_of_table(other)) == [(1, [("user", "x")])]
