@@ -1,29 +1,30 @@
 """Quality by compression: a text belongs to the class whose dictionary shrinks it more.
 
 Two zstandard dictionaries are trained, one on good and one on bad labelled text. Every whole text is compressed with
-each, block by block so that the dictionary keeps its weight in long texts; the difference of the sizes, divided by the
-plain size, is the signal. A logistic curve fitted on texts that the dictionaries have not seen calibrates it to the
-probability of label 1. The plain compression ratio stands beside the difference in that curve, for texts that repeat
-themselves: such a text is small under any dictionary and its difference says little.
+each, block by block so that the dictionary keeps its weight in long texts; the difference of the two sizes, divided by the
+text's own size, is the only signal. A logistic curve of it, fitted on texts that the dictionaries have not seen, gives the
+probability of label 1.
 
-The model is fitted on a bounded sample of labelled rows, ``dict_rows + curve_rows`` of each label (the fit's only bound;
-texts are whole in the fit as in scoring). Rows come in hash order of their ids, so the sample doesn't depend on
-partitioning; it reaches the documents as a broadcast of that many ids. The model is a few hundred kilobytes.
+The model is fitted on a bounded sample of labelled rows, ``dict_rows + curve_rows`` of each label, of which at most
+``dict_text_bytes`` of each label come to the driver (the fit's only bounds; texts are whole in the fit as in scoring). Rows
+come in hash order of their ids, so the sample doesn't depend on partitioning; it reaches the documents as a broadcast of
+that many ids. The model is a few hundred kilobytes.
 
 Defined results: null and empty texts get the share of label 1 among the training rows; without rows of both labels every
-text gets that share (1.0 without any label); repeated rows each keep their row; null labels are left out.
+text gets that share (1.0 without any label); repeated rows each keep their row; null labels are left out; a text over a
+sixteenth of ``dict_text_bytes`` is no part of a dictionary.
 """
 
 from __future__ import annotations
 
 import math
 from collections.abc import Iterator
-from dataclasses import dataclass
+from dataclasses import dataclass, replace
 
 import numpy as np
 import pyarrow as pa
 import zstandard
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
@@ -32,32 +33,33 @@ from . import common
 
 @dataclass(frozen=True)
 class CompressionModel:
-    """Dictionaries as bytes, the curve's weights (constant, difference, plain ratio, length) and the share of label 1."""
+    """Dictionaries as bytes, the curve (constant and slope; None without a fit) and the share of label 1."""
 
     good: bytes
     bad: bytes
-    weights: tuple[float, ...]
+    curve: tuple[float, float] | None
     base_rate: float
-    block: int = 2048
+    block: int = 1024
     level: int = 3
 
 
-class _Sizes:
-    def __init__(self, good: bytes, bad: bytes, block: int, level: int) -> None:
+class Sizes:
+    """Compressors with either dictionary."""
+
+    def __init__(self, model: CompressionModel) -> None:
         def with_dict(data: bytes) -> zstandard.ZstdCompressor:
             d = zstandard.ZstdCompressionDict(data)
-            d.precompute_compress(level=level)
-            return zstandard.ZstdCompressor(dict_data=d, **frame)
+            d.precompute_compress(level=model.level)
+            return zstandard.ZstdCompressor(dict_data=d, write_checksum=False, write_content_size=False)
 
-        frame = {"write_checksum": False, "write_content_size": False}
-        self.block = block
-        self.good, self.bad, self.plain = with_dict(good), with_dict(bad), zstandard.ZstdCompressor(level=level, **frame)
+        self.block, self.good, self.bad = model.block, with_dict(model.good), with_dict(model.bad)
 
-    def features(self, text: str) -> tuple[float, float, float]:
+    def difference(self, text: str) -> float:
+        """How many bytes of a text's own the good dictionary saves over the bad one."""
         data = text.encode()
         parts = [data[i : i + self.block] for i in range(0, len(data), self.block)]
         good, bad = (sum(len(c.compress(p)) for p in parts) for c in (self.good, self.bad))
-        return (bad - good) / len(data), len(self.plain.compress(data)) / len(data), math.log(len(data))
+        return (bad - good) / len(data)
 
 
 def _dictionary(texts: list[str], size: int) -> bytes:
@@ -69,23 +71,23 @@ def _dictionary(texts: list[str], size: int) -> bytes:
         return b"".join(parts)[-size:] or b" " * 8
 
 
-def _logistic(x: np.ndarray, y: np.ndarray, rounds: int = 50) -> np.ndarray:
-    """Newton steps on the ridge-penalised likelihood; columns are standardised and the result is put back."""
-    mean, scale = x.mean(0), x.std(0) + 1e-9
+def logistic(x: np.ndarray, y: np.ndarray, rounds: int = 50) -> tuple[float, float]:
+    """Constant and slope by Newton steps on the ridge-penalised likelihood, on the standardised variable."""
+    mean, scale = x.mean(), x.std() + 1e-9
     z = np.column_stack([np.ones(len(x)), (x - mean) / scale])
-    w = np.zeros(z.shape[1])
+    w = np.zeros(2)
     for _ in range(rounds):
         p = 1 / (1 + np.exp(-np.clip(z @ w, -30, 30)))
-        h = (z * (p * (1 - p))[:, None]).T @ z + 1e-2 * np.eye(len(w))
+        h = (z * (p * (1 - p))[:, None]).T @ z + 1e-2 * np.eye(2)
         step = np.linalg.solve(h, z.T @ (p - y) + 1e-2 * w)
         w -= step
         if np.abs(step).max() < 1e-8:
             break
-    slopes = w[1:] / scale
-    return np.r_[w[0] - slopes @ mean, slopes]
+    slope = float(w[1] / scale)
+    return float(w[0]) - slope * float(mean), slope
 
 
-def fit(docs: DataFrame, training: DataFrame, id_col: str = "doc_id", text: str = "text", label: str = "quality", dict_rows: int = 1000, curve_rows: int = 3000, dict_bytes: int = 112_640) -> CompressionModel:
+def fit(docs: DataFrame, training: DataFrame, id_col: str = "doc_id", text: str = "text", label: str = "quality", dict_rows: int = 1000, curve_rows: int = 3000, dict_bytes: int = 112_640, dict_text_bytes: int = 32 << 20) -> CompressionModel:
     """``training``: ids and labels that may be learnt from. Of each label, ``dict_rows`` whole texts come to the driver for the
     dictionary and the sizes of ``curve_rows`` others are computed on the executors for the curve."""
     spark = docs.sparkSession
@@ -93,7 +95,7 @@ def fit(docs: DataFrame, training: DataFrame, id_col: str = "doc_id", text: str
     count = {r["__y"]: r["count"] for r in known.groupBy("__y").count().collect()}
     total = sum(count.values())
     base = count.get(1, 0) / total if total else 1.0
-    empty = CompressionModel(b"", b"", (), base)
+    empty = CompressionModel(b"", b"", None, base)
     if len(count) < 2:
         return empty
     drawn = []
@@ -101,24 +103,28 @@ def fit(docs: DataFrame, training: DataFrame, id_col: str = "doc_id", text: str
         take = min(dict_rows, max(1, n // 3))
         rows = known.where(F.col("__y") == y).orderBy("__h", "__id").limit(take + curve_rows).collect()
         drawn += [(r["__id"], y, i < take) for i, r in enumerate(rows)]
-    ids = spark.createDataFrame(drawn, T.StructType([known.schema["__id"], T.StructField("__y", T.IntegerType()), T.StructField("__words", T.BooleanType())]))
+    rank = iter(range(len(drawn)))
+    ids = spark.createDataFrame([(*d, next(rank)) for d in drawn], T.StructType([known.schema["__id"], T.StructField("__y", T.IntegerType()), T.StructField("__words", T.BooleanType()), T.StructField("__rank", T.IntegerType())]))
     sample = docs.select(F.col(f"`{id_col}`").alias("__id"), F.coalesce(F.col(f"`{text}`"), F.lit("")).alias("t")).join(F.broadcast(ids), "__id").where(F.length("t") > 0)
-    texts = sorted((r["__y"], r["t"]) for r in sample.where("__words").select("__y", "t").collect())
+    # Whole texts of the dictionary's rows, in their order, as long as the bytes of their label last.
+    upto = F.sum(F.octet_length("t").cast("long")).over(Window.partitionBy("__y").orderBy("__rank", "t"))
+    taken = sample.where(F.col("__words") & (F.octet_length("t") <= dict_text_bytes // 16)).withColumn("__upto", upto).where(F.col("__upto") <= dict_text_bytes)
+    texts = sorted((r["__y"], r["t"]) for r in taken.select("__y", "t").collect())
     good, bad = (_dictionary([t for y, t in texts if y == k], dict_bytes) for k in (1, 0))
+    model = CompressionModel(good, bad, None, base)
 
-    def sizes_of(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        sizes = _Sizes(good, bad, CompressionModel.block, CompressionModel.level)
+    def differences(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        sizes = Sizes(model)
         for part in common.pieces(batches, 1):
-            found = [sizes.features(t) for t in common.texts_of(part.column(1))]
-            yield pa.RecordBatch.from_arrays([part.column(0), pa.array(found, pa.list_(pa.float64()))], names=["y", "x"])
+            yield pa.RecordBatch.from_arrays([part.column(0), pa.array([sizes.difference(t) for t in common.texts_of(part.column(1))], pa.float64())], names=["y", "x"])
 
-    rows = sorted((r["y"], *r["x"]) for r in sample.where("not __words").select("__y", "t").mapInArrow(sizes_of, "y int, x array<double>").collect())
-    x, y = np.array([r[1:] for r in rows]), np.array([r[0] for r in rows], float)
+    rows = sorted((r["y"], r["x"]) for r in sample.where("not __words").select("__y", "t").mapInArrow(differences, "y int, x double").collect())
+    y, x = np.array([r[0] for r in rows], float), np.array([r[1] for r in rows])
     if not 0 < y.sum() < len(y):
         return empty
-    w, share = _logistic(x, y), y.mean()
-    w[0] += math.log(base / (1 - base)) - math.log(share / (1 - share))  # from the sample's share of label 1 to that of all
-    return CompressionModel(good, bad, tuple(map(float, w)), base)
+    (constant, slope), share = logistic(x, y), y.mean()
+    constant += math.log(base / (1 - base)) - math.log(share / (1 - share))  # from the sample's share of label 1 to that of all
+    return replace(model, curve=(constant, slope))
 
 
 def score(docs: DataFrame, model: CompressionModel, text: str = "text", out: str = "score") -> DataFrame:
@@ -129,12 +135,12 @@ def score(docs: DataFrame, model: CompressionModel, text: str = "text", out: str
     at = len(kept)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        sizes = _Sizes(model.good, model.bad, model.block, model.level) if model.weights else None
+        sizes = Sizes(model) if model.curve else None
 
         def one(t: str) -> float:
             if not t or sizes is None:
                 return model.base_rate
-            z = model.weights[0] + sum(w * f for w, f in zip(model.weights[1:], sizes.features(t), strict=True))
+            z = model.curve[0] + model.curve[1] * sizes.difference(t)
             return 1 / (1 + math.exp(-max(-30.0, min(30.0, z))))
 
         for part in common.pieces(batches, at):

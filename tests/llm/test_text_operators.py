@@ -4,11 +4,14 @@ import datetime
 import hashlib
 import random
 import re
+import zlib
 from array import array
 
 import duckdb
+import numpy as np
 import public_tokenizers
 import pytest
+import zstandard
 from pyspark.sql import functions as F
 from tokenizers import Tokenizer
 
@@ -240,6 +243,47 @@ def test_op1_leaves_no_planted_value(spark, sf):
             assert r["text"] == before[r["doc_id"]]
 
 
+def plain_quality(texts, labels, id_hash):
+    """Brute force: the same sample by its rule, dictionaries, sizes and a curve found by plain gradient ascent."""
+    train = {i: q for i, q in labels.items() if q in (0, 1) and zlib.crc32(str(i).encode()) % 3 != 1}
+    base, words, curve = sum(train.values()) / len(train), {0: [], 1: []}, []
+    for y in (0, 1):
+        own = sorted((i for i in train if train[i] == y), key=lambda i: (id_hash[i], i))
+        take = min(1000, max(1, len(own) // 3))
+        words[y] = [texts[i] for i in own[:take] if texts.get(i)]
+        curve += [(texts[i], y) for i in own[take : take + 3000] if texts.get(i)]
+    dicts = {}
+    for y, own in words.items():
+        parts = [t.encode()[k : k + 2048] for t in sorted(own) for k in range(0, len(t.encode()), 2048)]
+        dicts[y] = zstandard.ZstdCompressionDict(zstandard.train_dictionary(112_640, parts, level=3).as_bytes())
+
+    def signal(text):
+        data, size = text.encode(), {}
+        for y, d in dicts.items():
+            c = zstandard.ZstdCompressor(level=3, dict_data=d, write_checksum=False, write_content_size=False)
+            size[y] = sum(len(c.compress(data[k : k + 1024])) for k in range(0, len(data), 1024))
+        return (size[0] - size[1]) / len(data)
+
+    x, y = np.array([signal(t) for t, _ in curve]), np.array([q for _, q in curve], float)
+    z, w = np.column_stack([np.ones(len(x)), (x - x.mean()) / x.std()]), np.zeros(2)
+    for _ in range(20000):
+        w += 2.0 * (z.T @ (y - 1 / (1 + np.exp(-z @ w))) - 0.01 * w) / len(x)
+    shift = np.log(base / (1 - base)) - np.log(y.mean() / (1 - y.mean()))
+    return {i: base if not t else float(1 / (1 + np.exp(-(w[0] + shift + w[1] * (signal(t) - x.mean()) / x.std())))) for i, t in texts.items()}
+
+
+def test_op9_equals_a_plain_version(spark):
+    sf = "/root/testdata/sf0.01"
+    texts = {r["doc_id"]: r["text"] for r in common.table(spark, sf, "documents").collect()}
+    rows = common.table(spark, sf, "labels").select("doc_id", "quality", F.xxhash64(F.col("doc_id").cast("string"), F.lit("quality")).alias("h")).collect()
+    want = plain_quality(texts, {r["doc_id"]: r["quality"] for r in rows}, {r["doc_id"]: r["h"] for r in rows})
+    got = QUERIES["op9_compression_quality"](spark, sf).collect()
+    assert len(got) == len(texts)
+    for r in got:
+        assert abs(r["score"] - want[r["doc_id"]]) < 1e-3 and r["predicted"] == (r["score"] >= 0.5)
+        assert r["held_out"] == (zlib.crc32(str(r["doc_id"]).encode()) % 3 == 1)
+
+
 def test_quality_on_held_out_labels(spark):
     sf = "/root/testdata/sf0.01"
     out = QUERIES["op9_compression_quality"](spark, sf).join(common.table(spark, sf, "labels"), "doc_id").where("held_out").toPandas()
@@ -247,6 +291,12 @@ def test_quality_on_held_out_labels(spark):
     assert out.predicted[out.quality == 1].mean() > 0.97
 
 
+def test_quality_fit_takes_whole_texts_within_its_bytes(spark, edge_docs):
+    labels = spark.createDataFrame([(i, i % 2) for i in range(9)], "doc_id long, quality int")
+    model = compression_quality.fit(edge_docs, labels, dict_text_bytes=64)
+    assert len(model.good) <= 64 and len(model.bad) <= 64 and all(0 <= r["score"] <= 1 for r in compression_quality.score(edge_docs, model).collect())
+
+
 def test_quality_edges(spark, edge_docs):
     empty = spark.createDataFrame([], "doc_id long, quality int, toxic int")
     model = compression_quality.fit_on_labels(edge_docs, empty)
