@@ -30,8 +30,9 @@ from . import common
 UPPER, LOWER = "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz"
 MAX_RULES = 100_000
 SAVE_EVERY = 5
-#: Links with a host of their own.
-LINKS = r"""(?i)<a\b[^>]{0,1000}?\bhref\s*=\s*["']?(?:https?:)?(//[^"'\s>#?]+)"""
+#: A link's tag, and in it the reference, if that has a host of its own. Apart, both patterns read every character once.
+TAG = r"(?i)<a\b[^>]*"
+REFERENCE = r"""(?i)^<a\b.*?[\s"'/]href\s*=\s*["']?(?:https?:)?(//[^"'\s#?]+)"""
 #: Fixed values: (rule, verdict) of the query.
 RULES = (("com/", "allow"), ("example.com/en/", "block"), ("www.example.com/en/", "allow"), ("net/es/", "block"), ("net/fr/", "block"))
 
@@ -74,7 +75,8 @@ def with_rule(pages: DataFrame, rules: tuple[tuple[str, str], ...] = RULES) -> D
 
 def host_edges(pages: DataFrame, html: str = "html") -> DataFrame:
     """src, dst, n: links between different hosts. ``pages`` has host and html."""
-    links = F.regexp_extract_all(F.coalesce(F.col(f"`{html}`"), F.lit("")), F.lit(LINKS), 1)
+    tags = F.regexp_extract_all(F.coalesce(F.col(f"`{html}`"), F.lit("")), F.lit(TAG), 0)
+    links = F.transform(tags, lambda x: F.regexp_extract(x, "(?s)" + REFERENCE, 1))
     hosts = F.transform(links, lambda x: host_of(F.concat(F.lit("x:"), x)))
     out = pages.where(F.col("host") != "").select(F.col("host").alias("src"), F.explode(hosts).alias("dst"))
     return out.where("dst <> '' and dst <> src").groupBy("src", "dst").agg(F.count("*").alias("n"))
@@ -133,13 +135,13 @@ def op3_sql(rounds: int = 15, damping: float = 0.85, floor: float = 0.5, margin:
     rest = "CASE WHEN contains(url, '://') THEN substr(url, strpos(url, '://') + 3) ELSE '' END"
     rules = ", ".join(f"('{r}', '{v}', '{r.split('/', 1)[0]}', '/{r.split('/', 1)[1]}')" for r, v in RULES)
     low = lambda x: f"translate({x}, '{UPPER}', '{LOWER}')"
-    pattern = LINKS.replace("'", "''")
+    reference = ("(?s)" + REFERENCE).replace("'", "''")
     parts = [
         f"rules(rule, verdict, rh, rp) AS (VALUES {rules})",
         f"p AS (SELECT page_id, html, {low("regexp_extract(rest, '^([^/?#]*)', 1)")} AS host, regexp_extract(rest, '^[^/?#]*([^?#]*)', 1) AS path FROM (SELECT page_id, html, coalesce({rest}, '') AS rest FROM pages))",
         "fit AS (SELECT page_id, host, path, arg_max(struct_pack(rule := r.rule, verdict := r.verdict), length(r.rule)) AS best FROM (SELECT DISTINCT page_id, host, path FROM p) p JOIN rules r ON (host = rh OR ends_with(host, '.' || rh)) AND starts_with(path, rp) GROUP BY ALL)",
         "ruled AS (SELECT p.page_id, p.host, p.path, f.best.rule AS rule, f.best.verdict AS rv FROM p LEFT JOIN fit f ON f.page_id = p.page_id AND f.host = p.host AND f.path = p.path)",
-        f"l AS (SELECT host AS src, {low("regexp_extract(link, '^//([^/?#]*)', 1)")} AS dst FROM (SELECT host, unnest(regexp_extract_all(coalesce(html, ''), '{pattern}', 1)) AS link FROM p WHERE host <> ''))",
+        f"l AS (SELECT host AS src, {low("regexp_extract(link, '^//([^/?#]*)', 1)")} AS dst FROM (SELECT host, regexp_extract(unnest(regexp_extract_all(coalesce(html, ''), '{TAG}', 0)), '{reference}', 1) AS link FROM p WHERE host <> ''))",
         "e AS (SELECT src, dst, count(*) AS n FROM l WHERE dst <> '' AND dst <> src GROUP BY ALL)",
         "h AS (SELECT host, count(*) FILTER (rv = 'allow') AS allow, count(*) FILTER (rv = 'block') AS block FROM ruled WHERE host <> '' GROUP BY ALL)",
     ]

@@ -334,6 +334,16 @@ def test_distrust_flows_against_links(spark):
     assert host_trust.judge(empty).count() == 0
 
 
+def test_links_are_found_however_long_their_tag(spark):
+    long = " data-x='" + "y" * 5000 + "'"
+    tags = [f"<a{long} href='http://bad.net/es/1'>", f'<A\n{long}\nHREF = "//bad.net/x">', "<a data-href='//none.org/'>", "<a title=x", "<a href=/own>", "<abbr href='//none.org/'>", '<a class=""href=https://bad.net>']
+    rows = [(i, f"http://h{i}.org/", f"<p>{t}t</a>") for i, t in enumerate(tags)] + [(20, "http://bad.net/es/1", None), (21, "http://h21.org/", "<a " * 30000 + "href=//bad.net")]
+    got = {r["src"] for r in host_trust.host_edges(spark.createDataFrame(rows, "page_id long, url string, html string").withColumn("host", host_trust.host_of(F.col("url")))).where("dst = 'bad.net'").collect()}
+    assert got == {"h0.org", "h1.org", "h6.org", "h21.org"}
+    out = {r["page_id"]: r["verdict"] for r in host_trust.judge(spark.createDataFrame(rows, "page_id long, url string, html string")).collect()}
+    assert all(out[i] == "block" for i in (0, 1, 6, 20, 21)) and all(out[i] == "allow" for i in (2, 3, 4, 5))
+
+
 @pytest.fixture(scope="module")
 def stages(spark):
     docs, out = common.table(spark, SF2, "documents"), {}
