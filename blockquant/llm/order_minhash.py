@@ -3,27 +3,34 @@
 K-mers are runs of five words, each labelled with its occurrence number, so repeats count. A sketch takes, under one hash
 order, the ``TAKE`` smallest labelled k-mers and keeps them in text order: two texts get the same sketch only if the
 same k-mers are smallest *and* stand in the same order, which follows edit similarity rather than set overlap. Each of
-``SKETCHES`` orders gives one bucket key. Texts of at most ``SHORT`` k-mers get further sketches of fewer k-mers.
+``SKETCHES`` orders gives one bucket key. Texts of at most ``SHORT`` words get further sketches of shorter k-mers.
 
 Links. Texts with the same words are one text from the start. In each bucket every text is compared with the leader, the
 one of the smallest id. A pair links if its alignment similarity, 1 - edits / longer length, reaches the threshold: a
 banded bit-parallel alignment of the words decides, with the band as wide as the threshold allows edits. Similarity isn't
-transitive, so a text that failed against its leader may still link with one that didn't: buckets whose texts the leaders
-haven't joined into one class are compared among themselves, in blocks of ``BLOCK`` texts against blocks, each pair of
-different classes once, in whichever bucket names it first. No link between texts that share a bucket is lost, other
-than those inside a class. Classes are connected components, by alternating stars.
-
-Scale: one pass reads the texts and leaves half a kilobyte of keys for each; copies are combined by digest before they
+transitive, so a text that failed against its leader may still link with any other. Edits are a metric, so two texts whose
+edits to their leader differ by more than the threshold allows can't link, and most of a leader's own class needs no
+further look. The others are compared among themselves, in blocks against blocks, each pair of different classes once, in
+whichever bucket names it first; lengths and shared words rule out, exactly, nearly all pairs before any is aligned. No
+link between texts that share a bucket is lost, other than those inside a class. Classes are connected components, by
+alternating stars.
+
+Scale: one pass reads the texts and leaves less than a kilobyte of keys for each; copies are combined by digest before they
 move. Words are fetched only for texts in shared buckets. Leaders with many members are dealt to several tasks with a copy
-of the leader's words, and so are the blocks of a bucket; blocks of one class never meet. Each step of the components ends in a shared table.
-
-Defined results: null, empty and wordless texts are classes of their own; case and punctuation don't matter; texts of any
-length are compared whole; rows that repeat an id share its class; null ids keep a null class.
+of the leader's words. What is left of a bucket is cut into blocks by length and hash, bounded in rows and bytes, without
+ranking it in one task; only blocks of neighbouring lengths and different classes meet. Nodes with many links, at most
+200,000, are looked up in a broadcast, so a star's centre isn't one task. Each step of the components ends in a shared
+table, and the one before it is removed.
+
+Defined results: null and empty texts are classes of their own; case and punctuation don't matter, but texts without any
+words are copies if they are equal; texts of any length are compared whole; rows that repeat an id share its class; null
+ids keep a null class.
 """
 
 from __future__ import annotations
 
 import hashlib
+import math
 import re
 from collections.abc import Iterator
 
@@ -35,9 +42,12 @@ from pyspark.sql import functions as F
 from . import common
 
 WORD = re.compile(r"\w+")
-K, TAKE, SKETCHES = 5, 5, 64
-SHORT, SHORT_TAKE, SHORT_SKETCHES = 24, 3, 8
-BLOCK = 256
+K, TAKE, SKETCHES = 5, 2, 80
+SHORT, SHORT_K, SHORT_SKETCHES = 40, 3, 24
+#: A block's texts and bytes of words, and the texts of one class from which it has blocks of its own.
+BLOCK, BLOCK_BYTES, CLASS_BLOCK = 2048, 8 << 20, 256
+#: Texts compared with one copy of their leader's words.
+CHUNK = 256
 ODD = np.random.default_rng(7).integers(1 << 62, 1 << 63, SKETCHES + SHORT_SKETCHES, np.uint64) * np.uint64(2) + np.uint64(1)
 
 
@@ -61,11 +71,11 @@ class Words(dict):
         return np.fromiter(map(self.__getitem__, words), np.uint64, len(words))
 
 
-def kmers(words: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-    """Hash of each run of K words (of all words, where there are fewer), without and with its occurrence number."""
-    n = max(1, len(words) - K + 1)
+def kmers(words: np.ndarray, k: int = K) -> tuple[np.ndarray, np.ndarray]:
+    """Hash of each run of k words (of all words, where there are fewer), without and with its occurrence number."""
+    n = max(1, len(words) - k + 1)
     plain = np.zeros(n, np.uint64)
-    for i in range(min(K, len(words))):
+    for i in range(min(k, len(words))):
         plain = mixed(plain + words[i : i + n])
     order = np.argsort(plain, kind="stable")
     ranked = plain[order]
@@ -77,30 +87,26 @@ def kmers(words: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
 
 
 def smallest(values: np.ndarray, take: int) -> np.ndarray:
-    """Positions of each row's ``take`` smallest values, in text order."""
+    """Positions of each row's ``take`` smallest values, in text order. Overwrites ``values``."""
     rows, n = values.shape
     if n <= take:
         return np.tile(np.arange(n), (rows, 1))
-    if n > 8 * take:  # nearly always the smallest are under a bound that 3 * take are expected under
-        r, c = np.nonzero(values < np.uint64(int(3 * take / n * 2**64)))
-        counts = np.bincount(r, minlength=rows)
-        if counts.min() >= take:
-            order = np.lexsort((values[r, c], r))
-            starts = np.r_[0, np.cumsum(counts)[:-1]]
-            return np.sort(c[order][starts[:, None] + np.arange(take)], axis=1)
-    return np.sort(np.argpartition(values, take - 1, axis=1)[:, :take], axis=1)
+    found, each = np.empty((rows, take), np.int64), np.arange(rows)
+    for i in range(take):
+        found[:, i] = at = values.argmin(1)
+        values[each, at] = np.iinfo(np.uint64).max
+    return np.sort(found, axis=1)
 
 
 def sketch(words: np.ndarray) -> list[int]:
     """Bucket keys, signed 64 bit."""
-    plain, labelled = kmers(words)
-    n, keys = len(plain), []
-    sets = [(0, SKETCHES, TAKE)] + ([(SKETCHES, SKETCHES + SHORT_SKETCHES, SHORT_TAKE)] if n <= SHORT else [])
-    for lo, hi, take in sets:
-        step = max(1, min(hi - lo, (1 << 19) // n))
+    keys: list[int] = []
+    for lo, hi, k in [(0, SKETCHES, K)] + ([(SKETCHES, SKETCHES + SHORT_SKETCHES, SHORT_K)] if len(words) <= SHORT else []):
+        plain, labelled = kmers(words, k)
+        step = max(1, min(hi - lo, (1 << 19) // len(plain)))
         for a in range(lo, hi, step):
             b = min(hi, a + step)
-            at = smallest(labelled[None, :] * ODD[a:b, None], take)
+            at = smallest(labelled[None, :] * ODD[a:b, None], TAKE)
             key = np.arange(a, b, dtype=np.uint64)
             for column in plain[at].T:
                 key = mixed(key * np.uint64(31) + column)
@@ -159,16 +165,42 @@ def edits(a: np.ndarray, b: np.ndarray, most: int) -> int:
     return min(cost, most + 1)
 
 
+def most_edits(longer: int, threshold: float) -> int:
+    """Edits that a pair may have, given the longer one's length."""
+    return int((1 - threshold) * longer + 1e-9)
+
+
+class Bag:
+    """A text's words with their counts."""
+
+    def __init__(self, words: np.ndarray) -> None:
+        self.words = words
+        self.kinds, self.counts = np.unique(words, return_counts=True)
+
+    def apart(self, other: Bag) -> int:
+        """Edits that two texts have at least: words of the longer one that the other hasn't, counted with repeats."""
+        _, i, j = np.intersect1d(self.kinds, other.kinds, assume_unique=True, return_indices=True)
+        return max(len(self.words), len(other.words)) - int(np.minimum(self.counts[i], other.counts[j]).sum())
+
+
+def linked_by(a: Bag, b: Bag, threshold: float) -> tuple[float, int]:
+    """Alignment similarity of two texts and their edits; where that is below the threshold, 0 and a lower bound of the edits."""
+    longer = max(len(a.words), len(b.words))
+    most = most_edits(longer, threshold)
+    least = a.apart(b)
+    if least > most:
+        return 0.0, least
+    e = edits(a.words, b.words, most)
+    return (1 - e / longer, e) if e <= most else (0.0, most + 1)
+
+
 def similarity(a: np.ndarray, b: np.ndarray, threshold: float) -> float:
     """Alignment similarity of two word sequences, or 0 if below the threshold."""
-    longer = max(len(a), len(b))
-    most = int((1 - threshold) * longer + 1e-9)
-    e = edits(a, b, most)
-    return 1 - e / longer if e <= most else 0.0
+    return linked_by(Bag(a), Bag(b), threshold)[0]
 
 
 def sketched(docs: DataFrame, id_col: str, text: str) -> DataFrame:
-    """id, digest of the words and keys of each document with words."""
+    """id, digest of the words and keys of each document with words; of others that aren't empty the digest of the text and no keys."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         words = Words()
@@ -176,10 +208,10 @@ def sketched(docs: DataFrame, id_col: str, text: str) -> DataFrame:
             ids, digests, keys = [], [], []
             for i, t in zip(part.column(0).to_pylist(), common.texts_of(part.column(1)), strict=True):
                 w = words.of(t)
-                if len(w):
+                if len(w) or t:
                     ids.append(i)
-                    digests.append(hashlib.blake2b(w.tobytes(), digest_size=16).digest())
-                    keys.append(sketch(w))
+                    digests.append(hashlib.blake2b(w.tobytes() if len(w) else t.encode(), digest_size=16, person=b"words" if len(w) else b"text").digest())
+                    keys.append(sketch(w) if len(w) else [])
             yield pa.RecordBatch.from_arrays([pa.array(ids, part.column(0).type), pa.array(digests, pa.binary()), pa.array(keys, pa.list_(pa.int64()))], names=["id", "digest", "keys"])
 
     kind = docs.schema[id_col].dataType.simpleString()
@@ -201,107 +233,164 @@ def contents(docs: DataFrame, ids: DataFrame, id_col: str, text: str) -> DataFra
     return wanted.mapInArrow(run, f"id {kind}, words binary").dropDuplicates(["id"])
 
 
-def compared(pairs: DataFrame, known: DataFrame, threshold: float, chunk: int = 256) -> DataFrame:
-    """``pairs`` (a, b) with their similarity, 0 for those below the threshold. ``known``: id, words."""
+def compared(pairs: DataFrame, known: DataFrame, threshold: float) -> DataFrame:
+    """``pairs`` (a, b) with their similarity, 0 for those below the threshold, their edits (then a lower bound) and the
+    length of b. ``known``: id, words."""
     kind = known.schema["id"].dataType.simpleString()
-    counts = pairs.groupBy("a").agg(F.ceil(F.count("*") / chunk).cast("int").alias("chunks"))
+    counts = pairs.groupBy("a").agg(F.ceil(F.count("*") / CHUNK).cast("int").alias("chunks"))
     left = known.withColumnRenamed("id", "a").join(counts, "a").select("a", F.col("words").alias("words_a"), F.explode(F.sequence(F.lit(0), F.col("chunks") - 1)).alias("chunk"))
     right = pairs.join(counts, "a").withColumn("chunk", F.pmod(F.xxhash64("b"), F.col("chunks")).cast("int")).drop("chunks").join(known.withColumnRenamed("id", "b"), "b")
     both = right.join(left, ["a", "chunk"]).select("a", "b", "words_a", "words")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        held, leader = b"", Bag(np.empty(0, np.uint32))
         for batch in batches:
-            out = [similarity(np.frombuffer(x, np.uint32), np.frombuffer(y, np.uint32), threshold) for x, y in zip(batch.column(2).to_pylist(), batch.column(3).to_pylist(), strict=True)]
-            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(out, pa.float64())], names=["a", "b", "similarity"])
+            out = []
+            for x, y in zip(batch.column(2), batch.column(3), strict=True):
+                if (mine := x.as_py()) != held:
+                    held, leader = mine, Bag(np.frombuffer(mine, np.uint32))
+                other = Bag(np.frombuffer(y.as_py(), np.uint32))
+                out.append((*linked_by(leader, other, threshold), len(other.words)))
+            columns = [pa.array([o[i] for o in out], t) for i, t in enumerate((pa.float64(), pa.int64(), pa.int64()))]
+            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), *columns], names=["a", "b", "similarity", "edits", "n"])
 
-    return both.mapInArrow(run, f"a {kind}, b {kind}, similarity double")
+    return both.mapInArrow(run, f"a {kind}, b {kind}, similarity double, edits bigint, n bigint")
+
+
+def still_open(classed: DataFrame, threshold: float) -> DataFrame:
+    """What the leaders leave open of each bucket: key, id, class, n. ``classed``: key, id, class, n (words), the class of the
+    bucket's leader, and the similarity and edits to it.
+
+    Texts outside the leader's class may link with any others. One inside it, x, is needed only if some y outside may be near
+    enough: edits(y, leader) - edits(x, leader) <= allowed, where what is allowed grows with the longer one's length. The
+    least edits of the texts outside, with and without what their own length allows, stand for all of them.
+    """
+    outside = F.col("class") != F.col("leader_class")
+    allowed = F.floor((1 - threshold) * F.col("n") + 1e-9)
+    least = classed.where(outside).groupBy("key").agg(F.min("edits").alias("far"), F.min(F.col("edits") - allowed).alias("near"), F.count("*").alias("n_out"))
+    unsure = F.col("similarity") == 0  # in the class by another way: its edits to the leader are a lower bound only
+    needed = outside | unsure | (F.col("near") <= F.col("edits")) | (F.col("far") <= F.col("edits") + allowed)
+    rest = classed.join(least, "key").where(needed).select("key", "id", "class", "n")
+    several = rest.groupBy("key").agg(F.min("class").alias("lo"), F.max("class").alias("hi")).where("lo <> hi").select("key")
+    return rest.join(several, "key", "left_semi")
 
 
 def compared_in_blocks(left: DataFrame, known: DataFrame, threshold: float) -> DataFrame:
-    """Links among the texts of each bucket, as many as join them. ``left``: key, id, class that the text is in already. Texts
-    move once per block that holds other classes, not once per pair, and a pair in one class by earlier links or by those of
-    its blocks needs none of its own."""
+    """Links among the texts of each bucket, as many as join them. ``left``: key, id, class that the text is in already, n (words).
+
+    A bucket's texts are dealt to cells: by length, in steps of the threshold, so that only neighbouring cells can hold
+    links, and a class with many texts in a cell has one of its own, which needs no look inside. Cells are cut into blocks
+    by hash. Texts move once per block they meet, not once per pair, and a pair in one class by earlier links or by those
+    of its blocks needs none of its own.
+    """
     kind = known.schema["id"].dataType.simpleString()
-    place = (F.row_number().over(Window.partitionBy("key").orderBy("class", "id")) - 1) / BLOCK
-    ranked = left.withColumn("block", F.floor(place).cast("int"))
-    spans = ranked.groupBy("key", "block").agg(F.struct("block", F.min("class").alias("lo"), F.max("class").alias("hi")).alias("span"))
-    spans = spans.groupBy("key").agg(F.collect_list("span").alias("spans"))
+    step = F.floor(F.log(F.col("n").cast("double")) / -math.log(threshold) + 1e-9).cast("int")
+    binned = left.withColumn("bin", step)
+    sizes = binned.groupBy("key", "bin", "class").agg(F.count("*").alias("n"), F.sum("n").alias("words"))
+    sizes = sizes.withColumn("own", F.when(F.col("n") >= CLASS_BLOCK, F.col("class")))
+    cells = sizes.groupBy("key", "bin", "own").agg(F.greatest(F.ceil(F.sum("n") / BLOCK), F.ceil(F.sum("words") * 4 / BLOCK_BYTES)).cast("int").alias("blocks"))
+    blocks = common.stored(cells.withColumn("block", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1))).drop("blocks"), "blocks")
+    place = lambda side: F.struct(F.col("bin"), F.coalesce(F.col("own").cast("string"), F.lit("")).alias("own"), F.col("block")).alias(side)
+    pairs = blocks.select("key", place("x")).join(blocks.select("key", place("y")), "key")
+    pairs = pairs.where((F.col("x") <= F.col("y")) & (F.col("y.bin") - F.col("x.bin") <= 1) & ((F.col("x.own") != F.col("y.own")) | (F.col("x.own") == "")))
+    sides = F.array_distinct(F.array("x", "y"))
+    meets = pairs.withColumn("at", F.explode(sides)).select("key", "at.bin", "at.own", "at.block", "x", "y")
+    big = sizes.where("own is not null").select("key", "bin", "class", F.col("own").cast("string").alias("own"))
+    dealt = binned.join(big, ["key", "bin", "class"], "left").withColumn("own", F.coalesce("own", F.lit("")))
+    dealt = dealt.join(cells.withColumn("own", F.coalesce(F.col("own").cast("string"), F.lit(""))), ["key", "bin", "own"]).withColumn("block", F.pmod(F.xxhash64("id", F.lit("block")), F.col("blocks")).cast("int"))
+    dealt = dealt.join(meets, ["key", "bin", "own", "block"]).select("key", "x", "y", "id", "class", (F.struct("bin", "own", "block") == F.col("x")).alias("first"))
     own_keys = left.groupBy("id").agg(F.collect_set("key").alias("keys"))  # at most one per sketch
-    others = F.expr("transform(filter(spans, s -> s.lo <> s.hi or s.lo <> class or exists(spans, o -> o.block = block and o.lo <> o.hi)), s -> s.block)")
-    dealt = ranked.join(spans, "key").withColumn("other", F.explode(others))
-    dealt = dealt.select("key", "id", "class", "block", F.least("block", "other").alias("i"), F.greatest("block", "other").alias("j"))
     dealt = dealt.join(known, "id").join(own_keys, "id")
 
     def run(t: pa.Table) -> pa.Table:
-        key, i, j = (t[c][0].as_py() for c in ("key", "i", "j"))
-        ids, blocks, keys = t["id"].to_pylist(), t["block"].to_pylist(), [set(k) for k in t["keys"].to_pylist()]
-        words = [np.frombuffer(w, np.uint32) for w in t["words"].to_pylist()]
+        key = t["key"][0].as_py()
+        ids, first = t["id"].to_pylist(), t["first"].to_numpy()
+        same = t["x"][0].as_py() == t["y"][0].as_py()
+        keys = [set(k) for k in t["keys"].to_pylist()]
+        bags = [Bag(np.frombuffer(w, np.uint32)) for w in t["words"].to_pylist()]
+        n = np.array([len(b.words) for b in bags])
+        wide = int(2 ** np.clip(np.round(np.log2(1.5 * np.median(n))), 6, 11))
+        folded = np.zeros((len(bags), wide), np.uint16)
+        for x, b in enumerate(bags):  # words by a few bits of their digest: what two texts share here is never less than what they share
+            folded[x] = np.minimum(np.bincount(b.words % wide, minlength=wide), 65535)
+        number: dict = {}
+        label = np.array([number.setdefault(c, len(number)) for c in t["class"].to_pylist()])  # classes, joined as links are found
         out: list[tuple] = []
-        first: dict = {}
-        root = [first.setdefault(c, x) for x, c in enumerate(t["class"].to_pylist())]  # of a forest of links: what it joins already needs no further link
-
-        def top(x: int) -> int:
-            while root[x] != x:
-                root[x] = x = root[root[x]]
-            return x
-
         for x in range(len(ids)):
-            for y in range(len(ids)):
-                if blocks[x] == i and blocks[y] == j and (i != j or ids[x] < ids[y]) and top(x) != top(y):
-                    if min(len(words[x]), len(words[y])) < threshold * max(len(words[x]), len(words[y])) or min(keys[x] & keys[y]) != key:
-                        continue
-                    s = similarity(words[x], words[y], threshold)
+            if not (same or first[x]):
+                continue
+            rest = np.arange(x + 1, len(ids)) if same else np.flatnonzero(~first)
+            rest = rest[label[rest] != label[x]]
+            longer = np.maximum(n[rest], n[x])
+            most = np.floor((1 - threshold) * longer + 1e-9)
+            near = longer - np.minimum(n[rest], n[x]) <= most
+            rest, longer, most = rest[near], longer[near], most[near]
+            shared = np.minimum(folded[rest], folded[x]).sum(1, dtype=np.int64) + (0 if n[x] < 65535 else n[x])
+            for y in rest[longer - shared <= most].tolist():
+                if label[x] != label[y] and min(keys[x] & keys[y]) == key:
+                    s, _ = linked_by(bags[x], bags[y], threshold)
                     if s:
-                        root[top(x)] = top(y)
+                        label[label == label[y]] = label[x]
                         out.append((min(ids[x], ids[y]), max(ids[x], ids[y]), s))
         return pa.table({"a": pa.array([o[0] for o in out], t["id"].type), "b": pa.array([o[1] for o in out], t["id"].type), "similarity": pa.array([o[2] for o in out], pa.float64())})
 
-    return dealt.groupBy("key", "i", "j").applyInArrow(run, f"a {kind}, b {kind}, similarity double")
+    return dealt.groupBy("key", "x", "y").applyInArrow(run, f"a {kind}, b {kind}, similarity double")
+
+
+def with_low(edges: DataFrame, low: DataFrame, n_edges: int) -> DataFrame:
+    """``edges`` (v, u) with v's ``low``. Of ``low`` (v, low, n links) the nodes with a hundred-thousandth of all links, and a
+    thousand at least, come as a broadcast of 200,000 rows at most: a centre's links then need not meet in one task."""
+    hot = F.col("n") >= max(1000, n_edges // 100_000)
+    found = edges.join(F.broadcast(low.where(hot).select("v", F.col("low").alias("hot"))), "v", "left")
+    return found.where("hot is not null").select("v", "u", F.col("hot").alias("low")).unionAll(found.where("hot is null").join(low.where(~hot).select("v", "low"), "v").select("v", "u", "low"))
 
 
 def components(edges: DataFrame) -> DataFrame:
     """(id, class) of every node: alternating large and small stars around the smallest neighbour until all are stars."""
     edges = common.stored(edges.where("a <> b").select(F.greatest("a", "b").alias("v"), F.least("a", "b").alias("u")).distinct(), "edges")
-    kind = edges.schema["u"].dataType.simpleString()
-    state = None
+    state, n_edges = None, edges.count()
+    if not n_edges:
+        return edges.select(F.col("v").alias("id"), F.col("u").alias("class"))
     while True:
         both = edges.select("v", "u").unionAll(edges.select(F.col("u").alias("v"), F.col("v").alias("u")))
-        low = both.groupBy("v").agg(F.least(F.min("u"), F.first("v")).alias("low"))
-        large = both.join(low, "v").where("u > v").select(F.col("u").alias("v"), F.col("low").alias("u")).where("u <> v").distinct()
-        large = common.stored(large, "large-star")
-        low = large.groupBy("v").agg(F.min("u").alias("low"))
-        small = large.join(low, "v").select(F.when(F.col("u") == F.col("low"), F.col("v")).otherwise(F.col("u")).alias("v"), F.col("low").alias("u")).where("u <> v").distinct()
+        low = common.stored(both.groupBy("v").agg(F.least(F.min("u"), F.col("v")).alias("low"), F.count("*").alias("n")), "low")
+        large = common.stored(with_low(both, low, n_edges).where("u > v").select(F.col("u").alias("v"), F.col("low").alias("u")).where("u <> v").distinct(), "large-star")
+        common.discard(edges, low)
+        low = common.stored(large.groupBy("v").agg(F.min("u").alias("low"), F.count("*").alias("n")), "low")
+        small = with_low(large, low, n_edges).select(F.when(F.col("u") == F.col("low"), F.col("v")).otherwise(F.col("u")).alias("v"), F.col("low").alias("u")).where("u <> v").distinct()
         edges = common.stored(small, "small-star")
+        common.discard(large, low)
         now = edges.agg(F.count("*"), F.coalesce(F.sum(F.xxhash64("v", "u").cast("decimal(38,0)")), F.lit(0))).first()
+        n_edges = now[0]
         if now == state:
-            return edges.select(F.col("v").alias("id"), F.col("u").alias("class")).withColumn("class", F.col("class").cast(kind))
+            return edges.select(F.col("v").alias("id"), F.col("u").alias("class"))
         state = now
 
 
 def linked(bands: DataFrame, known: DataFrame, threshold: float) -> DataFrame:
     """Links (a, b) that join the texts that share a bucket: those between texts and the class their leaders put them in, and
-    those between such classes. ``bands``: key, id, of buckets with several texts."""
-    first = bands.groupBy("key").agg(F.min("id").alias("a"))
-    members = common.stored(bands.join(first, "key").where("id <> a"), "members")
+    those between such classes. ``bands``: key, id and the leader a, the smallest id, of buckets with several texts."""
+    members = bands.where("id <> a")
     pairs = common.stored(compared(members.select("a", F.col("id").alias("b")).distinct(), known, threshold), "compared")
     stars = components(pairs.where("similarity > 0").select("a", "b"))
-    classed = members.select("key", "id").join(stars, "id", "left").select("key", "id", F.coalesce("class", "id").alias("class"))
-    several = classed.groupBy("key").agg(F.min("class").alias("lo"), F.max("class").alias("hi")).where("lo <> hi").select("key")
-    left = common.stored(classed.join(several, "key", "left_semi"), "left")
+    lead = stars.select(F.col("id").alias("a"), F.col("class").alias("leader_class"))
+    classed = members.join(pairs.withColumnRenamed("b", "id"), ["a", "id"]).join(stars, "id", "left").join(lead, "a", "left")
+    classed = common.stored(classed.select("key", "id", F.coalesce("class", "id").alias("class"), F.coalesce("leader_class", "a").alias("leader_class"), "n", "similarity", "edits"), "classed")
+    left = common.stored(still_open(classed, threshold), "left")
+    common.discard(classed, pairs)
     return stars.select(F.col("class").alias("a"), F.col("id").alias("b")).unionAll(compared_in_blocks(left, known, threshold).select("a", "b"))
 
 
 def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text: str = "text", threshold: float = 0.8) -> DataFrame:
     """One row per row of ``docs``: id and class_id, the smallest id of its class."""
     rows = common.stored(sketched(docs, id_col, text), "sketches")
-    texts = common.stored(rows.groupBy("digest").agg(F.min("id").alias("rep")), "texts")
-    reps = rows.join(texts.select("digest", F.col("rep").alias("id")), ["digest", "id"], "left_semi").dropDuplicates(["digest"])
-    bands = reps.select("id", F.explode("keys").alias("key"))
-    shared = bands.groupBy("key").agg(F.count("*").alias("n")).where("n > 1").select("key")
-    bands = common.stored(bands.join(shared, "key"), "bands")
+    texts = common.stored(rows.groupBy("digest").agg(F.min("id").alias("rep"), F.first("keys").alias("keys")), "texts")  # equal words have equal keys
+    bands = texts.select(F.col("rep").alias("id"), F.explode("keys").alias("key"))
+    shared = bands.groupBy("key").agg(F.count("*").alias("n"), F.min("id").alias("a")).where("n > 1").select("key", "a")
+    bands = common.stored(bands.join(shared, "key").select("key", "id", "a"), "bands")
     known = common.stored(contents(docs, bands.select("id").distinct(), id_col, text), "contents")
     classes = components(linked(bands, known, threshold))
-    member = rows.select("id", "digest").distinct().join(texts, "digest").join(classes.withColumnRenamed("id", "rep"), "rep", "left").select("id", F.coalesce("class", "rep").alias("c"))
+    member = rows.select("id", "digest").distinct().join(texts.select("digest", "rep"), "digest").join(classes.withColumnRenamed("id", "rep"), "rep", "left").select("id", F.coalesce("class", "rep").alias("c"))
     member = member.groupBy("id").agg(F.min("c").alias("c"))
     every = docs.select(F.col(f"`{id_col}`"))
     return every.join(member.withColumnRenamed("id", id_col), id_col, "left").select(id_col, F.coalesce("c", id_col).alias("class_id"))
