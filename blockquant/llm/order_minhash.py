@@ -265,12 +265,13 @@ def still_open(classed: DataFrame, threshold: float) -> DataFrame:
     enough: edits(y, leader) - edits(x, leader) <= allowed, where what is allowed grows with the longer one's length. The
     least edits of the texts outside, with and without what their own length allows, stand for all of them.
     """
-    outside = F.col("class") != F.col("leader_class")
+    outside = classed.where("class <> leader_class")
     allowed = F.floor((1 - threshold) * F.col("n") + 1e-9)
-    least = classed.where(outside).groupBy("key").agg(F.min("edits").alias("far"), F.min(F.col("edits") - allowed).alias("near"), F.count("*").alias("n_out"))
+    least = outside.groupBy("key").agg(F.min("edits").alias("far"), F.min(F.col("edits") - allowed).alias("near"))
     unsure = F.col("similarity") == 0  # in the class by another way: its edits to the leader are a lower bound only
-    needed = outside | unsure | (F.col("near") <= F.col("edits")) | (F.col("far") <= F.col("edits") + allowed)
-    rest = classed.join(least, "key").where(needed).select("key", "id", "class", "n")
+    needed = unsure | (F.col("near") <= F.col("edits")) | (F.col("far") <= F.col("edits") + allowed)
+    inside = classed.where("class = leader_class").join(least, "key").where(needed)
+    rest = outside.select("key", "id", "class", "n").unionAll(inside.select("key", "id", "class", "n"))
     several = rest.groupBy("key").agg(F.min("class").alias("lo"), F.max("class").alias("hi")).where("lo <> hi").select("key")
     return rest.join(several, "key", "left_semi")
 
