@@ -286,29 +286,66 @@ def test_nearest_neighbours_reach_the_recall(spark):
     assert hit / len(got) >= 0.9
 
 
-def test_neighbours_over_several_parts(spark):
+@pytest.fixture(scope="module")
+def clustered(spark):
     rng = np.random.default_rng(1)
     centres = rng.normal(size=(30, 16)) * 2
     x = (centres[rng.integers(0, 30, 3000)] + rng.normal(size=(3000, 16))).astype(np.float32)
-    rows = spark.createDataFrame([(i, r.tolist()) for i, r in enumerate(x)], "vec_id long, embedding array<float>")
-    router = learned_partitions.fit(x.astype(float)[:2000], 8)
-    assert router.parts == 8 and router.probes < 8 and router.recall >= 0.96
-    got = learned_partitions.search(rows, F.col("vec_id") % 20 == 0, parts=8, block_rows=300, sample_rows=2000).toPandas()
-    hit = 0
-    for q, g in got.groupby("query_id"):
-        s = x.astype(float) @ x[q].astype(float)
-        s[q] = -np.inf
-        hit += len(set(np.argsort(-s, kind="stable")[:20]) & set(g.vec_id))
-    assert len(got) == 150 * 20 and hit / len(got) >= 0.9
+    return x.astype(float), spark.createDataFrame([(i, r.tolist()) for i, r in enumerate(x)], "vec_id long, embedding array<float>")
+
+
+def test_neighbours_over_several_parts(spark, clustered):
+    x, rows = clustered
+    index = learned_partitions.index(rows, F.col("vec_id") % 20 == 0, part_rows=300, sample_rows=2000)
+    assert index.router.parts == 8 and index.probes < 8 and index.recall >= 0.96 and index.counts.sum() == 3000
+    by_blocks = []
+    for block_rows in (None, 37):  # one block a part, and many blocks of candidates and of queries
+        got = learned_partitions.search(index, block_rows=block_rows).toPandas()
+        hit = 0
+        for q, g in got.groupby("query_id"):
+            s = x @ x[q]
+            s[q] = -np.inf
+            hit += len(set(np.argsort(-s, kind="stable")[:20]) & set(g.vec_id))
+        assert len(got) == 150 * 20 and hit / len(got) >= 0.9
+        by_blocks.append(got.sort_values(["query_id", "rank"]).reset_index(drop=True))
+    assert by_blocks[0].equals(by_blocks[1])
+
+
+def test_share_found_is_measured_on_all_rows(spark, clustered):
+    """The recall that sets the number of parts, against brute force over the table."""
+    x, rows = clustered
+    index = learned_partitions.index(rows, F.col("vec_id") % 20 == 0, part_rows=300, sample_rows=2000)
+    part = {r["id"]: r["part"] for r in index.rows.collect()}
+    ids = np.arange(0, 400)
+    probes, recall = learned_partitions.probes_needed(index.rows, index.router, ids, x[ids], 20, 0.96)
+    ranked, hit = index.router.ranked(x[ids]), {p: 0 for p in (probes - 1, probes)}
+    for i in ids:
+        s = x @ x[i]
+        s[i] = -np.inf
+        for p in hit:
+            hit[p] += sum(part[j] in ranked[i][:p] for j in np.lexsort((np.arange(len(x)), -s))[:20])
+    assert recall == pytest.approx(hit[probes] / 8000) and recall >= 0.96 and (probes == 1 or hit[probes - 1] / 8000 < 0.96)
+
+
+def test_queries_go_on_until_they_have_enough(spark, clustered):
+    x, rows = clustered
+    few = rows.where("vec_id < 60")
+    index = learned_partitions.index(few, F.col("vec_id") % 20 == 0, part_rows=8)
+    index.probes = 1
+    for k in (20, 100):
+        assert {r["n"] for r in learned_partitions.search(index, k).groupBy("query_id").agg(F.count("*").alias("n")).collect()} == {min(k, 59)}
 
 
 def test_neighbour_edges(spark):
     nan, inf = float("nan"), float("inf")
     rows = [(0, [1.0, 0.0]), (1, [1.0, 0.0]), (2, [1.0, 0.0]), (3, [0.0, 0.0]), (4, None), (5, [nan, 1.0]), (6, [inf, 1.0]), (7, [None, 1.0]), (8, [1.0]), (20, [0.5, 1.0]), (None, [1.0, 1.0]), (40, [])]
     df = spark.createDataFrame([(*r, 1) for r in rows], "vec_id long, embedding array<double>, rank int")
-    got = [(r["query_id"], r["rank"], r["vec_id"], r["score"]) for r in learned_partitions.search(df, F.col("vec_id") % 20 == 0).orderBy("query_id", "rank").collect()]
+    asks = F.col("vec_id") % 20 == 0
+    got = [(r["query_id"], r["rank"], r["vec_id"], r["score"]) for r in learned_partitions.neighbours(df, asks).orderBy("query_id", "rank").collect()]
     assert got == [(0, 1, 1, 1.0), (0, 2, 2, 1.0), (0, 3, 20, 0.5), (20, 1, 0, 0.5), (20, 2, 1, 0.5), (20, 3, 2, 0.5)]
-    assert learned_partitions.search(df.limit(0), F.col("vec_id") % 20 == 0).count() == 0
+    assert learned_partitions.neighbours(df.limit(0), asks).count() == 0
+    assert learned_partitions.neighbours(df.where("vec_id = 20"), asks).count() == 0
+    assert learned_partitions.neighbours(df.where("vec_id < 3"), F.lit(False)).count() == 0
 
 
 def test_class_model_beats_the_base_on_held_out_texts(spark):
