@@ -4,20 +4,24 @@ Index. Terms are lower-case words. An item's impact for a term is its BM25 weigh
 passage that holds all words of an item scores 1 and one threshold serves items of all lengths. Postings run in item
 order; for every term and block of ``BLOCK`` items the largest impact is kept.
 
-Search. A passage is ``2 * stride`` words, a new one starts every ``stride`` words, and ``stride`` is at least the longest
-item, so every item that occurs lies whole in a passage. The words of the whole document together bound the score of each
-item in all its passages; posting lists keep the items that this leaves. Block-max WAND then walks a passage's lists in
-item order, jumps over blocks whose maxima can't reach the threshold and scores the rest. The bounds are never below the
-true score: everything at or above the threshold is retrieved.
+Search. Each item has a width, the power of two that holds its words, 32 at least. Its passages are twice as wide and a new
+one starts every width, so an item that occurs lies whole in a passage, and what it is compared with doesn't depend on
+other items. The words of the whole document bound the scores of each item in all its passages: first block maxima alone,
+then, in the blocks that these leave, the items. Block-max WAND then walks a passage's lists in item order, jumps over blocks
+whose maxima can't reach the threshold and scores the rest. The bounds are never below the true score: everything at or
+above the threshold is retrieved.
 
 Verification. A hit counts if the passage covers, by shared word n-grams, enough of the item's question and enough of its
-answer. Items without columns of their own for these are split at the last sentence.
+answer. Items without columns of their own for these are split at the last sentence. Items of under ``exact_words`` words
+would pass by chance; they count where they stand whole, as a run of words, with a BM25 of 0.
 
-Scale: the index is the only thing broadcast. Items are loaded ``shard_items`` at a time, with document frequencies over
-all items, and each shard is one map-only pass over the documents: no shuffle, and hot copies cost nothing extra.
+Scale: the index is the only thing broadcast. Items are loaded in shards of ``shard_items`` items and ``shard_words`` words at
+most (an item of more is a shard), with document frequencies over all items, and each shard is one map-only pass over the
+documents: no shuffle, and hot copies cost nothing extra. The driver holds one shard at a time and the counts of the items'
+words.
 
-Defined results: null and empty texts and items match nothing; items of under ``min_words`` words are left out, as they would
-match by chance; repeated rows each give their hits; ties between passages go to the first.
+Defined results: null and empty texts and items match nothing; repeated rows each give their hits; ties between passages go to
+the first.
 """
 
 from __future__ import annotations
@@ -27,11 +31,12 @@ import re
 from bisect import bisect_left
 from collections import Counter
 from collections.abc import Iterator
-from dataclasses import dataclass, field
+from dataclasses import dataclass
 from operator import itemgetter
 
 import numpy as np
 import pyarrow as pa
+from pyspark import Broadcast
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
@@ -72,34 +77,36 @@ def covered(part: list[str], passage: list[str]) -> float:
 
 @dataclass
 class Index:
-    """Postings by term id: items ``items[starts[t]:starts[t + 1]]`` with their impacts."""
+    """Postings by term id: items ``items[starts[t]:starts[t + 1]]`` with their impacts. Runs of a term's items in one block:
+    ``run_starts`` by term, the block, largest impact and first posting of each. ``short``: items sought whole, by their words."""
 
     item_ids: list[int]
     parts: list[tuple[list[str], list[str]]]
+    widths: np.ndarray
+    selves: list[float]
     terms: dict[str, int]
     starts: np.ndarray
     items: np.ndarray
     impacts: np.ndarray
-    longest: int
-    self_scores: list[float] = field(default_factory=list)
-
-    def _postings(self, ids: np.ndarray) -> np.ndarray:
-        """Places of all postings of distinct terms, in the terms' order."""
-        n = self.starts[ids + 1] - self.starts[ids]
-        return np.repeat(self.starts[ids] - np.r_[0, np.cumsum(n)[:-1]], n) + np.arange(n.sum())
-
-    def totals(self, ids: np.ndarray) -> np.ndarray:
-        """Score of each item for the distinct terms."""
-        at = self._postings(ids)
-        return np.bincount(self.items[at], self.impacts[at], minlength=len(self.item_ids))
-
-    def lists(self, ids: np.ndarray, live: np.ndarray) -> dict[int, Postings]:
-        """Posting lists of the terms, with the items in ``live`` only, and without lists that this leaves empty."""
-        at = self._postings(ids)
-        terms = np.repeat(ids, self.starts[ids + 1] - self.starts[ids])
-        keep = live[self.items[at]]
+    run_starts: np.ndarray
+    run_block: np.ndarray
+    run_most: np.ndarray
+    run_first: np.ndarray
+    short: dict[tuple[str, ...], list[int]]
+
+    def live(self, ids: np.ndarray, floor: float) -> tuple[np.ndarray, np.ndarray]:
+        """Items that may reach ``floor`` with these distinct terms, and the places of their postings."""
+        runs = spread(self.run_starts[ids], self.run_starts[ids + 1])
+        blocks = np.bincount(self.run_block[runs], self.run_most[runs], minlength=-(-len(self.item_ids) // BLOCK)) >= floor
+        runs = runs[blocks[self.run_block[runs]]]
+        at = spread(self.run_first[runs], self.run_first[runs + 1])
+        items = np.bincount(self.items[at], self.impacts[at], minlength=len(self.item_ids)) >= floor
+        return np.flatnonzero(items), at[items[self.items[at]]]
+
+    def lists(self, at: np.ndarray) -> dict[int, Postings]:
+        """Posting lists of the given postings, by term."""
         out: dict[int, Postings] = {}
-        for t, i, v in zip(terms[keep].tolist(), self.items[at[keep]].tolist(), self.impacts[at[keep]].tolist(), strict=True):
+        for t, i, v in zip((np.searchsorted(self.starts, at, "right") - 1).tolist(), self.items[at].tolist(), self.impacts[at].tolist(), strict=True):
             if t not in out:
                 out[t] = Postings([], [], {}, 0.0)
             p = out[t]
@@ -110,6 +117,12 @@ class Index:
         return out
 
 
+def spread(starts: np.ndarray, ends: np.ndarray) -> np.ndarray:
+    """All places of some ranges, one range after the other."""
+    n = ends - starts
+    return np.repeat(starts - np.r_[0, np.cumsum(n)[:-1]], n) + np.arange(n.sum()) if len(n) else np.empty(0, np.int64)
+
+
 @dataclass
 class Postings:
     """One term's items in order, their impacts, the largest in each block and of all."""
@@ -120,21 +133,46 @@ class Postings:
     maximum: float
 
 
-def build(items: list[tuple[int, list[str], list[str]]], frequency: Counter, n_items: int, mean_words: float) -> Index:
-    """``items``: (id, question words, answer words); ``frequency``: of each term over all items of all shards."""
+def build(items: list[tuple[int, list[str], list[str]]], totals: Totals, exact_words: int) -> Index:
+    """``items``: (id, question words, answer words). Items of a width stand side by side."""
+    short: dict[tuple[str, ...], list[int]] = {}
+    for i, q, a in items:
+        if len(q) + len(a) < exact_words:
+            short.setdefault((*q, *a), []).append(i)
+    width = lambda q, a: max(32, 1 << (len(q) + len(a) - 1).bit_length())
+    items = sorted((x for x in items if len(x[1]) + len(x[2]) >= exact_words), key=lambda x: width(x[1], x[2]))
     terms: dict[str, int] = {}
     rows, selves = [], []
     for i, (_, question, answer) in enumerate(items):
         words = question + answer
-        norm = K1 * (1 - B + B * len(words) / mean_words)
-        weights = {w: math.log(1 + (n_items - frequency[w] + 0.5) / (frequency[w] + 0.5)) * tf * (K1 + 1) / (tf + norm) for w, tf in Counter(words).items()}
+        norm = K1 * (1 - B + B * len(words) / totals.mean_words)
+        weights = {w: math.log(1 + (totals.items - totals.frequency[w] + 0.5) / (totals.frequency[w] + 0.5)) * tf * (K1 + 1) / (tf + norm) for w, tf in Counter(words).items()}
         own = sum(weights.values())
         selves.append(own)
         rows += [(terms.setdefault(w, len(terms)), i, v / own) for w, v in weights.items()]
     rows.sort()
-    term, item, value = (np.array(c) for c in zip(*rows, strict=True))
-    starts = np.searchsorted(term, np.arange(len(terms) + 1))
-    return Index([i for i, _, _ in items], [(q, a) for _, q, a in items], terms, starts, item, value.astype(float), max(len(q) + len(a) for _, q, a in items), selves)
+    term, item = (np.array([r[k] for r in rows], np.int64) for k in (0, 1))
+    value = np.array([r[2] for r in rows], float)
+    every = np.arange(len(terms) + 1)
+    first = np.flatnonzero(np.r_[True, (term[1:] != term[:-1]) | (item[1:] // BLOCK != item[:-1] // BLOCK)]) if len(term) else np.empty(0, np.int64)
+    return Index(
+        [i for i, _, _ in items], [(q, a) for _, q, a in items], np.array([width(q, a) for _, q, a in items], np.int64), selves,
+        terms, np.searchsorted(term, every), item, value,
+        np.searchsorted(term[first], every), item[first] // BLOCK, np.maximum.reduceat(value, first) if len(first) else value, np.r_[first, len(term)], short,
+    )
+
+
+@dataclass
+class Totals:
+    """Of all items that BM25 scores: in how many each word stands, their number and that of their words."""
+
+    frequency: Counter
+    items: int = 0
+    words: int = 0
+
+    @property
+    def mean_words(self) -> float:
+        return self.words / max(1, self.items)
 
 
 EPS = 1e-9
@@ -181,49 +219,67 @@ def hits(index: Index, text: str, threshold: float, overlap: float) -> list[tupl
     get = index.terms.get
     ids = np.array([get(w, -1) for w in words], np.int64)
     known = np.unique(ids[ids >= 0])
-    if not len(known):
-        return []
-    live = index.totals(known) >= threshold - EPS
-    if not live.any():
-        return []
-    lists = index.lists(known, live)
-    stride = max(32, index.longest)
     best: dict[int, tuple] = {}
-    for start in range(0, max(1, len(words) - stride), stride):
-        some = [p for t in set(ids[start : start + 2 * stride].tolist()) if (p := lists.get(t))]
-        if sum(p.maximum for p in some) < threshold - EPS:
-            continue
-        passage = words[start : start + 2 * stride]
-        for i, score in block_max_wand(some, threshold):
-            q, a = (covered(p, passage) for p in index.parts[i])
-            if q >= overlap and a >= overlap and (i not in best or score > best[i][3] + EPS):
-                best[i] = (index.item_ids[i], start, score * index.self_scores[i], score, q, a)
-    return [best[i] for i in sorted(best)]
-
-
-def find_leaks(docs: DataFrame, benchmark: DataFrame, id_col: str = "doc_id", text: str = "text", threshold: float = 0.6, overlap: float = 0.6, min_words: int = 6, shard_items: int = 50_000) -> DataFrame:
+    live, at = index.live(known, threshold - EPS) if len(known) else ([], [])
+    for width in np.unique(index.widths[live]).tolist() if len(live) else []:
+        lists = index.lists(at[index.widths[index.items[at]] == width])
+        for start in range(0, max(1, len(words) - width), width):
+            some = [p for t in set(ids[start : start + 2 * width].tolist()) if (p := lists.get(t))]
+            if sum(p.maximum for p in some) < threshold - EPS:
+                continue
+            passage = words[start : start + 2 * width]
+            for i, score in block_max_wand(some, threshold):
+                q, a = (covered(p, passage) for p in index.parts[i])
+                if q >= overlap and a >= overlap and (i not in best or score > best[i][3] + EPS):
+                    best[i] = (index.item_ids[i], start, score * index.selves[i], score, q, a)
+    return [best[i] for i in sorted(best)] + whole(index.short, words)
+
+
+def whole(short: dict[tuple[str, ...], list[int]], words: list[str]) -> list[tuple]:
+    """Hits of the items that stand in the text as a run of words, each where it stands first."""
+    found: dict[tuple[str, ...], int] = {}
+    for n in sorted({len(k) for k in short} - {0}):
+        for start in range(len(words) - n + 1):
+            run = tuple(words[start : start + n])
+            if run in short:
+                found.setdefault(run, start)
+    return [(i, start, 0.0, 1.0, 1.0, 1.0) for run, start in found.items() for i in short[run]]
+
+
+def find_leaks(docs: DataFrame, benchmark: DataFrame, id_col: str = "doc_id", text: str = "text", threshold: float = 0.6, overlap: float = 0.6, exact_words: int = 6, shard_items: int = 50_000, shard_words: int = 500_000) -> DataFrame:
     """One row per document and benchmark item it leaks. ``benchmark``: item_id and text, or item_id, question and answer."""
     spark = docs.sparkSession
     own = {"question", "answer"} <= set(benchmark.columns)
-    wanted = benchmark.where(F.col("item_id").isNotNull()).select("item_id", *(["question", "answer"] if own else ["text"])).orderBy("item_id", *(["question", "answer"] if own else ["text"]))
-    frequency: Counter = Counter()
-    n_items = n_words = 0
-    shards: list[list[tuple[int, list[str], list[str]]]] = [[]]
-    for r in wanted.toLocalIterator():  # the benchmark, not the corpus: it is what the index and its broadcasts hold
-        q, a = (words_of(r["question"]), words_of(r["answer"])) if own else question_answer(r["text"])
-        if len(q) + len(a) < min_words:
-            continue
-        frequency.update({*q, *a})
-        n_items, n_words = n_items + 1, n_words + len(q) + len(a)
-        if len(shards[-1]) >= shard_items:
-            shards.append([])
-        shards[-1].append((r["item_id"], q, a))
+    columns = ["question", "answer"] if own else ["text"]
+    wanted = benchmark.where(F.col("item_id").isNotNull()).select("item_id", *columns).orderBy("item_id", *columns)
+
+    def items() -> Iterator[tuple[int, list[str], list[str]]]:
+        for r in wanted.toLocalIterator():  # the benchmark, not the corpus
+            q, a = (words_of(r["question"]), words_of(r["answer"])) if own else question_answer(r["text"])
+            if q or a:
+                yield r["item_id"], q, a
+
+    def shards() -> Iterator[list[tuple[int, list[str], list[str]]]]:
+        held, n = [], 0
+        for x in items():
+            more = len(x[1]) + len(x[2])
+            if held and (len(held) >= shard_items or n + more > shard_words):
+                yield held
+                held, n = [], 0
+            held.append(x)
+            n += more
+        if held:
+            yield held
+
+    totals = Totals(Counter())
+    for _, q, a in items():
+        if len(q) + len(a) >= exact_words:
+            totals.frequency.update({*q, *a})
+            totals.items, totals.words = totals.items + 1, totals.words + len(q) + len(a)
     schema = T.StructType([T.StructField(id_col, docs.schema[id_col].dataType), *(T.StructField(n, t) for n, t in (("item_id", T.LongType()), ("first_word", T.LongType()), ("bm25", T.DoubleType()), ("share", T.DoubleType()), ("question_overlap", T.DoubleType()), ("answer_overlap", T.DoubleType())))])
     source = docs.select(F.col(f"`{id_col}`"), F.coalesce(F.col(f"`{text}`"), F.lit("")).alias("__text"))
 
-    def search(shard: list[tuple[int, list[str], list[str]]]) -> DataFrame:
-        index = spark.sparkContext.broadcast(build(shard, frequency, n_items, n_words / n_items))
-
+    def search(index: Broadcast) -> DataFrame:
         def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             for part in common.pieces(batches, 1):
                 rows = [(i, h) for i, t in zip(part.column(0).to_pylist(), common.texts_of(part.column(1)), strict=True) for h in hits(index.value, t, threshold, overlap)]
@@ -232,10 +288,15 @@ def find_leaks(docs: DataFrame, benchmark: DataFrame, id_col: str = "doc_id", te
 
         return source.mapInArrow(run, schema)
 
-    out = spark.createDataFrame([], schema)
-    for shard in shards:
-        if shard:
-            out = search(shard) if len(shards) == 1 else out.unionAll(search(shard))
+    out, rest = spark.createDataFrame([], schema), shards()
+    shard, following = next(rest, None), next(rest, None)
+    if shard and not following:
+        return search(spark.sparkContext.broadcast(build(shard, totals, exact_words)))
+    while shard:  # one shard after the other: each is written, and then forgotten
+        index = spark.sparkContext.broadcast(build(shard, totals, exact_words))
+        out = out.unionAll(common.stored(search(index), "leaks"))
+        index.destroy()
+        shard, following = following, next(rest, None)
     return out
 
 

@@ -210,24 +210,28 @@ def test_op5_finds_the_pairs_of_high_similarity(spark):
 
 
 def brute_leaks(docs, items, threshold=0.6):
-    parts = {i: bm25_leaks.question_answer(t) for i, t in items.items()}
-    parts = {i: p for i, p in parts.items() if len(p[0]) + len(p[1]) >= 6}
+    every = {i: bm25_leaks.question_answer(t) for i, t in items.items()}
+    parts = {i: p for i, p in every.items() if len(p[0]) + len(p[1]) >= 6}
     df = Counter(w for q, a in parts.values() for w in {*q, *a})
     mean = sum(len(q) + len(a) for q, a in parts.values()) / len(parts)
-    longest = max(len(q) + len(a) for q, a in parts.values())
-    stride, out = max(32, longest), set()
-    weights = {}
+    out, weights = set(), {}
     for i, (q, a) in parts.items():
         tf, n = Counter(q + a), len(q + a)
         weights[i] = {w: math.log(1 + (len(parts) - df[w] + 0.5) / (df[w] + 0.5)) * c * 1.9 / (c + 0.9 * (0.6 + 0.4 * n / mean)) for w, c in tf.items()}
     for d, text in docs.items():
         w = WORD.findall((text or "").lower())
-        for s in range(0, max(1, len(w) - stride), stride):
-            p = w[s : s + 2 * stride]
-            have = set(p)
-            for i, ws in weights.items():
+        for i, ws in weights.items():
+            width = 32
+            while width < len(parts[i][0]) + len(parts[i][1]):
+                width *= 2
+            for s in range(0, max(1, len(w) - width), width):
+                p = w[s : s + 2 * width]
+                have = set(p)
                 if sum(v for x, v in ws.items() if x in have) >= threshold * sum(ws.values()) - 1e-9 and all(bm25_leaks.covered(y, p) >= 0.6 for y in parts[i]):
                     out.add((d, i))
+        for i, (q, a) in every.items():
+            if 0 < len(q) + len(a) < 6 and f" {' '.join(q + a)} " in f" {' '.join(w)} ":
+                out.add((d, i))
     return out
 
 
@@ -242,6 +246,38 @@ def test_shards_give_the_same_leaks(spark, sf):
     docs, items = common.table(spark, sf, "documents"), common.table(spark, sf, "benchmark")
     one, many = (sorted(tuple(r) for r in bm25_leaks.find_leaks(docs, items, shard_items=n).select("doc_id", "item_id", F.round("bm25", 9)).collect()) for n in (50_000, 7))
     assert one == many
+    by_words = sorted(tuple(r) for r in bm25_leaks.find_leaks(docs, items, shard_words=200).select("doc_id", "item_id", F.round("bm25", 9)).collect())
+    assert one == by_words
+
+
+def test_items_of_all_lengths_are_found_as_if_alone(spark):
+    """One very long item changes nothing for short ones, and items of few words count as runs of words."""
+    rnd = random.Random(21)
+    long, mid = " ".join(words(rnd, 900)), [" ".join(words(rnd, rnd.randint(6, 90))) for _ in range(40)]
+    items = {i: t for i, t in enumerate([long, *mid, "one two", "alpha beta gamma", "solo"])}
+    filler = words(rnd, 400)
+    texts = [" ".join([*filler[:k], *t.split(), *filler[k : 2 * k]]) for k, t in zip((0, 10, 60, 150) * 11, items.values(), strict=False)]
+    texts += [long[: len(long) // 2], " ".join(filler), "two one two", "alpha gamma beta solow", " ".join(reversed(mid[0].split()))]
+    docs = dict(enumerate(texts))
+    frame = spark.createDataFrame(list(docs.items()), "doc_id long, text string")
+    want = brute_leaks(docs, items)
+    for n in (50_000, 5):
+        got = {(r["doc_id"], r["item_id"]) for r in bm25_leaks.find_leaks(frame, spark.createDataFrame(list(items.items()), "item_id long, text string"), shard_items=n).collect()}
+        assert got == want
+    assert all((i, i) in want for i in items) and len(want) < 2 * len(items)
+
+
+def test_bounds_leave_every_item_that_reaches_the_threshold():
+    rnd = random.Random(2)
+    items = [(i, rnd.choices("abcdefghijklmnopqrstuvwxyz", k=rnd.randint(4, 30)), rnd.choices("abcdefghijklmnop", k=4)) for i in range(150)]
+    totals = bm25_leaks.Totals(Counter(w for _, q, a in items for w in {*q, *a}), 150, sum(len(q) + len(a) for _, q, a in items))
+    index = bm25_leaks.build(items, totals, 6)
+    for _ in range(100):
+        have = np.unique([index.terms[c] for c in rnd.sample("abcdefghijklmnopqrstuvwxyz", rnd.randint(1, 20))])
+        scores = np.bincount(index.items, index.impacts * np.isin(np.searchsorted(index.starts, np.arange(len(index.items)), "right") - 1, have), minlength=150)
+        for floor in (0.2, 0.5, 0.8):
+            live, at = index.live(have, floor)
+            assert live.tolist() == np.flatnonzero(scores >= floor).tolist() and set(index.items[at].tolist()) == set(live.tolist())
 
 
 def test_wand_equals_a_full_scan():
