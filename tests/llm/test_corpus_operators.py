@@ -406,14 +406,69 @@ def test_base_score_and_counts_equal_brute_force(spark, sf):
             assert abs(r["base_score"] - base) < 1e-6 * abs(base)
 
 
-def test_class_model_is_a_distribution():
-    rng = np.random.default_rng(0)
-    pairs = rng.poisson(0.4, (40, 40)).astype(float)
-    m = class_ngrams.ClassModel.of(pairs, pairs.sum(0), np.ones(40), 6)
-    assert np.allclose((10**m.step).sum(1), 1)
-    assert np.allclose(np.bincount(m.cls, 10**m.unit, 6), 1)
-    words_ = (np.array([5.0, 3, 0]) + 0.5).sum() / (8 + 0.5 * 3)
-    assert words_ == pytest.approx(1.0)
+def test_scores_equal_brute_force_and_sum_to_one(spark, sf):
+    """Every document's score from the words' classes alone, in plain Python; and all words' probabilities in every context."""
+    import zlib
+
+    docs = common.table(spark, sf, "documents").select(F.col("doc_id").alias("id"), F.coalesce("text", F.lit("")).alias("text"), (common.bucket_of("doc_id", 5) != 1).alias("train"))
+    fitted = class_ngrams.fit(docs, 500, 60, 30, 7)
+    got = {r["id"]: r["score"] for r in class_ngrams.scored(docs, fitted).collect()}
+    words = {bytes(r["word"]): (r["n"], r["class"]) for r in fitted.words.collect()}
+    home = lambda w: fitted.homes.get(w[-3:], fitted.homes[None])
+    assert all(n or c == home(w) for w, (n, c) in words.items()) and fitted.floor > 0 and any(n and c != home(w) for w, (n, c) in words.items())
+    texts = {r["id"]: [*r["text"].encode().lower().split(), None] for r in docs.collect()}
+    counts = {w: n for w, (n, _) in words.items() if n} | {None: sum(zlib.crc32(str(i).encode()) % 5 != 1 for i in texts)}
+    class_of = {w: c for w, (n, c) in words.items() if n} | {None: fitted.end_class}
+    room = {c: 0.5 * sum(h == c for h in fitted.homes.values()) + sum(n + 0.5 for w, n in counts.items() if class_of[w] == c) for c in range(7)}
+    path = {i: [class_of[w] if w in class_of else home(w) for w in ws] for i, ws in texts.items()}
+    pairs = Counter(p for i, cs in path.items() if zlib.crc32(str(i).encode()) % 5 != 1 for p in zip([fitted.end_class, *cs], cs))
+    after, kinds = Counter(), Counter()
+    for (a, _), n in pairs.items():
+        after[a] += n
+        kinds[a] += 1
+    step = lambda a, b: (pairs[a, b] + max(1, kinds[a]) * room[b] / sum(room.values())) / (after[a] + max(1, kinds[a]))
+    for i, ws in texts.items():
+        cs = path[i]
+        want = sum(math.log10(step(a, b)) + math.log10((counts.get(w, 0) + 0.5) / room[b]) for w, a, b in zip(ws, [fitted.end_class, *cs], cs, strict=False))
+        assert abs(got[i] - want) < 1e-6 * abs(want)
+    for a in range(7):
+        assert sum(step(a, class_of[w]) * (n + 0.5) / room[class_of[w]] for w, n in counts.items()) + sum(step(a, h) * 0.5 / room[h] for h in fitted.homes.values()) == pytest.approx(1)
+
+
+def test_each_word_joins_the_class_of_most_gain():
+    """Against the likelihood itself, before and after the word is put into each class."""
+    rng = np.random.default_rng(3)
+    table, cls = rng.poisson(30, (6, 6)).astype(float), np.array([0, 1, 2, 3, 4, 5, 5, 2])
+    contexts = class_ngrams.Contexts(table, cls, {}, 1.5)
+    rows = [(w, c, int(rng.choice([1, 2, 40]))) for w in range(40) for c in sorted(rng.choice(16, rng.integers(1, 9), replace=False))]
+    homes = rng.integers(0, 6, 40)
+    best = contexts.best(*(np.array(x) for x in zip(*rows)), homes)
+    assert 5 < (best != homes).sum() < 40
+    for w in range(40):
+        values = []
+        for b in range(6):
+            left, right = np.zeros((6, 6)), np.zeros((6, 6))
+            for x, c, n in rows:
+                if x == w and c < 8:
+                    left[cls[c], b] += n
+                elif x == w:
+                    right[b, cls[c - 8]] += n
+            grown = class_ngrams.xlogx(table + left).sum() + class_ngrams.xlogx(table + right).sum()
+            mass = class_ngrams.xlogx(table.sum(0) + left.sum(0)).sum() + class_ngrams.xlogx(table.sum(1) + right.sum(1)).sum()
+            values.append(grown - mass)
+        assert values[best[w]] >= max(values) - 1e-9 if max(values) > values[homes[w]] + 1.5 else best[w] == homes[w]
+
+
+def test_words_are_assigned_across_batches(spark):
+    """A word's neighbours may come in many rows and batches: the class is that of all of them."""
+    rng = np.random.default_rng(5)
+    contexts = class_ngrams.Contexts(rng.poisson(9, (5, 5)).astype(float), np.array([0, 1, 2, 3, 4]), {b"7": 3}, 0.5)
+    rows = [(str(int(w)).encode(), sorted(rng.choice(10, 3, replace=False).tolist()), rng.integers(1, 4, 3).tolist()) for w in rng.integers(0, 60, 3000)]
+    frame = spark.createDataFrame(rows, "word binary, codes array<int>, ns array<int>")
+    got = {bytes(r["word"]): r["class"] for r in class_ngrams.assigned(frame, contexts).collect()}
+    for w in {r[0] for r in rows}:
+        code, n = (np.array([x for r in rows if r[0] == w for x in r[k]]) for k in (1, 2))
+        assert got[w] == contexts.best(np.zeros(len(code), int), code, n.astype(float), np.array([contexts.home(w)]))[0]
 
 
 def test_exchange_only_raises_the_likelihood():
