@@ -16,8 +16,24 @@ RESTORED = "block_id bigint, row_id bigint, ant_a int, ant_b int, ch int, pol in
 
 
 def compress(cells: DataFrame, cfg: CodecConfig) -> DataFrame:
-    """Cells to packed rows, one per block and polarisation; flagged samples become the NaN symbol."""
-    return cells.select(*CELLS.fieldNames()).groupBy("block_id").applyInArrow(lambda t: kernels.compress_block(t, cfg), PACKED)
+    """Cells to packed rows, one per block, polarisation and sub-band; flagged samples become the NaN symbol. Polarisations and
+    sub-bands are groups of their own, but for row scaling, whose factor spans the polarisations."""
+    band = F.floor(F.col("ch") / cfg.sub_band)
+    keys = [F.col("block_id"), band] if cfg.scaling == "row" else [F.col("block_id"), F.col("pol"), band]
+    return cells.select(*CELLS.fieldNames()).groupBy(*keys).applyInArrow(lambda t: kernels.compress_block(t, cfg), PACKED)
+
+
+def compress_visibilities(rows: DataFrame, cfg: CodecConfig, n_ch: int, n_pol: int = 4) -> DataFrame:
+    """The same from rows layout (block_id, row_id, ant_a, ant_b, vis as [ch][pol][re, im], flag as [ch][pol] if there): arrays
+    move, not cells. Rows wider than a sub-band are cut before they move."""
+    flag = ["flag"] if "flag" in rows.columns else []
+    source = rows.select("block_id", "row_id", "ant_a", "ant_b", "vis", *flag)
+    if n_ch > cfg.sub_band:
+        part = lambda c, wide: F.slice(c, F.col("first_ch") * wide + 1, F.lit(cfg.sub_band * wide))
+        source = source.withColumn("first_ch", F.explode(F.sequence(F.lit(0), F.lit(n_ch - 1), F.lit(cfg.sub_band)))).withColumn("vis", part("vis", 2 * n_pol))
+        source = source.withColumn("flag", part("flag", n_pol)) if flag else source
+        return source.groupBy("block_id", "first_ch").applyInArrow(lambda t: kernels.compress_rows_block(t, cfg, n_pol), PACKED)
+    return source.groupBy("block_id").applyInArrow(lambda t: kernels.compress_rows_block(t, cfg, n_pol), PACKED)
 
 
 def decompress(packed: DataFrame) -> DataFrame:
@@ -36,9 +52,13 @@ def decompress(packed: DataFrame) -> DataFrame:
     return packed.select(*PACKED.fieldNames()).mapInArrow(run, RESTORED)
 
 
-def as_cells(restored: DataFrame) -> DataFrame:
-    """Restored cells with weight and flag columns again; NaN counts as flagged."""
-    return restored.withColumns({"weight": F.lit(1.0), "flagged": F.isnan("re") | F.isnan("im")}).select(*CELLS.fieldNames())
+def as_cells(restored: DataFrame, weights: DataFrame | None = None) -> DataFrame:
+    """Restored cells with weight and flag columns again; NaN counts as flagged. ``weights``: as ``weights.unpack`` gives them; a cell
+    without one weighs 1."""
+    if weights is not None:
+        restored = restored.join(weights.select("block_id", "row_id", "ch", "weight"), ["block_id", "row_id", "ch"], "left")
+    weight = F.lit(1.0) if weights is None else F.coalesce("weight", F.lit(1.0))
+    return restored.withColumns({"weight": weight, "flagged": F.isnan("re") | F.isnan("im")}).select(*CELLS.fieldNames())
 
 
 def factors(packed: DataFrame) -> DataFrame:

@@ -1,7 +1,7 @@
 """One block at a time in numpy: scaling by any method, quantising, packing.
 
-A block is what a group of ``applyInArrow`` holds: bounded by the observation's channels and antennas, not by its length.
-Where a block would be too large (many channels), split it by sub-band beforehand (``sub_bands``).
+A block is what a group of ``applyInArrow`` holds: one polarisation and sub-band of a block of the observation, bounded by its
+antennas and the sub-band's channels, not by its length (row scaling needs the row's polarisations together).
 """
 
 from __future__ import annotations
@@ -50,6 +50,26 @@ def usable(t: pa.Table, where: np.ndarray, autos: str) -> Block:
     return b
 
 
+def rows_as_blocks(t: pa.Table, n_pol: int, autos: str, first_ch: int = 0) -> list[Block]:
+    """The polarisations of a block in rows layout: ``vis`` as [ch][pol][re, im], and ``flag`` as [ch][pol] if there."""
+    n = t.num_rows
+    v = pc.fill_null(t["vis"].combine_chunks().flatten(), float("nan")).to_numpy(zero_copy_only=False).astype(float).reshape(n, -1, n_pol, 2)
+    bad = ~np.isfinite(v).all(3)
+    if "flag" in t.column_names:
+        bad |= pc.fill_null(t["flag"].combine_chunks().flatten(), False).to_numpy(zero_copy_only=False).reshape(bad.shape)
+    k = v.shape[1]
+    col = lambda name: np.repeat(t[name].to_numpy().astype(np.int64), k)
+    row, a, b, ch = col("row_id"), col("ant_a"), col("ant_b"), np.tile(np.arange(first_ch, first_ch + k), n)
+    out = []
+    for p in range(n_pol):
+        own = v[:, :, p].reshape(-1, 2)
+        own[bad[:, :, p].ravel()] = np.nan
+        if autos == "zero":
+            own[(a == b) & ~np.isnan(own[:, 0])] = 0
+        out.append(Block(row, a, b, ch, own))
+    return out
+
+
 def grouped(values: np.ndarray, index: np.ndarray, n: int, how) -> np.ndarray:
     out = np.zeros(n)
     how.at(out, index, values)
@@ -97,6 +117,10 @@ def solve_antennas(var: np.ndarray, solver: str = "als", sweeps: int = 50) -> np
     return g
 
 
+def stored(f: np.ndarray, cfg: CodecConfig) -> np.ndarray:
+    return f.astype(np.float32) if cfg.round_factors else f
+
+
 def fit_row(b: Block, row_peak: np.ndarray) -> tuple[np.ndarray, dict]:
     rows, at = np.unique(b.row, return_inverse=True)
     f = grouped(row_peak, at, len(rows), np.maximum).astype(np.float32)
@@ -155,7 +179,7 @@ def fit_antenna_channel(b: Block, cfg: CodecConfig, log: list[float] | None = No
             f_ch[best] *= tops[best]
         else:
             f_ant[best - k] *= tops[best]
-    f_ch, f_ant = f_ch.astype(np.float32), f_ant.astype(np.float32)
+    f_ch, f_ant = stored(f_ch, cfg), stored(f_ant, cfg)
     sigma = f_ch[c].astype(float) * f_ant[a] * f_ant[bb]
     factors = {"channels": f_ch, "antennas": f_ant, "ant_ids": ants}
     auto = ~cross
@@ -232,12 +256,8 @@ def fit_by_kernel(cells: DataFrame, cfg: CodecConfig) -> DataFrame:
         return t.append_column("sigma", pa.array(sigma, pa.float64()))
 
     schema = T.StructType([*CELLS.fields, T.StructField("sigma", T.DoubleType())])
-    return masked(cells.select(*CELLS.fieldNames()), cfg.autos).select(*CELLS.fieldNames()).groupBy("block_id").applyInArrow(run, schema)
-
-
-def sub_bands(cells: DataFrame, channels: int) -> DataFrame:
-    """Blocks of at most so many channels: ``block_id`` becomes (block, sub-band) in one number."""
-    return cells.withColumn("block_id", F.col("block_id") * 65536 + F.floor(F.col("ch") / channels).cast("long"))
+    group = ["block_id"] if cfg.scaling == "row" else ["block_id", "pol"]
+    return masked(cells.select(*CELLS.fieldNames()), cfg.autos).select(*CELLS.fieldNames()).groupBy(*group).applyInArrow(run, schema)
 
 
 # Packing.
@@ -269,69 +289,106 @@ def rice(symbols: np.ndarray, bits: int) -> bytes:
 
 
 def unrice(payload: bytes, bits: int, n: int) -> np.ndarray:
+    """Where a code ends depends on where it starts: the places of the first 1, 2, 4 ... codes follow from jumps over as many."""
     k, stream = payload[0], np.unpackbits(np.frombuffer(payload, np.uint8, offset=1))
+    end = len(stream)
     zeros = np.flatnonzero(stream == 0)
-    out, at = np.empty(n, np.int64), 0
-    for i in range(n):
-        z = int(zeros[np.searchsorted(zeros, at)])
-        low = 0
-        for bit in stream[z + 1 : z + 1 + k]:
-            low = low << 1 | int(bit)
-        out[i] = (z - at) << k | low
-        at = z + 1 + k
+    after = np.append(zeros, end)[np.searchsorted(zeros, np.arange(end + 1))]  # the first zero at or after each place
+    jump = np.minimum(after + 1 + k, end)
+    starts = np.zeros(1, np.int64)
+    while len(starts) < n:
+        starts = np.concatenate([starts, jump[starts]])
+        jump = jump[jump]
+    starts = starts[:n]
+    z = after[starts]
+    low = np.zeros(n, np.int64)
+    for i in range(k):
+        low = low << 1 | stream[np.minimum(z + 1 + i, end - 1)]
+    out = (z - starts) << k | low
     return np.where(out % 2 == 0, out // 2, -(out + 1) // 2) + zero_symbol(bits)
 
 
+def best_trunc(b: Block, sigma: np.ndarray, cfg: CodecConfig) -> float | None:
+    """The truncation of least expected error, ties to the smaller; the configured one without a grid."""
+    if not cfg.trunc_grid:
+        return cfg.trunc if cfg.quantiser == "tgauss" else None
+    v, s = b.v[~np.isnan(b.v[:, 0])], sigma[~np.isnan(b.v[:, 0])][:, None]
+    y = np.clip(np.divide(v, s, out=np.zeros_like(v), where=s > 0), -1, 1)
+    errors = []
+    for t in sorted(cfg.trunc_grid):
+        table = levels(cfg.quantiser, cfg.bits, t, cfg.sampling)
+        lo = np.clip(np.searchsorted(table, y, "right") - 1, 0, len(table) - 2)
+        errors.append((round(float(np.sqrt(np.mean((y - table[lo]) * (table[lo + 1] - y) * s * s))), 12) if len(v) else 0.0, t))
+    return min(errors)[1]
+
+
+def packed_row(block_id: int, p: int, b: Block, cfg: CodecConfig, peak: np.ndarray | None) -> dict:
+    """One polarisation of a block as a packed row. Cells are laid on the grid of the block's rows and channels."""
+    sigma, factors = fit(b, cfg, peak)
+    trunc = best_trunc(b, sigma, cfg)
+    u = uniform_array(ordinals(b, p), cfg.seed) if cfg.dither != "none" else np.full(b.v.shape, 0.5)
+    s2 = np.column_stack([sigma, sigma])
+    table = levels(cfg.quantiser, cfg.bits, trunc, cfg.sampling)
+    symbols = subtractive(b.v, s2, u, cfg.bits) if cfg.dither == "subtractive" else quantised(b.v, s2, table, u, cfg.bits)
+    rows, first, r = np.unique(b.row, return_index=True, return_inverse=True)
+    chans, c = np.unique(b.ch, return_inverse=True)
+    grid = np.full((len(rows) * len(chans), 2), nan_symbol(cfg.bits), np.int64)
+    grid[r * len(chans) + c] = symbols
+    there = np.zeros(len(grid), bool)
+    there[r * len(chans) + c] = True
+    payload = bitlib.packed(grid.ravel(), cfg.bits)
+    return {
+        "block_id": block_id,
+        "pol": p,
+        "row_ids": rows,
+        "ants_a": b.a[first],
+        "ants_b": b.b[first],
+        "channels": chans,
+        "present": None if there.all() else np.packbits(there).tobytes(),
+        "row_factors": factors.get("rows"),
+        "ant_ids": factors.get("ant_ids"),
+        "ant_factors": np.concatenate([factors["antennas"], factors["autos"]]) if "autos" in factors else factors.get("antennas"),
+        "ch_factors": factors.get("channels"),
+        "scaling": cfg.scaling,
+        "quantiser": cfg.quantiser,
+        "trunc": trunc,
+        "sampling": cfg.sampling,
+        "dither": cfg.dither,
+        "seed": cfg.seed,
+        "bits": cfg.bits,
+        "max_abs": float(b.peak.max(initial=0)),
+        "entropy": cfg.entropy,
+        "payload": entropy_coded(payload, grid.ravel(), cfg),
+    }
+
+
+def row_peaks(blocks: list[Block]) -> list[np.ndarray]:
+    """Each cell's row's largest magnitude over all polarisations."""
+    rows, at = np.unique(np.concatenate([b.row for b in blocks]), return_inverse=True)
+    top = grouped(np.concatenate([b.peak for b in blocks]), at, len(rows), np.maximum)
+    return np.split(top[at], np.cumsum([len(b.row) for b in blocks])[:-1])
+
+
+def used_autos(cfg: CodecConfig) -> str:
+    """Only the plain antenna method takes autocorrelations out; the others keep them."""
+    return cfg.autos if cfg.scaling == "antenna_channel" else "keep"
+
+
 def compress_block(t: pa.Table, cfg: CodecConfig) -> pa.Table:
-    """All polarisations of a block as packed rows. Cells are laid on the grid of the block's rows and channels."""
+    """The polarisations of a block's cells as packed rows."""
     pols = t["pol"].to_numpy()
-    table = table_of(cfg)
-    out = []
-    peaks = None
-    if cfg.scaling == "row":  # one factor for all polarisations of a row
-        whole = usable(t, np.ones(t.num_rows, bool), "keep" if cfg.autos == "zero" else cfg.autos)
-        rows, at = np.unique(whole.row, return_inverse=True)
-        peaks = grouped(whole.peak, at, len(rows), np.maximum)[at]
-    for p in np.unique(pols):
-        where = pols == p
-        b = usable(t, where, cfg.autos if cfg.scaling == "antenna_channel" else "keep")
-        sigma, factors = fit(b, cfg, peaks[where] if peaks is not None else None)
-        u = uniform_array(ordinals(b, int(p)), cfg.seed) if cfg.dither != "none" else np.full(b.v.shape, 0.5)
-        s2 = np.column_stack([sigma, sigma])
-        symbols = subtractive(b.v, s2, u, cfg.bits) if cfg.dither == "subtractive" else quantised(b.v, s2, table, u, cfg.bits)
-        rows, first, r = np.unique(b.row, return_index=True, return_inverse=True)
-        chans, c = np.unique(b.ch, return_inverse=True)
-        grid = np.full((len(rows) * len(chans), 2), nan_symbol(cfg.bits), np.int64)
-        grid[r * len(chans) + c] = symbols
-        there = np.zeros(len(grid), bool)
-        there[r * len(chans) + c] = True
-        payload = bitlib.packed(grid.ravel(), cfg.bits)
-        out.append(
-            {
-                "block_id": t["block_id"][0].as_py(),
-                "pol": int(p),
-                "row_ids": rows,
-                "ants_a": b.a[first],
-                "ants_b": b.b[first],
-                "channels": chans,
-                "present": None if there.all() else np.packbits(there).tobytes(),
-                "row_factors": factors.get("rows"),
-                "ant_ids": factors.get("ant_ids"),
-                "ant_factors": np.concatenate([factors["antennas"], factors["autos"]]) if "autos" in factors else factors.get("antennas"),
-                "ch_factors": factors.get("channels"),
-                "scaling": cfg.scaling,
-                "quantiser": cfg.quantiser,
-                "trunc": cfg.trunc if cfg.quantiser == "tgauss" else None,
-                "sampling": cfg.sampling,
-                "dither": cfg.dither,
-                "seed": cfg.seed,
-                "bits": cfg.bits,
-                "max_abs": float(b.peak.max(initial=0)),
-                "entropy": cfg.entropy,
-                "payload": entropy_coded(payload, grid.ravel(), cfg),
-            }
-        )
-    return pa.Table.from_pylist(out, ARROW_PACKED)
+    blocks = {int(p): usable(t, pols == p, used_autos(cfg)) for p in np.unique(pols)}
+    peaks = row_peaks(list(blocks.values())) if cfg.scaling == "row" else [None] * len(blocks)  # one factor for all polarisations of a row
+    block_id = t["block_id"][0].as_py()
+    return pa.Table.from_pylist([packed_row(block_id, p, b, cfg, peak) for (p, b), peak in zip(blocks.items(), peaks, strict=True)], ARROW_PACKED)
+
+
+def compress_rows_block(t: pa.Table, cfg: CodecConfig, n_pol: int) -> pa.Table:
+    """The same from rows layout."""
+    blocks = rows_as_blocks(t, n_pol, used_autos(cfg), t["first_ch"][0].as_py() if "first_ch" in t.column_names else 0)
+    peaks = row_peaks(blocks) if cfg.scaling == "row" else [None] * n_pol
+    block_id = t["block_id"][0].as_py()
+    return pa.Table.from_pylist([packed_row(block_id, p, b, cfg, peak) for p, (b, peak) in enumerate(zip(blocks, peaks, strict=True))], ARROW_PACKED)
 
 
 def sigma_of(r: dict) -> np.ndarray:

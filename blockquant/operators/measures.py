@@ -75,17 +75,18 @@ def metadata_share(cfg: CodecConfig, n_ch: int, n_ant: int, n_pol: int = 4) -> f
     return 4 * factor_count(cfg.scaling, n_ch, n_ant, n_pol) / (sample_count(n_ch, n_ant, n_pol) * cfg.bits / 8)
 
 
-def volume_report(cells: DataFrame, bits: int, weight_bits: int = 12, meta_bytes: int = 16) -> DataFrame:
-    """component, raw_bytes, packed_bytes, share of the raw whole: data, weights (one per four polarisations after packing), metadata of rows."""
-    t = cells.agg(F.count("*").alias("n"), F.countDistinct("block_id", "row_id").alias("rows"), F.countDistinct("block_id", "row_id", "ch").alias("wcells"))
-    parts = F.explode(
-        F.array(
-            F.struct(F.lit("data").alias("component"), (F.col("n") * 8).alias("raw_bytes"), F.ceil(F.col("n") * 2 * bits / 8).alias("packed_bytes")),
-            F.struct(F.lit("weights").alias("component"), (F.col("n") * 4).alias("raw_bytes"), F.ceil(F.col("wcells") * weight_bits / 8 + F.col("rows") * 4).alias("packed_bytes")),
-            F.struct(F.lit("metadata").alias("component"), (F.col("rows") * meta_bytes).alias("raw_bytes"), (F.col("rows") * meta_bytes).alias("packed_bytes")),
-        )
-    ).alias("c")
-    whole = F.col("n") * 12 + F.col("rows") * meta_bytes
+def volume_report(packed: DataFrame, weights: DataFrame, raw: DataFrame, meta_bytes: int = 16) -> DataFrame:
+    """component, raw_bytes, packed_bytes and their shares of the raw whole, from what is stored. Data are payloads, masks and factors,
+    as factors belong to the samples; weights are codes and row maxima; metadata of rows stay as they are. ``raw``: cells, of
+    8 bytes and a weight of 4."""
+    n = lambda c: F.coalesce(F.size(c), F.lit(0))
+    data = packed.agg(F.sum(F.octet_length("payload") + F.coalesce(F.octet_length("present"), F.lit(0)) + 4 * (n("row_factors") + n("ant_factors") + n("ch_factors"))).cast("long").alias("data"))
+    held = weights.agg(F.sum(F.octet_length("payload") + 4 * F.size("row_max")).cast("long").alias("weights"))
+    t = raw.agg(F.count("*").alias("n"), F.countDistinct("block_id", "row_id").alias("rows")).crossJoin(data).crossJoin(held)  # single rows
+    part = lambda name, before, now: F.struct(F.lit(name).alias("component"), before.cast("long").alias("raw_bytes"), now.cast("long").alias("packed_bytes"))
+    meta = F.col("rows") * meta_bytes
+    parts = F.explode(F.array(part("data", F.col("n") * 8, F.col("data")), part("weights", F.col("n") * 4, F.col("weights")), part("metadata", meta, meta))).alias("c")
+    whole = F.col("n") * 12 + meta
     return t.select(parts, whole.alias("whole")).select("c.component", "c.raw_bytes", "c.packed_bytes", (F.col("c.raw_bytes") / F.col("whole")).alias("raw_share"), (F.col("c.packed_bytes") / F.col("whole")).alias("packed_share"))
 
 

@@ -9,6 +9,8 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
+from ..functions import bits as bitlib
+from ..schema import WEIGHTS
 from . import kernels
 
 
@@ -35,6 +37,39 @@ def quantise_weights(weights: DataFrame, bits: int = 12, mode: str = "cell") ->
     return out.withColumn("weight_hat", decoded(F.col("sym"), F.col("row_max"), bits))
 
 
+def pack(cells: DataFrame, bits: int = 12) -> DataFrame:
+    """A block's weights as one packed row: the largest of a sample's polarisations, truncated against its row's largest. Where
+    a row has no sample in a channel the code is 0."""
+
+    def run(t: pa.Table) -> pa.Table:
+        rows, r = np.unique(t["row_id"].to_numpy(), return_inverse=True)
+        chans, c = np.unique(t["ch"].to_numpy(), return_inverse=True)
+        w = t["weight"].to_numpy().astype(float)
+        top = kernels.grouped(w, r, len(rows), np.maximum).astype(np.float32)
+        codes = np.zeros(len(rows) * len(chans), np.int64)
+        codes[r * len(chans) + c] = np.floor(np.minimum(kernels.ratio(w, top[r].astype(float)), 1) * ((1 << bits) - 1))
+        row = {"block_id": t["block_id"][0].as_py(), "row_ids": rows, "channels": chans, "row_max": top, "payload": bitlib.packed(codes, bits)}
+        return pa.Table.from_pylist([row], kernels.arrow(WEIGHTS))
+
+    one = cells.groupBy("block_id", "row_id", "ch").agg(F.coalesce(F.max("weight"), F.lit(0.0)).alias("weight"))
+    return one.groupBy("block_id").applyInArrow(run, WEIGHTS)
+
+
+def unpack(packed: DataFrame, bits: int = 12) -> DataFrame:
+    """block_id, row_id, ch, weight."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for p in batch.to_pylist():
+                n, k = len(p["row_ids"]), len(p["channels"])
+                top = np.repeat(np.array(p["row_max"], np.float32).astype(float), k)
+                w = bitlib.unpacked(p["payload"], bits, n * k) * top / ((1 << bits) - 1)
+                columns = [pa.array(np.full(n * k, p["block_id"]), pa.int64()), pa.array(np.repeat(p["row_ids"], k), pa.int64()), pa.array(np.tile(p["channels"], n), pa.int32()), pa.array(w)]
+                yield pa.RecordBatch.from_arrays(columns, names=["block_id", "row_id", "ch", "weight"])
+
+    return packed.mapInArrow(run, "block_id bigint, row_id bigint, ch int, weight double")
+
+
 def ratio(n_pol: int = 4, bits: int = 12, raw_bits: int = 32) -> float:
     return raw_bits * n_pol / bits
 

@@ -46,13 +46,25 @@ PACKED = T.StructType(
         T.StructField("payload", T.BinaryType()),
     ]
 )
+#: Weights of a block: one for all polarisations, codes of 12 bits against each row's largest.
+WEIGHTS = T.StructType(
+    [
+        T.StructField("block_id", T.LongType()),
+        T.StructField("row_ids", T.ArrayType(T.LongType())),
+        T.StructField("channels", T.ArrayType(T.IntegerType())),
+        T.StructField("row_max", T.ArrayType(T.FloatType())),
+        T.StructField("payload", T.BinaryType()),
+    ]
+)
 SCALINGS = ("row", "row_channel", "row_channel_af", "antenna_channel")
 QUANTISERS = ("gauss", "tgauss", "uniform", "lloyd")
 
 
 @dataclass(frozen=True)
 class CodecConfig:
-    """How blocks are scaled, quantised and dithered. ``trunc``: truncation of ``tgauss`` in sigma."""
+    """How blocks are scaled, quantised and dithered. ``trunc``: truncation of ``tgauss`` in sigma; with ``trunc_grid`` each block
+    and polarisation takes the one of the grid that has the least expected error. ``sub_band``: channels that are fitted and
+    packed together at most, which bounds what a task holds. ``round_factors``: scale by factors as they are stored, in 32 bits."""
 
     scaling: str = "antenna_channel"
     quantiser: str = "tgauss"
@@ -68,6 +80,9 @@ class CodecConfig:
     clip_sigma: float | None = None
     entropy: str | None = None
     centre: bool = False
+    trunc_grid: tuple[float, ...] | None = None
+    sub_band: int = 64
+    round_factors: bool = True
 
     def __post_init__(self) -> None:
         if self.scaling not in SCALINGS or self.quantiser not in QUANTISERS:
@@ -76,6 +91,8 @@ class CodecConfig:
             raise ValueError("bits must be 2 to 16")
         if self.dither not in ("hash", "none", "subtractive") or self.autos not in ("zero", "keep", "own_factor"):
             raise ValueError(f"unknown dither {self.dither} or autos {self.autos}")
+        if self.trunc_grid and self.quantiser != "tgauss":
+            raise ValueError("a grid of truncations needs the tgauss quantiser")
         if self.dither == "subtractive" and self.quantiser != "uniform":
             raise ValueError("subtractive dither needs uniform levels")
 

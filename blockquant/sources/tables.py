@@ -60,14 +60,14 @@ def vis_embeddings(spark: SparkSession, sf_dir: str, n_ant: int = 8, gains: bool
 
 def vis_lineitem(spark: SparkSession, sf_dir: str, n_ant: int = 10) -> DataFrame:
     """V2: a block is a month; cells are mean quantity and price of a supplier-part pair; one shuffle."""
-    li = load(spark, sf_dir, "lineitem", "l_suppkey", "l_partkey", "l_linenumber", "l_returnflag", "l_linestatus", "l_quantity", "l_extendedprice", "l_shipdate").where(F.col("l_returnflag").isin("A", "N"))
+    li = load(spark, sf_dir, "lineitem", "l_suppkey", "l_partkey", "l_linenumber", "l_returnflag", "l_linestatus", "l_quantity", "l_extendedprice", "l_shipdate")
     a, b = F.col("l_suppkey") % n_ant, F.col("l_partkey") % n_ant
     keys = {
         "block_id": ((F.year("l_shipdate") - 1995) * 12 + F.month("l_shipdate") - 1).cast("long"),
         "ant_a": F.least(a, b).cast("int"),
         "ant_b": F.greatest(a, b).cast("int"),
         "ch": (F.col("l_linenumber") - 1).cast("int"),
-        "pol": (F.when(F.col("l_returnflag") == "A", 0).otherwise(2) + F.when(F.col("l_linestatus") == "F", 0).otherwise(1)).cast("int"),
+        "pol": (F.when(F.col("l_returnflag") == "N", 2).otherwise(0) + F.when(F.col("l_linestatus") == "F", 0).otherwise(1)).cast("int"),
     }
     cells = li.groupBy(*(c.alias(n) for n, c in keys.items())).agg((F.avg("l_quantity") - 25.5).alias("re"), (F.avg("l_extendedprice") / 1000 - 53).alias("im"), F.count("*").cast("double").alias("weight"))
     row = F.col("block_id") * (n_ant * n_ant) + F.col("ant_a") * n_ant + F.col("ant_b")

@@ -12,7 +12,7 @@ from ..schema import CodecConfig
 from ..sources import store, tables
 from . import sql
 from .registry import query
-from .scaling import U8, row_samples, v1
+from .scaling import U8, af_exact, af_scaled, row_samples, v1
 
 T25_8 = CodecConfig(scaling="row", trunc=2.5, bits=8)
 ERR = "round(sqrt(avg((v_hat - v) * (v_hat - v))), 7)"
@@ -48,6 +48,11 @@ def w1_rfi_af(spark, d):
     return _rfi(spark, d, lambda c: scaling.fit_scales(c, CodecConfig()))
 
 
+@query("w1_rfi_af_closed_form", sql.with_(sql.v1(), sql.rfi(), *af_scaled(2, "hit"), sql.sampled("g2"), sql.level_rows(("t2.5",), (8,)), sql.table_coded("t2.5", 8)) + "SELECT ch, round(sqrt(avg((v_hat - v) * (v_hat - v))), 6) AS rms FROM coded GROUP BY ALL")
+def w1_rfi_af_closed(spark, d):
+    return _rfi(spark, d, af_exact)
+
+
 @query("w1_rfi_ratio", "SELECT TRUE AS row_fails, TRUE AS af_holds, TRUE AS rf_holds")
 def w1_rfi_ratio(spark, d):
     """Row scaling loses the clean channels under interference; the channel methods hold them."""
@@ -94,6 +99,11 @@ def w2_af(spark, d):
     return _scatter(spark, d, lambda c: scaling.fit_scales(c, CodecConfig()))
 
 
+@query("w2_baseline_scatter_af_closed_form", sql.with_(sql.v1(signal=2.0), *af_scaled(2), sql.sampled("g2"), sql.level_rows(("t2.5",), (3,)), sql.table_coded("t2.5", 3)) + "SELECT pol, part, round(sqrt(avg((v_hat - v) * (v_hat - v))), 6) AS rms, round(avg(v_hat - v), 6) AS bias FROM coded WHERE ant_a = 1 AND ant_b = 5 GROUP BY ALL")
+def w2_af_closed(spark, d):
+    return _scatter(spark, d, af_exact)
+
+
 # Repeats.
 
 T_G4 = CodecConfig(scaling="row", quantiser="gauss", trunc=None, bits=4)
@@ -127,15 +137,9 @@ def w3_repeat_avg(spark, d):
     return _repeat(tables.sinc(spark).withColumn("ord", F.col("id")))
 
 
-@query("w3_repeat_avg_customer", _repeat_sql("customer0", "c_acctbal").replace("FROM customer0", "FROM (SELECT c_custkey AS ord, c_acctbal FROM customer WHERE c_custkey <= 200)"))
+@query("w3_repeat_avg_customer", _repeat_sql("customer0", "c_acctbal").replace("FROM customer0", "FROM (SELECT c_custkey AS ord, c_acctbal FROM customer)"))
 def w3_repeat_customer(spark, d):
-    c = tables.load(spark, d, "customer", "c_custkey", "c_acctbal").where("c_custkey <= 200")  # the experiment's one short series
-    return _repeat(c.select(F.col("c_custkey").alias("ord"), F.col("c_acctbal").alias("v")))
-
-
-@query("w3_repeat_avg_customer_all", _repeat_sql("customer0", "c_acctbal").replace("FROM customer0", "FROM (SELECT c_custkey AS ord, c_acctbal FROM customer)"))
-def w3_repeat_customer_all(spark, d):
-    """The experiment over every customer, as ``w3_repeat_avg_customer`` takes a prefix of the keys."""
+    """The same over every customer's balance."""
     c = tables.load(spark, d, "customer", "c_custkey", "c_acctbal")
     return _repeat(c.select(F.col("c_custkey").alias("ord"), F.col("c_acctbal").alias("v")))
 
@@ -179,7 +183,7 @@ def _sweep_sql(scale: str) -> str:
 
 
 def _sweep_set_a(spark, d, how):
-    s = quantise.samples(how(scaling.masked(sweep.stand_in(spark, d, "A")))).where("ant_a <> ant_b")
+    s = quantise.samples(how(scaling.masked(tables.inject_signal(v1(spark, d), 0.5)))).where("ant_a <> ant_b")
     return quantise.expected_rms_many(s, WB).withColumn("rms", F.round("rms", 8))
 
 
@@ -215,18 +219,60 @@ def bit_slope(spark, d):
     return measures.bit_slope(_uniform_results(spark, d, WB), "quantiser").select("bits", F.round("step", 5).alias("step"))
 
 
-@query("w7_min_bits", _uniform_by_bits(WB) + f", v AS (SELECT sqrt(avg((x.im * x.im + x.re * x.re) / 2)) AS ref FROM (SELECT (max(im) FILTER (pol = 1) - max(im) FILTER (pol = 2)) / 2 AS re, (max(re) FILTER (pol = 2) - max(re) FILTER (pol = 1)) / 2 AS im FROM cells WHERE ant_a <> ant_b GROUP BY row_id, ch) x)\nSELECT 'B' AS set, rule, min(bits)::INT AS bits FROM res, v, (VALUES ('diff<10%', 0.1::DOUBLE), ('diff<5%', 0.05::DOUBLE)) r(rule, lim) WHERE rms < lim * ref GROUP BY rule")
+MIN_BITS = (*WB, 9, 10, 11, 12)
+
+
+@query("w7_min_bits", _uniform_by_bits(MIN_BITS) + ", v AS (SELECT sqrt(avg((x.im * x.im + x.re * x.re) / 2)) AS ref FROM (SELECT (max(im) FILTER (pol = 1) - max(im) FILTER (pol = 2)) / 2 AS re, (max(re) FILTER (pol = 2) - max(re) FILTER (pol = 1)) / 2 AS im FROM cells WHERE ant_a <> ant_b GROUP BY row_id, ch) x)\nSELECT 'B' AS set, rule, min(bits)::INT AS bits FROM res, v, (VALUES ('diff<10%', 0.1::DOUBLE), ('diff<1%', 0.01::DOUBLE)) r(rule, lim) WHERE rms < lim * ref GROUP BY rule")
 def w7_min_bits(spark, d):
-    """M8 on the noise set: the fewest bits whose expected error stays under a share of the Stokes V noise."""
-    r = _uniform_results(spark, d, WB).withColumn("set", F.lit("B"))
-    return measures.min_bits(r, sweep.references({"B": v1(spark, d)}), {"diff<10%": 0.1, "diff<5%": 0.05}).select("set", "rule", F.col("bits").cast("int").alias("bits"))
+    """M8 on the noise set in samples: the fewest bits whose expected error stays under a share of the Stokes V noise."""
+    r = _uniform_results(spark, d, MIN_BITS).withColumn("set", F.lit("B"))
+    return measures.min_bits(r, sweep.references({"B": v1(spark, d)}), {"diff<10%": 0.1, "diff<1%": 0.01}).select("set", "rule", F.col("bits").cast("int").alias("bits"))
+
+
+# W4, W5, W7 in images: each set goes its whole way in all variants.
+
+
+def _images(scaling_: str, labels=ALL5, bits=sweep.BITS, clean: bool = False):
+    def run(spark, d):
+        r = sweep.image_sweep(_sets(spark, d), scaling_, labels, bits, clean)
+        return r.select("set", "scaling", "quantiser", "bits", *(F.round(c, 9).alias(c) for c in r.columns[4:]))
+
+    return run
+
+
+query("w4_image_sweep_row")(_images("row"))
+query("w4_image_sweep_rf")(_images("row_channel"))
+query("w4_image_sweep_af")(_images("antenna_channel"))
+
+
+def _image_sql(scale: str, bits: tuple[int, ...] = WB) -> str:
+    """Set C, which goes straight from the codec to the image, in SQL."""
+    gain = "((0.5::DOUBLE + 1.5::DOUBLE * ant_a / 7.0::DOUBLE) * (0.5::DOUBLE + 1.5::DOUBLE * ant_b / 7.0::DOUBLE) * (1.0::DOUBLE + 0.2::DOUBLE * ch))"
+    flat = f"flat AS (SELECT * EXCLUDE (re, im), re / {gain} AS re, im / {gain} AS im FROM cells)"
+    u = sql.uniform_sql("ord", 0)
+    coded = f"""coded AS (SELECT quantiser, bits, block_id, row_id, ant_a, ant_b, ch, pol, part, CASE WHEN {u} < (y - lo) / (hi - lo) THEN hi ELSE lo END * sigma AS v FROM smp JOIN lv ON y >= lo AND (y < hi OR last)
+  UNION ALL SELECT 'none', 0, block_id, row_id, ant_a, ant_b, ch, pol, part, v FROM smp)"""
+    pick = lambda pol, part: f"max(v) FILTER (pol = {pol} AND part = {part})"
+    sti = f"sti AS (SELECT quantiser, bits, block_id, row_id, ch, any_value(ant_a) AS ant_a, any_value(ant_b) AS ant_b, ({pick(0, 0)} + {pick(3, 0)}) / 2 AS i_re, ({pick(0, 1)} + {pick(3, 1)}) / 2 AS i_im FROM coded WHERE ant_a <> ant_b GROUP BY quantiser, bits, block_id, row_id, ch)"
+    grid = f"grid AS (SELECT quantiser, bits, floor({UVX} + 0.5)::INT AS gu, floor({UVY} + 0.5)::INT AS gv, avg(i_re) AS re, avg(i_im) AS im FROM sti GROUP BY ALL)"
+    phase = f"2 * pi() / {NPIX} * (gu * l + gv * m)"
+    img = f"img AS (SELECT quantiser, bits, l, m, avg(re * cos({phase}) - im * sin({phase})) AS value FROM grid, (SELECT a - {NPIX // 2} AS l, b - {NPIX // 2} AS m FROM range({NPIX}) x(a), range({NPIX}) y(b)) GROUP BY ALL)"
+    scaled = sql.row_scaled("flat") if scale == "row" else sql.rf_scaled("flat")
+    return sql.with_(sql.v1(signal=2.0), flat, scaled, sql.sampled(), sql.level_rows(ALL5, bits), coded, sti, grid, img) + "SELECT i.quantiser, i.bits::INT AS bits, round(sqrt(avg((i.value - p.value) * (i.value - p.value))), 8) AS diff_rms FROM img i JOIN img p ON p.quantiser = 'none' AND i.l = p.l AND i.m = p.m WHERE i.quantiser <> 'none' GROUP BY ALL"
+
+
+def _image_c(scaling_: str):
+    def run(spark, d):
+        r = sweep.image_sweep({"C": sweep.stand_in(spark, d, "C")}, scaling_, ALL5, WB)
+        return r.select("quantiser", "bits", F.round("diff_rms", 8).alias("diff_rms"))
+
+    return run
 
 
 @query("w7_min_bits_all_sets")
 def w7_all(spark, d):
-    sets = _sets(spark, d)
-    r = sweep.sweep(sets, "row_channel", WB + (10, 12)).where("quantiser = 't1.5'")
-    return measures.min_bits(r, sweep.references(sets), {"diff<10%": 0.1, "diff<1%": 0.01})
+    """M8: the four rules in images, for the antenna method with the 2.5 sigma table."""
+    return sweep.minimum_bits(sweep.image_sweep(_sets(spark, d), "antenna_channel", ("t2.5",), tuple(range(2, 17)), True))
 
 
 # The published table.
@@ -286,6 +332,10 @@ GRID = f"grid AS (SELECT floor({UVX} + 0.5)::INT AS gu, floor({UVY} + 0.5)::INT
 IMG = f"img AS (SELECT l, m, sum(w * (re * cos(2 * pi() / {NPIX} * (gu * l + gv * m)) - im * sin(2 * pi() / {NPIX} * (gu * l + gv * m)))) / sum(w) AS value FROM grid, (SELECT a - {NPIX // 2} AS l, b - {NPIX // 2} AS m FROM range({NPIX}) x(a), range({NPIX}) y(b)) GROUP BY l, m)"
 
 
+query("w4_image_sweep_row_set_c", _image_sql("row"))(_image_c("row"))
+query("w4_image_sweep_rf_set_c", _image_sql("rf"))(_image_c("row_channel"))
+
+
 def _image(cells: DataFrame, product: str = "i") -> DataFrame:
     s = calibrate.stokes(cells).where("ant_a <> ant_b")
     return imaging.dirty_image(imaging.uv_grid(s, f"{product}_re", f"{product}_im"), NPIX)
@@ -335,25 +385,13 @@ def image_diff_rms(spark, d):
     return out
 
 
-def cleaned_noise(image: DataFrame, psf: DataFrame) -> float:
-    """rms of the cleaned residual in a corner without sources: pixels only come to the driver."""
-    residual, _ = imaging.clean(imaging.image_array(image, NPIX), imaging.image_array(psf, NPIX), 0.1, 200)
-    box = residual[: NPIX // 4, : NPIX // 4]
-    return float((box**2).mean() ** 0.5)
-
+for _name, _scaling in (("w5_noise_change", "antenna_channel"), ("w5_noise_change_rf", "row_channel"), ("w5_noise_change_row", "row")):
 
-@query("w5_noise_change")
-def w5(spark, d):
-    """M2: relative change of the cleaned noise by bit-rate."""
-    rows, base = [], None
-    for b in (2, 3, 4, 6, 8):
-        before, after = _restored(spark, d, CodecConfig(bits=b))
-        if base is None:
-            s = calibrate.stokes(before).where("ant_a <> ant_b")
-            psf = imaging.beam(imaging.uv_grid(s, "i_re", "i_im"), NPIX)
-            base = cleaned_noise(_image(before), psf)
-        rows.append((b, round(measures.noise_change(base, cleaned_noise(_image(after), psf)), 8)))
-    return spark.createDataFrame(rows, "bits int, rel_change double")
+    @query(_name)
+    def w5(spark, d, how=_scaling):
+        """M2: relative change of the cleaned noise, by set, table and bit-rate."""
+        r = sweep.image_sweep(_sets(spark, d), how, ALL5, (2, 3, 4, 6, 8), True)
+        return r.select("set", "scaling", "quantiser", "bits", F.round(F.col("noise") / F.col("noise_ref") - 1, 8).alias("rel_change"))
 
 
 @query("clean_image")
@@ -386,26 +424,72 @@ def _structure_sql(bits: int) -> str:
     return sql.with_(sql.v1(signal=0.5), sql.row_scaled(), sql.sampled(), sql.uniform_coded(bits), "e AS (SELECT v_hat - v AS value, v FROM coded)") + "SELECT round(avg(value), 5) AS mean, round((SELECT avg(power(value - a, 3)) / power(avg(power(value - a, 2)), 1.5) FROM e, (SELECT avg(value) AS a FROM e)), 5) AS skewness, round((SELECT avg(power(value - a, 4)) / power(avg(power(value - a, 2)), 2) - 3 FROM e, (SELECT avg(value) AS a FROM e)), 5) AS kurtosis, round(corr(value, v), 5) AS corr FROM e"
 
 
-query("w6_diff_stats_8", _structure_sql(8))(_structure(8))
-query("w6_diff_stats_2", _structure_sql(2))(_structure(2))
+query("w6_sample_stats_8", _structure_sql(8))(_structure(8))
+query("w6_sample_stats_2", _structure_sql(2))(_structure(2))
+
+
+def _difference(bits: int):
+    def run(spark, d):
+        """M12 in the image of set A, antenna scaling with the 2.5 sigma table: shape of the difference, its correlation with the
+        image, its value at the source in units of its rms, and what its rms is in single blocks over what it is in all."""
+        cells, cfg = sweep.stand_in(spark, d, "A"), CodecConfig(bits=bits)
+        whole, single = sweep.difference_images(cells, "A", cfg), sweep.difference_images(cells, "A", cfg, "block")
+        stats = whole.agg(F.sqrt(F.avg(F.col("diff") ** 2)).alias("rms"), F.avg("diff").alias("mean"), F.skewness("diff").alias("skewness"), F.kurtosis("diff").alias("kurtosis"), F.corr("diff", "plain").alias("corr"), F.max(F.when((F.col("l") == 0) & (F.col("m") == 0), F.col("diff"))).alias("at_source"))
+        blocks = single.agg(F.sqrt(F.avg(F.col("diff") ** 2)).alias("rms_block"), F.countDistinct("block").alias("n_blocks"))
+        r = stats.crossJoin(blocks).withColumn("at_source", F.abs("at_source") / F.col("rms")).withColumn("gain_by_time", F.col("rms_block") / F.col("rms"))  # single rows
+        return r.select(*(F.round(c, 6).alias(c) for c in ("rms", "mean", "skewness", "kurtosis", "corr", "at_source", "gain_by_time")), "n_blocks")
+
+    return run
+
+
+query("w6_diff_stats_8")(_difference(8))
+query("w6_diff_stats_2")(_difference(2))
 
 
 # Volume.
 
-VOL = """SELECT component, raw_bytes::BIGINT AS raw_bytes, packed_bytes::BIGINT AS packed_bytes, round(packed_bytes / whole, 8) AS packed_share FROM (
-  SELECT *, n * 12 + rows * 16 AS whole FROM (SELECT count(*) AS n, count(DISTINCT row_id) AS rows, count(DISTINCT (row_id, ch)) AS w FROM cells)) t,
-  LATERAL (VALUES ('data', n * 8, ceil(n * 2 * 6 / 8.0::DOUBLE)), ('weights', n * 4, ceil(w * 12 / 8.0::DOUBLE + rows * 4)), ('metadata', rows * 16, rows * 16)) c(component, raw_bytes, packed_bytes)"""
+def _volume_sql(cells: str, bits: tuple[int, ...]) -> str:
+    """From the counts of each block: payloads and masks on its grid of rows and channels, a factor for each of both, 12-bit weights."""
+    data = "(SELECT sum(ceil(r * k * 2 * b / 8.0::DOUBLE) + CASE WHEN n < r * k THEN ceil(r * k / 8.0::DOUBLE) ELSE 0 END + 4 * (r + k)) FROM g)"
+    g = "g AS (SELECT block_id, pol, count(DISTINCT row_id) AS r, count(DISTINCT ch) AS k, count(*) AS n FROM cells GROUP BY ALL)"
+    w = "w AS (SELECT sum(ceil(r * k * 12 / 8.0::DOUBLE) + 4 * r) AS w FROM (SELECT block_id, count(DISTINCT row_id) AS r, count(DISTINCT ch) AS k FROM cells GROUP BY ALL))"
+    t = "t AS (SELECT count(*) AS n, count(DISTINCT (block_id, row_id)) AS rows FROM cells)"
+    return sql.with_(cells, g, w, t) + f"""SELECT b::INT AS bits, component, raw_bytes::BIGINT AS raw_bytes, packed_bytes::BIGINT AS packed_bytes, round(packed_bytes / (n * 12 + rows * 16), 8) AS packed_share
+FROM (SELECT unnest({list(bits)}) AS b) x, t, w, LATERAL (VALUES ('data', n * 8, {data}), ('weights', n * 4, w.w), ('metadata', rows * 16, rows * 16)) c(component, raw_bytes, packed_bytes)"""
+
+
+def _volume(cells: DataFrame, bits: tuple[int, ...]) -> DataFrame:
+    out = None
+    for b in bits:
+        packed = codec.compress(cells, CodecConfig(scaling="row_channel", autos="keep", bits=b))
+        r = measures.volume_report(packed, weights.pack(cells), cells).select(F.lit(b).alias("bits"), "component", "raw_bytes", "packed_bytes", F.round("packed_share", 8).alias("packed_share"))
+        out = r if out is None else out.unionAll(r)
+    return out
+
 
+VOLUME_BITS = (2, 3, 4, 5, 6, 8, 10, 12, 16)
 
-@query("w8_volume", sql.with_(sql.v1()) + VOL)
+
+@query("w8_volume", _volume_sql(sql.v1(), VOLUME_BITS))
 def w8(spark, d):
-    """M10 at 6 bits."""
-    return measures.volume_report(v1(spark, d), 6).select("component", F.col("raw_bytes").cast("long"), F.col("packed_bytes").cast("long"), F.round("packed_share", 8).alias("packed_share"))
+    """Bytes that are stored, by component and bit-rate; scale factors count as samples."""
+    return _volume(v1(spark, d), VOLUME_BITS)
 
 
-@query("w8_volume_v2", sql.with_(sql.V2) + VOL)
+@query("w8_volume_v2", _volume_sql(sql.V2, (6,)))
 def w8_v2(spark, d):
-    return measures.volume_report(tables.vis_lineitem(spark, d), 6).select("component", F.col("raw_bytes").cast("long"), F.col("packed_bytes").cast("long"), F.round("packed_share", 8).alias("packed_share"))
+    return _volume(tables.vis_lineitem(spark, d), (6,))
+
+
+@query("weights_in_store", sql.with_(sql.V2, "w AS (SELECT block_id, row_id, ch, max(weight) AS w FROM cells GROUP BY ALL)", "m AS (SELECT *, max(w) OVER (PARTITION BY block_id, row_id) AS top FROM w)", "h AS (SELECT *, floor(w / top * 4095) * top / 4095 AS hat FROM m)") + "SELECT c.block_id, count(*) AS n, round(sum(hat), 6) AS weight, round(max(abs(hat - w) / top), 8) AS worst FROM cells c JOIN h USING (block_id, row_id, ch) GROUP BY ALL")
+def weights_in_store(spark, d):
+    """Weights that come back from a store with the samples: one for all polarisations, 12 bits against the row's largest."""
+    cells, path = tables.vis_lineitem(spark, d), store.shared_dir(spark, "observation")
+    store.write_observation(cells, path, CodecConfig(scaling="row_channel", autos="keep", bits=6), 16)
+    w = cells.groupBy("block_id", "row_id", "ch").agg(F.max("weight").alias("w"))
+    w = w.join(w.groupBy("block_id", "row_id").agg(F.max("w").alias("top")), ["block_id", "row_id"])
+    back = store.read_observation(spark, path).join(w, ["block_id", "row_id", "ch"])
+    return back.groupBy("block_id").agg(F.count("*").alias("n"), F.round(F.sum("weight"), 6).alias("weight"), F.round(F.max(F.abs(F.col("weight") - F.col("w")) / F.col("top")), 8).alias("worst"))
 
 
 @query("w8_bzip2")
@@ -703,14 +787,7 @@ def block_offsets(spark, d):
 
 
 def _stored(spark, d, cfg=CodecConfig(scaling="row_channel", autos="keep", quantiser="uniform", trunc=None), per_bucket: int = 4) -> str:  # noqa: B008
-    import uuid
-
-    base = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getCheckpointDir()
-    if not base:
-        import tempfile
-
-        base = "file://" + tempfile.mkdtemp()
-    path = f"{base.rstrip('/')}/packed-{uuid.uuid4().hex}"
+    path = store.shared_dir(spark, "packed")
     store.write(codec.compress(v1(spark, d), cfg), path, per_bucket)
     return path
 

@@ -2,15 +2,13 @@
 
 from __future__ import annotations
 
-import uuid
-
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from ..functions import bits as bitlib
 from ..operators import calibrate, quantise, scaling
 from ..schema import CodecConfig
-from ..sources import tables
+from ..sources import store, tables
 from . import sql
 from .registry import query
 from .scaling import U8, row_samples, v1
@@ -102,15 +100,8 @@ def op_missing_rows(spark, d):
     return grid.join(rows, ["block_id", "row_id"], "left_anti")
 
 
-@query("op_full_outer", "SELECT coalesce(a.k, b.k) AS k, a.n AS n_docs, b.n AS n_vecs FROM (SELECT doc_id % 50 AS k, count(*) AS n FROM documents WHERE doc_id % 3 = 0 GROUP BY 1) a FULL JOIN (SELECT vec_id % 60 AS k, count(*) AS n FROM embeddings WHERE vec_id % 2 = 0 GROUP BY 1) b USING (k)")
+@query("op_full_outer", "SELECT coalesce(a.k, b.k) AS k, a.n AS n_docs, b.n AS n_vecs FROM (SELECT doc_id % 50 AS k, count(*) AS n FROM documents GROUP BY 1) a FULL JOIN (SELECT 10 + vec_id % 50 AS k, count(*) AS n FROM embeddings GROUP BY 1) b USING (k)")
 def op_full_outer(spark, d):
-    a = tables.load(spark, d, "documents", "doc_id").where("doc_id % 3 = 0").groupBy((F.col("doc_id") % 50).alias("k")).agg(F.count("*").alias("n_docs"))
-    b = tables.load(spark, d, "embeddings", "vec_id").where("vec_id % 2 = 0").groupBy((F.col("vec_id") % 60).alias("k")).agg(F.count("*").alias("n_vecs"))
-    return a.join(b, "k", "full_outer")
-
-
-@query("op_full_outer_all", "SELECT coalesce(a.k, b.k) AS k, a.n AS n_docs, b.n AS n_vecs FROM (SELECT doc_id % 50 AS k, count(*) AS n FROM documents GROUP BY 1) a FULL JOIN (SELECT 10 + vec_id % 50 AS k, count(*) AS n FROM embeddings GROUP BY 1) b USING (k)")
-def op_full_outer_all(spark, d):
     """All documents and vectors; the key ranges alone leave keys of each side unmatched."""
     a = tables.load(spark, d, "documents", "doc_id").groupBy((F.col("doc_id") % 50).alias("k")).agg(F.count("*").alias("n_docs"))
     b = tables.load(spark, d, "embeddings", "vec_id").groupBy((F.col("vec_id") % 50 + 10).alias("k")).agg(F.count("*").alias("n_vecs"))
@@ -277,13 +268,8 @@ def _packed_hex(samples):
     return rows.select("row_id", "pol", F.hex(bitlib.pack_expr(F.col("s"), 8)).alias("payload"))
 
 
-@query("op_pack_hex", CODED.rstrip() + "\nSELECT row_id, pol, upper(string_agg(printf('%02x', sym), '' ORDER BY ch, part)) AS payload FROM coded WHERE ch < 4 GROUP BY ALL")
+@query("op_pack_hex", CODED.rstrip() + "\nSELECT row_id, pol, upper(string_agg(printf('%02x', sym), '' ORDER BY ch, part)) AS payload FROM coded GROUP BY ALL")
 def op_pack_hex(spark, d):
-    return _packed_hex(row_samples(spark, d).where("ch < 4"))
-
-
-@query("op_pack_hex_all", CODED.rstrip() + "\nSELECT row_id, pol, upper(string_agg(printf('%02x', sym), '' ORDER BY ch, part)) AS payload FROM coded GROUP BY ALL")
-def op_pack_hex_all(spark, d):
     return _packed_hex(row_samples(spark, d))
 
 
@@ -383,20 +369,10 @@ def op_stokes_products(spark, d):
 # Streams: run to the end of the table, compared with batch SQL.
 
 
-def _folder(spark: SparkSession, name: str) -> str:
-    base = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getCheckpointDir()
-    if not base:
-        import tempfile
-
-        base = "file://" + tempfile.mkdtemp()
-        spark.sparkContext.setCheckpointDir(base)
-    return f"{base.rstrip('/')}/{name}-{uuid.uuid4().hex}"
-
-
 def _run(spark: SparkSession, stream: DataFrame, mode: str, name: str) -> DataFrame:
     from ..streaming.codec import run_to_table
 
-    path = _folder(spark, name)
+    path = store.shared_dir(spark, name)
     run_to_table(stream, path, mode, path + "-checkpoint")
     return spark.read.parquet(path)
 

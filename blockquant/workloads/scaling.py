@@ -170,7 +170,11 @@ def rf_from_af_mse(spark, d):
     return _kernel_errors(spark, v1(spark, d), CodecConfig(scaling="row_channel_af"))
 
 
-AF_CH = f"afc AS (SELECT *, sqrt(avg({sql.POWER}) OVER (PARTITION BY block_id, pol, ch)) AS f_ch FROM cells WHERE ant_a <> ant_b)"
+def af_channels(source: str = "cells") -> str:
+    return f"afc AS (SELECT *, sqrt(avg({sql.POWER}) OVER (PARTITION BY block_id, pol, ch)) AS f_ch FROM {source} WHERE ant_a <> ant_b)"
+
+
+AF_CH = af_channels()
 AF_VAR = f"afv AS (SELECT block_id, pol, ant_a, ant_b, avg({sql.POWER} / (f_ch * f_ch)) AS var FROM afc GROUP BY ALL)"
 AF_ANT = """both_ AS (SELECT block_id, pol, ant_a AS ant, ln(var) AS l FROM afv UNION ALL SELECT block_id, pol, ant_b, ln(var) FROM afv),
 afs AS (SELECT *, count(*) OVER w AS n, sum(s) OVER w AS total, min(k) OVER w AS fewest FROM (SELECT block_id, pol, ant, sum(l) AS s, count(*) AS k FROM both_ GROUP BY ALL) WINDOW w AS (PARTITION BY block_id, pol)),
@@ -192,8 +196,9 @@ def af_antenna_loglsq(spark, d):
     return scaling.antenna_loglsq(scaling.baseline_variance(v1(spark, d))).withColumn("f", F.round("f", 7))
 
 
-def _greedy_sql(rounds: int) -> str:
-    out = [sql.v1(), AF_CH, AF_VAR, AF_ANT, f"g0a AS (SELECT afc.*, f_ch * x.f * y.f AS s0 FROM afc JOIN ants x ON x.block_id = afc.block_id AND x.pol = afc.pol AND x.ant = ant_a JOIN ants y ON y.block_id = afc.block_id AND y.pol = afc.pol AND y.ant = ant_b)", f"g0 AS (SELECT *, s0 * max({sql.PEAK} / s0) OVER (PARTITION BY block_id, pol) AS sigma FROM g0a)"]
+def af_scaled(rounds: int, source: str = "cells") -> list[str]:
+    """Cross cells of complete blocks with sigma, as g0, g1 ...: closed-form antennas, common rescale, greedy steps."""
+    out = [af_channels(source), AF_VAR, AF_ANT, f"g0a AS (SELECT afc.*, f_ch * x.f * y.f AS s0 FROM afc JOIN ants x ON x.block_id = afc.block_id AND x.pol = afc.pol AND x.ant = ant_a JOIN ants y ON y.block_id = afc.block_id AND y.pol = afc.pol AND y.ant = ant_b)", f"g0 AS (SELECT *, s0 * max({sql.PEAK} / s0) OVER (PARTITION BY block_id, pol) AS sigma FROM g0a)"]
     for k in range(rounds):
         one = lambda kind, idx: f"SELECT block_id, pol, '{kind}' AS kind, {idx} AS idx, {sql.PEAK} / sigma AS y, (abs(re) + abs(im)) / sigma AS s FROM g{k}"  # noqa: B023, E731
         out += [
@@ -202,7 +207,35 @@ def _greedy_sql(rounds: int) -> str:
             f"b{k} AS (SELECT * FROM t{k} QUALIFY row_number() OVER (PARTITION BY block_id, pol ORDER BY gain DESC, kind DESC, idx) = 1)",
             f"g{k + 1} AS (SELECT g{k}.* EXCLUDE (sigma), CASE WHEN CASE WHEN kind = 'ch' THEN ch = idx ELSE ant_a = idx OR ant_b = idx END THEN sigma * top ELSE sigma END AS sigma FROM g{k} JOIN b{k} USING (block_id, pol))",
         ]
-    return sql.with_(*out) + f"SELECT block_id, pol, round(sum((abs(re) + abs(im)) / sigma), 5) AS sum_abs FROM g{rounds} GROUP BY ALL"
+    return out
+
+
+def _greedy_sql(rounds: int) -> str:
+    return sql.with_(sql.v1(), *af_scaled(rounds)) + f"SELECT block_id, pol, round(sum((abs(re) + abs(im)) / sigma), 5) AS sum_abs FROM g{rounds} GROUP BY ALL"
+
+
+#: The kernel as SQL can follow it: closed-form antennas, which complete blocks have, a fixed number of steps, factors as they are.
+AF_EXACT = CodecConfig(solver="loglsq", tau=0.0, max_steps=2, round_factors=False)
+
+
+def af_exact(cells: DataFrame) -> DataFrame:
+    """Cross cells of complete blocks with the kernel's sigma."""
+    whole = cells.groupBy("block_id").agg(F.countDistinct("row_id").alias("n")).where("n = 36").select("block_id")
+    return scaling.fit_scales(cells.join(whole, "block_id", "left_semi"), AF_EXACT).where("ant_a <> ant_b")
+
+
+@query("af_kernel_closed_form", _greedy_sql(2))
+def af_kernel_closed_form(spark, d):
+    """N2 by the block kernel, against SQL."""
+    return af_exact(v1(spark, d)).groupBy("block_id", "pol").agg(F.round(F.sum((F.abs("re") + F.abs("im")) / F.col("sigma")), 5).alias("sum_abs"))
+
+
+@query("af_kernel_codes_closed_form", sql.with_(sql.v1(), *af_scaled(2), sql.sampled("g2"), sql.level_rows(("t2.5",), (5,)), sql.table_coded("t2.5", 5)) + "SELECT block_id, pol, sum(sym)::BIGINT AS total, round(sqrt(avg((v_hat - v) * (v_hat - v))), 8) AS rms FROM coded GROUP BY ALL")
+def af_kernel_codes(spark, d):
+    """N2 and the dithered table: symbols and errors at the guideline's 5 bits."""
+    cfg = CodecConfig(bits=5)
+    coded = quantise.decode(quantise.encode(quantise.samples(af_exact(v1(spark, d))), cfg), cfg)
+    return coded.groupBy("block_id", "pol").agg(F.sum("sym").alias("total"), F.round(F.sqrt(F.avg((F.col("v_hat") - F.col("v")) ** 2)), 8).alias("rms"))
 
 
 @query("af_greedy_two_rounds", _greedy_sql(2))
@@ -354,16 +387,18 @@ def unpack_roundtrip(spark, d):
 
 @query("codec_roundtrip", "SELECT s.scaling, count(*)::BIGINT AS n_cells, 0::BIGINT AS n_bad FROM embeddings, range(32) r(k), (VALUES ('row'), ('row_channel'), ('row_channel_af'), ('antenna_channel')) s(scaling) GROUP BY ALL")
 def codec_roundtrip(spark, d):
-    """Every cell comes back within a level's width of its scale (autocorrelations of the antenna method as zero)."""
+    """Every sample comes back within one step of its own scale (autocorrelations of the antenna method as zero)."""
     cells = v1(spark, d)
     out = None
     for s in ("row", "row_channel", "row_channel_af", "antenna_channel"):
         cfg = CodecConfig(scaling=s, quantiser="uniform", trunc=None, bits=10, autos="zero" if s == "antenna_channel" else "keep")
         back = codec.decompress(codec.compress(cells, cfg))
-        j = cells.withColumnsRenamed({"re": "re0", "im": "im0"}).join(back, ["block_id", "row_id", "ant_a", "ant_b", "ch", "pol"], "left")
+        keys = ["block_id", "row_id", "ant_a", "ant_b", "ch", "pol"]
+        scales = scaling.fit_scales(cells, cfg).select(*keys, "sigma")
+        j = cells.withColumnsRenamed({"re": "re0", "im": "im0"}).join(scales, keys).join(back, keys, "left")
         auto = (F.col("ant_a") == F.col("ant_b")) & F.lit(s == "antenna_channel")
         err = F.greatest(F.abs(F.col("re") - F.col("re0")), F.abs(F.col("im") - F.col("im0")))
-        bad = F.when(auto, (F.col("re") != 0) | (F.col("im") != 0)).otherwise(F.coalesce(err > 20 * 2 / 1022, F.lit(True)))
+        bad = F.when(auto, (F.col("re") != 0) | (F.col("im") != 0)).otherwise(F.coalesce(err > F.col("sigma") * (2 / 1022) * (1 + 1e-6), F.lit(True)))
         one = j.agg(F.lit(s).alias("scaling"), F.count("*").alias("n_cells"), F.count_if(bad).alias("n_bad"))
         out = one if out is None else out.unionAll(one)
     return out
@@ -381,6 +416,15 @@ def truncation_search(spark, d):
     return quantise.fit_truncation(rf_samples(spark, d), 8, (1.5, 2.5, 3.5), "block_id", "pol").withColumn("rms", F.round("rms", 8))
 
 
+@query("truncation_in_codec", sql.with_(sql.v1(), sql.rf_scaled(), sql.sampled(), sql.level_rows(("t1.5", "t2.5", "t3.5"), (8,)), "er AS (SELECT block_id, pol, replace(quantiser, 't', '')::DOUBLE AS t, round(sqrt(avg((y - lo) * (hi - y) * sigma * sigma)), 12) AS rms FROM smp JOIN lv ON y >= lo AND (y < hi OR last) GROUP BY ALL)") + "SELECT block_id, pol, arg_min(t, struct_pack(r := rms, t := t)) AS trunc, TRUE AS decodes FROM er GROUP BY ALL")
+def truncation_in_codec(spark, d):
+    """Q14 in the codec: each block's own truncation is searched, stored with it and decoded by."""
+    p = codec.compress(v1(spark, d), CodecConfig(scaling="row_channel", autos="keep", trunc_grid=(1.5, 2.5, 3.5)))
+    back = codec.decompress(p).join(v1(spark, d).withColumnsRenamed({"re": "r0", "im": "i0"}), ["block_id", "row_id", "ch", "pol"])
+    near = back.groupBy("block_id", "pol").agg((F.sqrt(F.avg((F.col("re") - F.col("r0")) ** 2)) < 0.1 * F.sqrt(F.avg(F.col("r0") ** 2))).alias("decodes"))
+    return p.select("block_id", "pol", "trunc").join(near, ["block_id", "pol"])
+
+
 @query("entropy_stage")
 def entropy_stage(spark, d):
     """Q15: payload bytes with and without a lossless stage on the symbols."""

@@ -27,9 +27,9 @@ def rfi(source: str = "cells", name: str = "hit", ch: int = 3, strength: float =
 
 V2 = """cells AS (SELECT *, (block_id * 100 + ant_a * 10 + ant_b)::BIGINT AS row_id, FALSE AS flagged FROM (
   SELECT ((year(l_shipdate) - 1995) * 12 + month(l_shipdate) - 1)::BIGINT AS block_id, least(l_suppkey % 10, l_partkey % 10)::INT AS ant_a, greatest(l_suppkey % 10, l_partkey % 10)::INT AS ant_b,
-    (l_linenumber - 1)::INT AS ch, ((CASE WHEN l_returnflag = 'A' THEN 0 ELSE 2 END) + (CASE WHEN l_linestatus = 'F' THEN 0 ELSE 1 END))::INT AS pol,
+    (l_linenumber - 1)::INT AS ch, ((CASE WHEN l_returnflag = 'N' THEN 2 ELSE 0 END) + (CASE WHEN l_linestatus = 'F' THEN 0 ELSE 1 END))::INT AS pol,
     avg(l_quantity) - 25.5::DOUBLE AS re, avg(l_extendedprice) / 1000 - 53 AS im, count(*)::DOUBLE AS weight
-  FROM lineitem WHERE l_returnflag IN ('A', 'N') GROUP BY ALL))"""
+  FROM lineitem GROUP BY ALL))"""
 
 V3 = """cells AS (SELECT *, (block_id * 36 + ant_a * 6 + ant_b)::BIGINT AS row_id, 0 AS pol, FALSE AS flagged FROM (
   SELECT (ts::DATE - DATE '1970-01-01')::BIGINT AS block_id, least(user_id % 6, kk % 6)::INT AS ant_a, greatest(user_id % 6, kk % 6)::INT AS ant_b, ch, avg(value) - 50 AS re, max(value) - 50 AS im, count(*)::DOUBLE AS weight

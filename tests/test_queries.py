@@ -41,7 +41,7 @@ def test_query(spark, sf, con, name):
         assert len(got) > 0
 
 
-@pytest.mark.parametrize("name", ["w3_repeat_avg_customer_all", "w3_repeat_avg_events", "op_full_outer_all", "op_pack_hex_all"])
+@pytest.mark.parametrize("name", ["w3_repeat_avg_customer", "w3_repeat_avg_events", "op_full_outer", "op_pack_hex"])
 def test_whole_tables_are_read(spark, name):
     """On tables large enough for a subset of ids to show, against the SQL."""
     d, c = "/root/testdata/sf0.01", duckdb.connect()
@@ -50,7 +50,7 @@ def test_whole_tables_are_read(spark, name):
     got = QUERIES[name](spark, d).toPandas()
     assert rows(got) == rows(c.execute(ORACLES[name]).fetchdf())
     n_docs, n_vecs, n_samples = c.execute("SELECT (SELECT count(*) FROM documents), (SELECT count(*) FROM embeddings), (SELECT sum(len(embedding)) FROM embeddings)").fetchone()
-    if name == "op_full_outer_all":
+    if name == "op_full_outer":
         assert (got["n_docs"].sum(), got["n_vecs"].sum()) == (n_docs, n_vecs) and got["n_docs"].isna().any() and got["n_vecs"].isna().any()
-    if name == "op_pack_hex_all":
+    if name == "op_pack_hex":
         assert got["payload"].str.len().sum() == 2 * n_samples
