@@ -7,8 +7,8 @@ same k-mers are smallest *and* stand in the same order, which follows edit simil
 
 Links. Texts with the same words are one text from the start. In each bucket every text is compared with the leader, the
 one of the smallest id. A pair links if its alignment similarity, 1 - edits / longer length, reaches the threshold: a
-banded bit-parallel alignment of the words decides, with the band as wide as the threshold allows edits. Similarity isn't
-transitive, so a text that failed against its leader may still link with any other. Edits are a metric, so two texts whose
+banded bit-parallel alignment of the words decides, with the band as wide as the threshold allows edits. What fails is
+compared with a second leader, of the smallest hash. Similarity isn't transitive, so a text that failed against its leader may still link with any other. Edits are a metric, so two texts whose
 edits to their leader differ by more than the threshold allows can't link, and most of a leader's own class needs no
 further look. The others are compared among themselves, in blocks against blocks, each pair of different classes once, in
 whichever bucket names it first; lengths and shared words rule out, exactly, nearly all pairs before any is aligned. No
@@ -286,7 +286,8 @@ def compared_in_blocks(left: DataFrame, known: DataFrame, threshold: float) -> D
     """
     kind = known.schema["id"].dataType.simpleString()
     step = F.floor(F.log(F.col("n").cast("double")) / -math.log(threshold) + 1e-9).cast("int")
-    binned = left.withColumn("bin", step)
+    whole = left.groupBy("key").agg(((F.count("*") <= BLOCK) & (F.sum("n") * 4 <= BLOCK_BYTES)).alias("one"))
+    binned = left.join(whole, "key").withColumn("bin", F.when(F.col("one"), 0).otherwise(step)).drop("one")  # what fits one block stays one
     sizes = binned.groupBy("key", "bin", "class").agg(F.count("*").alias("n"), F.sum("n").alias("words"))
     sizes = sizes.withColumn("own", F.when(F.col("n") >= CLASS_BLOCK, F.col("class")))
     cells = sizes.groupBy("key", "bin", "own").agg(F.greatest(F.ceil(F.sum("n") / BLOCK), F.ceil(F.sum("words") * 4 / BLOCK_BYTES)).cast("int").alias("blocks"))
@@ -374,6 +375,16 @@ def linked(bands: DataFrame, known: DataFrame, threshold: float) -> DataFrame:
     members = bands.where("id <> a")
     pairs = common.stored(compared(members.select("a", F.col("id").alias("b")).distinct(), known, threshold), "compared")
     stars = components(pairs.where("similarity > 0").select("a", "b"))
+    # A leader may be an outlier of a large family: what is outside its class gets a second one, the same in all buckets it can be.
+    own = stars.select("id", "class")
+    rest = members.select("key", "id", "a").join(own, "id", "left").join(own.select(F.col("id").alias("a"), F.col("class").alias("leader_class")), "a", "left")
+    rest = rest.select("key", "id", F.coalesce("class", "id").alias("class"), F.coalesce("leader_class", "a").alias("leader_class")).where("class <> leader_class")
+    rest = common.stored(rest.select("key", "id", "class"), "outside")
+    second = rest.groupBy("key").agg(F.min_by(F.struct("id", "class"), F.xxhash64("id")).alias("s"), F.min("class").alias("lo"), F.max("class").alias("hi")).where("lo <> hi")
+    again = rest.join(second.select("key", "s"), "key").where("class <> s.class").select(F.col("s.id").alias("a"), F.col("id").alias("b")).distinct()
+    more = common.stored(compared(again, known, threshold).where("similarity > 0").select("a", "b"), "second")
+    common.discard(rest)
+    stars = components(stars.select(F.col("class").alias("a"), F.col("id").alias("b")).unionAll(more))
     lead = stars.select(F.col("id").alias("a"), F.col("class").alias("leader_class"))
     classed = members.join(pairs.withColumnRenamed("b", "id"), ["a", "id"]).join(stars, "id", "left").join(lead, "a", "left")
     classed = common.stored(classed.select("key", "id", F.coalesce("class", "id").alias("class"), F.coalesce("leader_class", "a").alias("leader_class"), "n", "similarity", "edits"), "classed")
