@@ -396,10 +396,10 @@ def paths(source: DataFrame, model: Fitted) -> DataFrame:
         F.count_if(F.col("c") > 0).alias("t_known"),
         F.sum(F.log10(model.base(F.col("c")))).alias("t_base"),
         F.sum(F.log10((F.col("c") + ADD) / rooms[F.col("class")])).alias("t_words"),
-        F.array_sort(F.collect_list(F.struct("at", "class"))).alias("fill"),
+        F.array_sort(F.collect_list(F.col("at").cast("long") * 256 + F.col("class"))).alias("fill"),
     )
     zero = F.lit(0.0)
-    whole = head.join(sums, "row", "left").select("id", "train", "n_tokens", (F.col("n_known") + F.coalesce("t_known", F.lit(0))).alias("n_known"), (F.col("base") + F.coalesce("t_base", zero)).alias("base"), (F.col("words") + F.coalesce("t_words", zero)).alias("words"), "path", F.transform("fill", lambda x: x["class"]).alias("fill"))
+    whole = head.join(sums, "row", "left").select("id", "train", "n_tokens", (F.col("n_known") + F.coalesce("t_known", F.lit(0))).alias("n_known"), (F.col("base") + F.coalesce("t_base", zero)).alias("base"), (F.col("words") + F.coalesce("t_words", zero)).alias("words"), "path", "fill")
 
     def filled(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
@@ -407,7 +407,7 @@ def paths(source: DataFrame, model: Fitted) -> DataFrame:
             for path, fill in zip(b.column(6).to_pylist(), b.column(7).to_pylist(), strict=True):
                 if fill:
                     own = np.frombuffer(path, np.uint8).copy()
-                    own[own == TAIL] = fill
+                    own[own == TAIL] = np.array(fill) & 255  # places and classes, in the places' order
                     path = own.tobytes()
                 out.append(path)
             yield pa.RecordBatch.from_arrays([*b.columns[:6], pa.array(out, pa.binary())], names=["id", "train", "n_tokens", "n_known", "base", "words", "path"])
