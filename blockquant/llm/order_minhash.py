@@ -374,17 +374,12 @@ def linked(bands: DataFrame, known: DataFrame, threshold: float) -> DataFrame:
     those between such classes. ``bands``: key, id and the leader a, the smallest id, of buckets with several texts."""
     members = bands.where("id <> a")
     pairs = common.stored(compared(members.select("a", F.col("id").alias("b")).distinct(), known, threshold), "compared")
-    stars = components(pairs.where("similarity > 0").select("a", "b"))
-    # A leader may be an outlier of a large family: what is outside its class gets a second one, the same in all buckets it can be.
-    own = stars.select("id", "class")
-    rest = members.select("key", "id", "a").join(own, "id", "left").join(own.select(F.col("id").alias("a"), F.col("class").alias("leader_class")), "a", "left")
-    rest = rest.select("key", "id", F.coalesce("class", "id").alias("class"), F.coalesce("leader_class", "a").alias("leader_class")).where("class <> leader_class")
-    rest = common.stored(rest.select("key", "id", "class"), "outside")
-    second = rest.groupBy("key").agg(F.min_by(F.struct("id", "class"), F.xxhash64("id")).alias("s"), F.min("class").alias("lo"), F.max("class").alias("hi")).where("lo <> hi")
-    again = rest.join(second.select("key", "s"), "key").where("class <> s.class").select(F.col("s.id").alias("a"), F.col("id").alias("b")).distinct()
-    more = common.stored(compared(again, known, threshold).where("similarity > 0").select("a", "b"), "second")
-    common.discard(rest)
-    stars = components(stars.select(F.col("class").alias("a"), F.col("id").alias("b")).unionAll(more))
+    # A leader may be an outlier of a large family: what failed it gets a second one, the same in all buckets it can be.
+    failed = members.join(pairs.where("similarity = 0").select("a", F.col("b").alias("id")), ["a", "id"]).select("key", "id")
+    second = failed.groupBy("key").agg(F.min_by("id", F.xxhash64("id")).alias("a"), F.count("*").alias("n")).where("n > 1").select("key", "a")
+    again = failed.join(second, "key").where("id <> a").select("a", F.col("id").alias("b")).distinct()
+    more = compared(again, known, threshold).where("similarity > 0").select("a", "b")
+    stars = components(pairs.where("similarity > 0").select("a", "b").unionAll(more))
     lead = stars.select(F.col("id").alias("a"), F.col("class").alias("leader_class"))
     classed = members.join(pairs.withColumnRenamed("b", "id"), ["a", "id"]).join(stars, "id", "left").join(lead, "a", "left")
     classed = common.stored(classed.select("key", "id", F.coalesce("class", "id").alias("class"), F.coalesce("leader_class", "a").alias("leader_class"), "n", "similarity", "edits"), "classed")
