@@ -97,7 +97,7 @@ def after(cells: DataFrame, name: str, configs: list[CodecConfig]) -> DataFrame:
         solved = without_gains(cells, False, 10)
         return variants(fit_scales(solved, configs[0]), [c.but(seed=c.seed + 1) for c in configs], again=True)
     if name == "B":
-        cells = baselines.average_cells(cells, 16, 8)
+        cells = baselines.average_cells(cells, 16, 8).withColumn("block_id", F.col("block_id") * 16)  # numbers of variants stay what they were
     out = calibrate.apply_gains(cells, calibrate.solve_gains(cells.where("pol in (0, 3)"), SIGNAL[name]))
     return calibrate.subtract_model(out, SIGNAL[name]) if name == "A" else out
 

@@ -257,3 +257,10 @@ def test_images_show_the_published_behaviour(spark, sf):
     for q in ("t1.5", "t2.5", "uniform"):
         assert r[q, 2] > 2 * r[q, 4] > 8 * r[q, 8] and r[q, 8] / r[q, 16] > 50
     assert r["uniform", 8] < r["gauss", 8] and r["t1.5", 8] < r["t3.5", 8]
+
+
+def test_every_variant_of_every_set_has_its_image(spark, sf):
+    for name in "ABCD":
+        r = sweep.image_sweep({name: sweep.stand_in(spark, sf, name)}, "row_channel", ("t1.5", "uniform"), (3, 8)).collect()
+        assert sorted((x["set"], x["quantiser"], x["bits"]) for x in r) == [(name, q, b) for q in ("t1.5", "uniform") for b in (3, 8)]
+        assert all(e["diff_rms"] > f["diff_rms"] for e in r for f in r if e["bits"] < f["bits"])
