@@ -288,6 +288,7 @@ def compared_in_blocks(left: DataFrame, known: DataFrame, threshold: float) -> D
     step = F.floor(F.log(F.col("n").cast("double")) / -math.log(threshold) + 1e-9).cast("int")
     whole = left.groupBy("key").agg(((F.count("*") <= BLOCK) & (F.sum("n") * 4 <= BLOCK_BYTES)).alias("one"))
     binned = left.join(whole, "key").withColumn("bin", F.when(F.col("one"), 0).otherwise(step)).drop("one")  # what fits one block stays one
+    binned = common.stored(binned, "binned")  # counted, cut and dealt from: the look-up is made once
     sizes = binned.groupBy("key", "bin", "class").agg(F.count("*").alias("n"), F.sum("n").alias("words"))
     sizes = sizes.withColumn("own", F.when(F.col("n") >= CLASS_BLOCK, F.col("class")))
     cells = sizes.groupBy("key", "bin", "own").agg(F.greatest(F.ceil(F.sum("n") / BLOCK), F.ceil(F.sum("words") * 4 / BLOCK_BYTES)).cast("int").alias("blocks"))
@@ -302,7 +303,7 @@ def compared_in_blocks(left: DataFrame, known: DataFrame, threshold: float) -> D
     dealt = dealt.join(cells.withColumn("own", F.coalesce(F.col("own").cast("string"), F.lit(""))), ["key", "bin", "own"]).withColumn("block", F.pmod(F.xxhash64("id", F.lit("block")), F.col("blocks")).cast("int"))
     dealt = dealt.join(meets, ["key", "bin", "own", "block"]).select("key", "x", "y", "id", "class", (F.struct("bin", "own", "block") == F.col("x")).alias("first"))
     own_keys = left.groupBy("id").agg(F.collect_set("key").alias("keys"))  # at most one per sketch
-    dealt = dealt.join(known, "id").join(own_keys, "id")
+    dealt = dealt.join(known.join(own_keys, "id"), "id")  # words and keys meet once a text, not once a place it is dealt to
 
     def run(t: pa.Table) -> pa.Table:
         key = t["key"][0].as_py()
