@@ -33,6 +33,7 @@ import math
 from collections import Counter
 from collections.abc import Iterator
 from dataclasses import dataclass
+from itertools import repeat
 
 import numpy as np
 import pyarrow as pa
@@ -164,7 +165,7 @@ def word_counts(docs: DataFrame, train: str, text: str, flush: int = 300_000) ->
 
         def emptied(last: bool) -> pa.RecordBatch:
             words = list(counts[0].keys() | counts[1].keys())
-            n, m = ([c[w] for w in words] for c in counts)
+            n, m = (list(map(c.get, words, repeat(0))) for c in counts)
             for c in counts:
                 c.clear()
             extra = [None] if last else []
@@ -181,7 +182,20 @@ def word_counts(docs: DataFrame, train: str, text: str, flush: int = 300_000) ->
     return docs.select(text, train).mapInArrow(run, "word binary, n bigint, m bigint").groupBy("word").agg(F.sum("n").alias("n"), F.sum("m").alias("m"))
 
 
-def beside(docs: DataFrame, train: str, text: str, units: dict[bytes, int], endings: dict[bytes, int], flush: int = 200_000) -> DataFrame:
+class Local(dict):
+    """Number of each word of a worker: its unit, or, from ``n_units`` on, the order in which it came; ``rest`` lists the latter."""
+
+    def __init__(self, units: dict[bytes, int], n_units: int) -> None:
+        super().__init__(units)
+        self.n_units, self.rest = n_units, []
+
+    def __missing__(self, word: bytes) -> int:
+        self[word] = out = self.n_units + len(self.rest)
+        self.rest.append(word)
+        return out
+
+
+def beside(docs: DataFrame, train: str, text: str, units: dict[bytes, int], endings: dict[bytes, int], flush: int = 400_000, most: int = 6_000_000) -> DataFrame:
     """What stands side by side in training rows. Rows with a null word: (u * units + v, how often unit v follows u). Others: of each
     word that is no unit of its own, (unit before) and (units + unit after) with their counts."""
     spark, n_units = docs.sparkSession, 2 + len(units) + len(endings)
@@ -189,14 +203,9 @@ def beside(docs: DataFrame, train: str, text: str, units: dict[bytes, int], endi
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         known, ends = held_units.value
-        local: dict[bytes, int] = {}
-        stands_for: list[int] = []  # unit of each local word
-        pairs: list[tuple[np.ndarray, np.ndarray]] = []
-        near: list[tuple[np.ndarray, np.ndarray]] = []
-
-        def merged(held: list[tuple[np.ndarray, np.ndarray]]) -> list[tuple[np.ndarray, np.ndarray]]:
-            code, at = np.unique(np.concatenate([c for c, _ in held]), return_inverse=True)
-            return [(code, np.bincount(at, np.concatenate([n for _, n in held])).astype(np.int64))]
+        local = Local(known, n_units)
+        pairs = np.zeros(n_units * n_units, np.int64)
+        near: list[np.ndarray] = []
 
         def lists(words: list[bytes | None], starts: np.ndarray, code: np.ndarray, n: np.ndarray) -> pa.RecordBatch:
             at = pa.array(starts, pa.int32())
@@ -204,46 +213,35 @@ def beside(docs: DataFrame, train: str, text: str, units: dict[bytes, int], endi
 
         def emptied() -> Iterator[pa.RecordBatch]:
             if near:
-                (key, n), words = merged(near)[0], list(local)
+                key, n = np.unique(np.concatenate(near), return_counts=True)
                 owner, code = key // (2 * n_units), key % (2 * n_units)
-                for lo in range(0, len(words), 50_000):
-                    some = words[lo : lo + 50_000]
+                for lo in range(0, len(local.rest), 50_000):
+                    some = local.rest[lo : lo + 50_000]
                     starts = np.searchsorted(owner, np.arange(lo, lo + len(some) + 1))
                     yield lists(some, starts - starts[0], code[starts[0] : starts[-1]], n[starts[0] : starts[-1]])
             near.clear()
-            local.clear()
-            stands_for.clear()
 
+        homes: list[int] = []  # unit of each word of local.rest
         for part in common.pieces(batches, 0):
             flat = [END]
             for t in common.texts_of(part.column(0)):
-                for w in tokens(t):
-                    u = known.get(w)
-                    if u is None:
-                        u = local.get(w)
-                        if u is None:
-                            local[w] = u = len(local)
-                            stands_for.append(ends.get(w[-3:], REST))
-                        u += n_units
-                    flat.append(u)
+                flat += map(local.__getitem__, tokens(t))
                 flat.append(END)
+            homes += [ends.get(w[-3:], REST) for w in local.rest[len(homes) :]]
             codes = np.array(flat, np.int64)
-            unit = np.r_[np.arange(n_units), np.array(stands_for, np.int64)][codes]
-            pairs.append(np.unique(unit[:-1] * n_units + unit[1:], return_counts=True))
+            unit = np.r_[np.arange(n_units), np.array(homes, np.int64)][codes]
+            pairs += np.bincount(unit[:-1] * n_units + unit[1:], minlength=len(pairs))
             at = np.flatnonzero(codes >= n_units)
             owner = (codes[at] - n_units) * (2 * n_units)
-            near.append(np.unique(np.r_[owner + unit[at - 1], owner + n_units + unit[at + 1]], return_counts=True))
-            if sum(len(c) for c, _ in pairs) > 3_000_000:
-                pairs[:] = merged(pairs)
-            if len(local) > flush:
+            near += [owner + unit[at - 1], owner + n_units + unit[at + 1]]
+            if len(local.rest) > flush or sum(map(len, near)) > most:
                 yield from emptied()
-            elif sum(len(c) for c, _ in near) > 6_000_000:
-                near[:] = merged(near)
+                local, homes = Local(known, n_units), []
         yield from emptied()
-        if pairs:
-            code, n = merged(pairs)[0]
-            for lo in range(0, len(code), 100_000):
-                yield lists([None], np.array([0, len(code[lo : lo + 100_000])]), code[lo : lo + 100_000], n[lo : lo + 100_000])
+        code = np.flatnonzero(pairs)
+        for lo in range(0, len(code), 100_000):
+            some = code[lo : lo + 100_000]
+            yield lists([None], np.array([0, len(some)]), some, pairs[some])
 
     return docs.where(train).select(text).mapInArrow(run, "word binary, codes array<int>, ns array<int>")
 
@@ -376,13 +374,13 @@ def paths(source: DataFrame, model: Fitted) -> DataFrame:
             out: list[tuple] = []
             for t in common.texts_of(part.column(1)):
                 own = tokens(t)
-                places = np.fromiter((get(w, -1) for w in own), np.int64, len(own))
+                places = np.fromiter(map(get, own, repeat(-1)), np.int64, len(own))
                 there = places >= 0
                 at = places[there]
                 path = np.full(len(own) + 1, TAIL, np.uint8)
                 path[:-1][there] = lex.cls[at]
                 path[-1] = end_class
-                out.append((len(own) + 1, int(lex.known[at].sum()) + end_known, float(lex.log_base[at].sum()) + end_base, float(lex.log_word[at].sum()) + end_word, path.tobytes(), [own[i] for i in np.flatnonzero(~there)]))
+                out.append((len(own) + 1, int(lex.known[at].sum()) + end_known, float(lex.log_base[at].sum()) + end_base, float(lex.log_word[at].sum()) + end_word, path.tobytes(), [own[i] for i in np.flatnonzero(~there).tolist()]))
             kinds = (pa.int64(), pa.int64(), pa.float64(), pa.float64(), pa.binary(), pa.list_(pa.binary()))
             columns = [pa.array([o[i] for o in out], k) for i, k in enumerate(kinds)]
             yield pa.RecordBatch.from_arrays([part.column(0), part.column(2), *columns], names=["id", "train", "n_tokens", "n_known", "base", "words", "path", "tail"])
